@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from itertools import chain
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, map_arrow
+
+_SPREAD = np.uint64(0xA0761D6478BD642F)
 
 
 def connected_components(scratch: Scratch, links: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -39,40 +44,155 @@ def connected_components(scratch: Scratch, links: DataFrame, most_rounds: int =
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots)
 
 
-def resolve_tiles(scratch: Scratch, tiles: DataFrame, verify: Callable[[DataFrame], DataFrame], rounds: int = 3) -> tuple[DataFrame, DataFrame]:
+# --- tiles --------------------------------------------------------------------------------------------------------
+
+#: Members of one block; a tile of more is worked through in pairs of blocks.
+BLOCK = 256
+
+
+def bitmap(hashes: np.ndarray) -> bytes:
+    """Hashed bitmap of a set of 64-bit hashes; its width is a power of two, four to eight times the set's size."""
+    bits = 64
+    while bits < 4 * len(hashes) and bits < 1 << 17:
+        bits *= 2
+    out = np.zeros(bits, np.uint8)
+    out[(hashes * _SPREAD >> np.uint64(64 - bits.bit_length() + 1)).astype(np.int64)] = 1
+    return np.packbits(out, bitorder="little").tobytes()
+
+
+def fold(bits: np.ndarray, words: int) -> np.ndarray:
+    """A bitmap in fewer words: neighbouring bits are joined, as a narrower bitmap of the set has them."""
+    while len(bits) > words:
+        raw = np.unpackbits(bits.view(np.uint8), bitorder="little")
+        bits = np.packbits(raw[0::2] | raw[1::2], bitorder="little").view(np.uint64)
+    return bits
+
+
+def overlap_bound(n_a: np.ndarray, a: np.ndarray, n_b: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Sets with these bitmaps (rows of equal width) have no more elements in common: a bit that is set in one only
+    stands for an element that the other lacks."""
+    only_a, only_b = np.bitwise_count(a & ~b).sum(-1, dtype=np.int64), np.bitwise_count(b & ~a).sum(-1, dtype=np.int64)
+    return np.minimum(n_a - only_a, n_b - only_b)
+
+
+def least_overlap(n_a: np.ndarray, n_b: np.ndarray, num: int, den: int) -> np.ndarray:
+    """The overlap from which two sets of these sizes have a Jaccard similarity of num / den."""
+    return -(-num * (n_a + n_b) // (den + num))
+
+
+def _pair_bound(batch: pa.RecordBatch, num: int, den: int):
+    keep = []
+    for na, ba, nb, bb in zip(*(batch.column(i) for i in range(2, 6)), strict=True):
+        na, nb = na.as_py(), nb.as_py()
+        least = -(-num * (na + nb) // (den + num))
+        a, b = np.frombuffer(ba.as_buffer(), np.uint64), np.frombuffer(bb.as_buffer(), np.uint64)
+        w = min(len(a), len(b))
+        keep.append(min(na, nb) >= least and int(overlap_bound(na, fold(a, w), nb, fold(b, w))) >= least)
+    yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+
+def _tile_pairs(m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.ndarray], block: np.ndarray, num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of one tile, or of two blocks of it, that lie in different components and that sizes and bitmaps allow."""
+    w = min(map(len, bits))
+    rows = np.stack([fold(x, w) for x in bits])
+    two = bool(len(block)) and block.min() != block.max()
+    one, other = [], []
+    for i in range(len(m) - 1):
+        j = np.arange(i + 1, len(m))
+        least = least_overlap(n[i], n[j], num, den)
+        j = j[(label[j] != label[i]) & (np.minimum(n[i], n[j]) >= least) & ((block[j] != block[i]) if two else True)]
+        if len(j):
+            j = j[overlap_bound(n[i], rows[i], n[j], rows[j]) >= least_overlap(n[i], n[j], num, den)]
+            one.append(np.full(len(j), m[i]))
+            other.append(m[j])
+    if not one:
+        return m[:0], m[:0]
+    a, b = np.concatenate(one), np.concatenate(other)
+    return np.minimum(a, b), np.maximum(a, b)
+
+
+def _tiles_in_order(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
+    """Groups of rows (tile, i, j, m, l, n, bits, block) that stand together, one after the other; holds one group."""
+    rest = None
+    last = object()
+    for batch in chain(batches, [last]):
+        if batch is last:
+            if rest is None:
+                return
+            now, done = rest, rest.num_rows
+        else:
+            now = pa.Table.from_batches([batch]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([batch])])
+            if not now.num_rows:
+                continue
+            done = None
+        keys = np.stack([now.column(c).to_numpy() for c in ("tile", "i", "j")])
+        edges = np.concatenate(([0], np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(0)) + 1, [now.num_rows]))
+        stop = len(edges) - 1 if done is not None else len(edges) - 2
+        m, label, n, block = (now.column(c).to_numpy() for c in ("m", "l", "n", "block"))
+        maps = now.column("bits")
+        for k in range(stop):
+            at = slice(edges[k], edges[k + 1])
+            bits = [np.frombuffer(x.as_buffer(), np.uint64) for x in maps.slice(at.start, at.stop - at.start)]
+            a, b = _tile_pairs(m[at], label[at], n[at], bits, block[at], num, den)
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+        rest = now.slice(edges[stop]) if done is None else None
+
+
+def distinct_tiles(scratch: Scratch, tiles: DataFrame) -> DataFrame:
+    """One of the tiles that have the same members: close copies share most of theirs. tiles (tile, m) has no repeated rows.
+    Members are told apart by their number and 128 bits of their hashes."""
+    marks = tiles.groupBy("tile").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("m")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "m")).alias("y"))
+    return scratch.save(tiles.join(marks.groupBy("n", "x", "y").agg(F.min("tile").alias("tile")).select("tile"), "tile", "left_semi"))
+
+
+def resolve_tiles(scratch: Scratch, tiles: DataFrame, sketches: DataFrame, verify: Callable[[DataFrame], DataFrame], num: int, den: int, rounds: int = 2) -> tuple[DataFrame, DataFrame]:
     """Components of the graph whose links are the verified pairs that share a tile: (node, component), and the links.
 
-    tiles: (tile, m), without tiles of one member. Every round takes one leader in each tile - the same order in all
-    tiles, so that tiles of one group agree on it -, verifies it against the members that are not yet in its component,
-    and takes it out: all its pairs there are settled. A group of near copies falls into one component in the first
-    rounds, and a tile whose members share a component needs no more pairs. What is left after the rounds - tiles of
-    members that are truly apart - is verified pair by pair. No pair of one tile stays unsettled.
+    tiles: (tile, m), without repeated rows and tiles of one member; sketches: (m, n, bits), the size and bitmap of each
+    set; verify: pairs (a, b) -> those linked. Pairs are verified only if sizes and bitmaps allow a link.
+
+    First every tile picks a leader - in the same order everywhere, so tiles of one group agree on it -, which is compared
+    with the members that are not in its component and then leaves: all its pairs there are settled. So a group of linked
+    copies falls into one component without all its pairs. A tile whose members share a component is settled. The tiles
+    that are left - members truly apart - are worked through block by block on bitmaps, in the task that holds the block;
+    only pairs that the bitmaps allow come out of it. No pair of one tile stays unsettled.
     """
-    members = tiles.select("tile", "m", F.col("m").alias("l"))
-    links, parts = None, None
+    members = distinct_tiles(scratch, tiles).select("tile", "m", F.col("m").alias("l"))
+    links = parts = None
     per_tile = Window.partitionBy("tile")
-    for r in range(rounds + 1):
-        if r < rounds:
-            lead = F.min(F.struct(F.xxhash64(F.lit(r), "m").alias("o"), F.col("m").alias("m"), F.col("l").alias("l"))).over(per_tile)
-            led = members.withColumn("lead", lead)
-            apart = led.where("m <> lead.m and l <> lead.l").select(F.least("m", "lead.m").alias("a"), F.greatest("m", "lead.m").alias("b"))
-        else:
-            one, two = members.select("tile", F.col("m").alias("a"), F.col("l").alias("la")), members.select("tile", F.col("m").alias("b"), F.col("l").alias("lb"))
-            apart = one.join(two, "tile").where("a < b and la <> lb").select("a", "b")
-        found = scratch.save(verify(apart.distinct()))
+    one, two = (sketches.select(F.col("m").alias(x), F.col("n").alias("n" + x), F.col("bits").alias("bits" + x)) for x in "ab")
+
+    def settle(pairs: DataFrame) -> None:
+        nonlocal links, parts
+        found = scratch.save(verify(pairs))
+        if links is not None and not found.limit(1).count():
+            return
         links = found if links is None else scratch.save(links.union(found))
-        if found.limit(1).count():
-            parts = scratch.save(connected_components(scratch, links))
-        if r == rounds:
-            break
-        rest = led.where("m <> lead.m").select("tile", "m")
-        rest = rest.join(parts.select(F.col("node").alias("m"), "component"), "m", "left") if parts is not None else rest.withColumn("component", F.lit(None).cast("long"))
+        parts = scratch.save(connected_components(scratch, links))
+        scratch.release()
+
+    for r in range(rounds):
+        lead = F.min(F.struct(F.xxhash64(F.lit(r), "m").alias("o"), F.col("m").alias("m"), F.col("l").alias("l"))).over(per_tile)
+        led = members.withColumn("lead", lead)
+        apart = led.where("m <> lead.m and l <> lead.l").select(F.least("m", "lead.m").alias("a"), F.greatest("m", "lead.m").alias("b")).distinct()
+        near = apart.join(one, "a").join(two, "b").select("a", "b", "na", "bitsa", "nb", "bitsb")
+        settle(scratch.save(map_arrow(near, lambda b: _pair_bound(b, num, den), "a long, b long")))
+        rest = led.where("m <> lead.m").select("tile", "m").join(parts.select(F.col("node").alias("m"), "component"), "m", "left")
         rest = rest.select("tile", "m", F.coalesce("component", "m").alias("l"))
         mixed = rest.withColumn("lo", F.min("l").over(per_tile)).withColumn("hi", F.max("l").over(per_tile)).where("lo <> hi").select("tile", "m", "l")
         before, members = members, scratch.save(mixed)
         scratch.drop(before)
         if not members.limit(1).count():
-            break
-    if parts is None:
-        parts = links.select(F.col("a").alias("node"), F.col("b").alias("component"))
+            return parts, links
+
+    # a tile of several blocks goes into a group for each pair of its blocks
+    sized = members.withColumn("blocks", F.ceil(F.count("*").over(per_tile) / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
+    dealt = sized.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(sketches, "m")
+    # of a pair of one block, only the group (i, i) takes it; groups of two blocks take pairs across
+    dealt = dealt.select("tile", "i", "j", "m", "l", F.col("n").cast("long").alias("n"), "bits", "block")
+    parts_n = max(8, scratch.spark.sparkContext.defaultParallelism, int(scratch.spark.conf.get("spark.sql.shuffle.partitions")))
+    near = dealt.repartition(parts_n, "tile", "i", "j").sortWithinPartitions("tile", "i", "j").mapInArrow(lambda b: _tiles_in_order(b, num, den), "a long, b long")
+    settle(scratch.save(near.distinct()))
     return parts, links

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, signed
-from .components import resolve_tiles
+from .components import bitmap, resolve_tiles
 
 SHINGLE, BANDS, ROWS = 6, 10, 4
 _BINS = BANDS * ROWS
@@ -132,7 +132,13 @@ def line_components(docs: DataFrame, num: int = 4, den: int = 5) -> tuple[DataFr
         one, two = bodies.select(F.col("m").alias("a"), F.col("line").alias("x")), bodies.select(F.col("m").alias("b"), F.col("line").alias("y"))
         return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "x", "y"), lambda b: _line_pairs(b, num, den), "a long, b long")
 
-    parts, _ = resolve_tiles(scratch, tiles, verify)
+    def sketch(batch: pa.RecordBatch):
+        sets = [shingles(x) for x in batch.column(1).to_pylist()]
+        hashes = [np.fromiter((xxhash.xxh64_intdigest(g.encode("utf-8", "surrogatepass")) for g in s), np.uint64, len(s)) for s in sets]
+        yield batch_of({"m": batch.column(0), "n": pa.array([len(s) for s in sets], pa.int64()), "bits": pa.array([bitmap(h) for h in hashes], pa.binary())})
+
+    sketches = scratch.save(map_arrow(bodies.select("m", "line"), sketch, "m long, n long, bits binary"), codec="none")
+    parts, _ = resolve_tiles(scratch, tiles, sketches, verify, num, den)
     named = uniq.join(parts.select(F.col("node").alias("m"), "component"), "m", "left").where("component is not null or n > 1")
     named = scratch.save(named.select("m", "n", "first", F.coalesce("component", "m").alias("component")))
     keep = named.groupBy("component").agg(F.min("first").alias("keep"))

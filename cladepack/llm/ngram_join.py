@@ -8,9 +8,9 @@ also have a partner in the band below stands in that band's tiles as well. The f
 segments also stand in one tile for each of their elements. A tile is much rarer than a shingle: a passage or a frequent
 shingle that documents share does not put them into one tile, only a whole segment in common does.
 
-Within tiles pairs are settled as components.resolve_tiles says. A pair is checked by its hashed bitmaps first: a bit
-set in one and not in the other is an element the other lacks, which bounds the overlap from above. Pairs that the bound
-leaves are intersected as sorted arrays, exactly.
+Within tiles pairs are settled as components.resolve_tiles says. A pair is checked by its sizes and hashed bitmaps first:
+a bit set in one and not in the other is an element the other lacks, which bounds the overlap from above. Pairs that the
+bound leaves are intersected as sorted arrays, exactly.
 
 Equal sets are one member (its 64-bit set hash), whatever the number of copies.
 """
@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, shingle_sets, signed, word_hashes
-from .components import resolve_tiles
+from .components import bitmap, resolve_tiles
 
 _BAND0, _GROWTH = 8, 1.5
 _A, _B, _C = np.uint64(0xD6E8FEB86659FD93), np.uint64(0xA0761D6478BD642F), np.uint64(0xE7037ED1A0B428DB)
@@ -70,32 +70,12 @@ def set_hash(s: np.ndarray) -> np.uint64:
         return mix64((mix64(s).sum(dtype=np.uint64, keepdims=True)) + np.uint64(len(s)))[0]
 
 
-def bitmap(s: np.ndarray) -> np.ndarray:
-    """Hashed bitmap of a set, as 64-bit words; its width is a power of two that follows the set's size."""
-    bits = 64
-    while bits < 2 * len(s) and bits < 4096:
-        bits *= 2
-    out = np.zeros(bits, np.uint8)
-    out[(mix64(s ^ _B) & np.uint64(bits - 1)).astype(np.int64)] = 1
-    return np.packbits(out, bitorder="little").view(np.uint64)
-
-
-def overlap_bound(n_a: int, bits_a: np.ndarray, n_b: int, bits_b: np.ndarray) -> int:
-    """No two sets with these bitmaps have more elements in common."""
-    while len(bits_a) > len(bits_b):
-        bits_a = bits_a[: len(bits_a) // 2] | bits_a[len(bits_a) // 2 :]
-    while len(bits_b) > len(bits_a):
-        bits_b = bits_b[: len(bits_b) // 2] | bits_b[len(bits_b) // 2 :]
-    return min(n_a - int(np.bitwise_count(bits_a & ~bits_b).sum()), n_b - int(np.bitwise_count(bits_b & ~bits_a).sum()))
-
-
-def linked(a: np.ndarray, bits_a: np.ndarray, b: np.ndarray, bits_b: np.ndarray, num: int, den: int) -> bool:
-    least = -(-num * (len(a) + len(b)) // (den + num))
-    if min(len(a), len(b)) < least or overlap_bound(len(a), bits_a, len(b), bits_b) < least:
-        return False
+def linked(a: np.ndarray, b: np.ndarray, num: int, den: int) -> bool:
+    """Exact intersection of two sorted arrays of distinct hashes."""
     small, large = (a, b) if len(a) <= len(b) else (b, a)
     at = np.searchsorted(large, small)
-    return int((large[np.minimum(at, len(large) - 1)] == small).sum()) >= least
+    both = int((large[np.minimum(at, len(large) - 1)] == small).sum())
+    return den * both >= num * (len(a) + len(b) - both)
 
 
 def shingle_profile(docs: DataFrame, n: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -145,23 +125,24 @@ def ngram_jaccard_components(docs: DataFrame, n: int = 5, num: int = 4, den: int
 
     def arrays_of(batch: pa.RecordBatch):
         found = shingle_sets(*word_hashes(batch.column(1)), n)
-        yield batch_of({"m": batch.column(0), "s": pa.array([s.tobytes() for s in found], pa.binary()), "bits": pa.array([bitmap(s).tobytes() for s in found], pa.binary())})
+        mine = pa.array([len(s) > 0 and int(set_hash(s).view(np.int64)) == m for s, m in zip(found, batch.column(0).to_pylist(), strict=True)], pa.bool_())
+        yield batch_of({"m": batch.column(0), "n": pa.array([len(s) for s in found], pa.int64()), "s": pa.array([s.tobytes() for s in found], pa.binary()), "bits": pa.array([bitmap(s) for s in found], pa.binary())}).filter(mine)
 
     texts = text.join(maybe_broadcast(wanted), "doc_id").select("set_hash", "text")
-    arrays = scratch.save(map_arrow(texts, arrays_of, "m long, s binary, bits binary").dropDuplicates(["m"]), codec="none")
+    arrays = scratch.save(map_arrow(texts, arrays_of, "m long, n long, s binary, bits binary"), codec="none")
 
     def verify(pairs: DataFrame) -> DataFrame:
         def fn(batch: pa.RecordBatch):
             keep = []
-            for sa, ba, sb, bb in zip(*(batch.column(i) for i in range(2, 6)), strict=True):
-                sa, ba, sb, bb = (np.frombuffer(x.as_buffer(), np.uint64) for x in (sa, ba, sb, bb))
-                keep.append(linked(sa, ba, sb, bb, num, den))
+            for a, b in zip(batch.column(2), batch.column(3), strict=True):
+                keep.append(linked(np.frombuffer(a.as_buffer(), np.uint64), np.frombuffer(b.as_buffer(), np.uint64), num, den))
             yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
-        one, two = (arrays.select(F.col("m").alias(x), F.col("s").alias("s" + x), F.col("bits").alias("bits" + x)) for x in "ab")
-        return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "sa", "bitsa", "sb", "bitsb"), fn, "a long, b long")
+        one, two = (arrays.select(F.col("m").alias(x), F.col("s").alias("s" + x)) for x in "ab")
+        return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "sa", "sb"), fn, "a long, b long")
 
-    parts, links = resolve_tiles(scratch, tiles, verify)
+    parts, links = resolve_tiles(scratch, tiles, arrays.select("m", "n", "bits"), verify, num, den)
+    links = links.distinct()
     ends = links.select(F.col("a").alias("set_hash")).union(links.select(F.col("b").alias("set_hash"))).groupBy("set_hash").agg(F.count("*").alias("n_links"))
     joined = sets.join(parts.select(F.col("node").alias("set_hash"), "component"), "set_hash", "left").withColumn("component", F.coalesce("component", "set_hash"))
     least = joined.groupBy("component").agg(F.min("rep").alias("component_id"))
