@@ -117,7 +117,8 @@ def parse(text: str) -> Node:
 
 
 def text_blocks(root: Node, low: frozenset[str] | set[str] = frozenset()) -> list[str]:
-    """Blocks of text in page order. If the page has an article, only articles; low: paths of branches to leave out."""
+    """Blocks of text in page order. If the page has an article, only articles; low: paths of low importance. A branch is
+    left out when all its nodes are low, which is to say that each node of low importance loses its own text."""
     blocks: list[str] = []
     open_: list[str] = []
 
@@ -146,9 +147,8 @@ def text_blocks(root: Node, low: frozenset[str] | set[str] = frozenset()) -> lis
             continue
         path = f"{path}/{node.style}"
         inside = inside or node.main
-        if not inside and path in low:
-            continue
         take = take or node.main
+        quiet = not inside and path in low
         inline = node.tag in _INLINE
         if node.tag in ("br", "hr"):
             close()
@@ -156,7 +156,7 @@ def text_blocks(root: Node, low: frozenset[str] | set[str] = frozenset()) -> lis
         if not inline:
             close()
             stack.append(None)
-        stack.extend((c, path, take, inside) for c in reversed(node.children))
+        stack.extend((c, path, take and not (quiet and isinstance(c, str)), inside) for c in reversed(node.children))
     close()
     return blocks
 
