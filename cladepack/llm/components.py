@@ -15,14 +15,65 @@ from .common import Scratch, map_arrow
 _SPREAD = np.uint64(0xA0761D6478BD642F)
 
 
-def connected_components(scratch: Scratch, links: DataFrame, most_rounds: int = 60) -> DataFrame:
+#: Links that one task unites.
+TASK_LINKS = 500_000
+
+
+def _unite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Union-find over the links of one partition: (node, least node of its tree) for every node but the roots."""
+    found = [(np.asarray(b.column(0)), np.asarray(b.column(1))) for b in batches if b.num_rows]
+    if not found:
+        return
+    a, b = (np.concatenate(x) for x in zip(*found, strict=True))
+    nodes, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    root = list(range(len(nodes)))
+    for x, y in zip(at[: len(a)].tolist(), at[len(a) :].tolist(), strict=True):
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        while root[y] != y:
+            root[y] = root[root[y]]
+            y = root[y]
+        if x != y:  # nodes are in order, so the smaller index is the smaller node
+            root[max(x, y)] = min(x, y)
+    for x in range(len(root)):
+        root[x] = root[root[x]]
+    top = nodes[np.array(root)]
+    keep = top != nodes
+    yield pa.RecordBatch.from_arrays([pa.array(nodes[keep]), pa.array(top[keep])], ["u", "v"])
+
+
+def connected_components(scratch: Scratch, links: DataFrame, most_rounds: int = 60, task_links: int = TASK_LINKS) -> DataFrame:
     """(node, component) for every node of links(a, b); component is the smallest node reachable.
 
-    Alternating star rewiring: each round hangs the neighbours of a node on the least of them, once upwards and once
-    downwards, until the edges stand still. A round is two aggregates with a join each, both keyed by node and combined
-    before the shuffle; its edges are written to the shared folder. Null or equal ends are ignored; links may repeat.
+    A distributed union-find. Every task unites up to task_links of the links and hands on its trees, one edge a node. If
+    there was more than one task, the trees are joined by alternating star rewiring: each round hangs the neighbours of a
+    node on the least of them, once upwards and once downwards, until the edges stand still. A round is two aggregates with
+    a join each, both keyed by node and combined before the shuffle; its edges are written to the shared folder. Null or
+    equal ends are ignored; links may repeat.
     """
-    edges = scratch.save(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
+    edges = scratch.save(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v"))
+    tasks = -(-edges.count() // task_links)
+    whole = edges
+    while tasks > 1:  # fewer edges after a pass may need fewer tasks
+        before, edges = edges, scratch.save(edges.repartition(tasks, "v").mapInArrow(_unite, "u long, v long"))
+        now = -(-edges.count() // task_links)
+        if before is not whole:
+            scratch.drop(before)
+        if now >= tasks or now == 1:
+            tasks = now
+            break
+        tasks = now
+    if tasks <= 1:
+        edges = scratch.save(edges.coalesce(1).mapInArrow(_unite, "u long, v long"))
+    else:
+        edges = _stars(scratch, edges, most_rounds)
+    roots = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
+    return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots)
+
+
+def _stars(scratch: Scratch, edges: DataFrame, most_rounds: int) -> DataFrame:
+    """Edges (u, v), u > v, rewired until every node hangs on the least of its component."""
     seen = None
     for _ in range(most_rounds):
         both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -33,15 +84,11 @@ def connected_components(scratch: Scratch, links: DataFrame, most_rounds: int =
         down = up.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
         after = scratch.save(down.union(low.select("u", F.col("m").alias("v"))).distinct())
         mark = after.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
-        scratch.drop(edges)
         edges = after
         if mark == seen or not mark[0]:
-            break
+            return edges
         seen = mark
-    else:
-        raise RuntimeError(f"components did not settle in {most_rounds} rounds")
-    roots = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
-    return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots)
+    raise RuntimeError(f"components did not settle in {most_rounds} rounds")
 
 
 # --- tiles --------------------------------------------------------------------------------------------------------
@@ -91,9 +138,16 @@ def _pair_bound(batch: pa.RecordBatch, num: int, den: int):
     yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
 
-def _tile_pairs(m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.ndarray], block: np.ndarray, num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of one tile, or of two blocks of it, that lie in different components and that sizes and bitmaps allow."""
-    w = min(map(len, bits))
+def _tile_pairs(tile: int, m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.ndarray], block: np.ndarray, shared: list[np.ndarray], num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of one tile, or of two blocks of it, that lie in different components, that sizes and bitmaps allow, and of
+    whose common tiles this is the first."""
+    w, sets = min(map(len, bits)), {}
+
+    def mine(i: int) -> set[int]:
+        if i not in sets:
+            sets[i] = set(shared[i].tolist())
+        return sets[i]
+
     rows = np.stack([fold(x, w) for x in bits])
     two = bool(len(block)) and block.min() != block.max()
     one, other = [], []
@@ -103,6 +157,7 @@ def _tile_pairs(m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.n
         j = j[(label[j] != label[i]) & (np.minimum(n[i], n[j]) >= least) & ((block[j] != block[i]) if two else True)]
         if len(j):
             j = j[overlap_bound(n[i], rows[i], n[j], rows[j]) >= least_overlap(n[i], n[j], num, den)]
+            j = j[[min(mine(i) & mine(k)) == tile for k in j.tolist()]] if len(j) else j
             one.append(np.full(len(j), m[i]))
             other.append(m[j])
     if not one:
@@ -112,7 +167,7 @@ def _tile_pairs(m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.n
 
 
 def _tiles_in_order(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
-    """Groups of rows (tile, i, j, m, l, n, bits, block) that stand together, one after the other; holds one group."""
+    """Groups of rows (tile, i, j, m, l, n, bits, block, shared) that stand together, one after the other; holds one group."""
     rest = None
     last = object()
     for batch in chain(batches, [last]):
@@ -129,11 +184,12 @@ def _tiles_in_order(batches: Iterator[pa.RecordBatch], num: int, den: int) -> It
         edges = np.concatenate(([0], np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(0)) + 1, [now.num_rows]))
         stop = len(edges) - 1 if done is not None else len(edges) - 2
         m, label, n, block = (now.column(c).to_numpy() for c in ("m", "l", "n", "block"))
-        maps = now.column("bits")
+        maps, lists = now.column("bits"), now.column("shared")
         for k in range(stop):
             at = slice(edges[k], edges[k + 1])
             bits = [np.frombuffer(x.as_buffer(), np.uint64) for x in maps.slice(at.start, at.stop - at.start)]
-            a, b = _tile_pairs(m[at], label[at], n[at], bits, block[at], num, den)
+            shared = [np.frombuffer(x.values.buffers()[1], np.int64)[x.values.offset : x.values.offset + len(x.values)] for x in lists.slice(at.start, at.stop - at.start)]
+            a, b = _tile_pairs(int(keys[0, at.start]), m[at], label[at], n[at], bits, block[at], shared, num, den)
             if len(a):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
         rest = now.slice(edges[stop]) if done is None else None
@@ -177,7 +233,7 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, sketches: DataFrame, verif
         led = members.withColumn("lead", lead)
         apart = led.where("m <> lead.m and l <> lead.l").select(F.least("m", "lead.m").alias("a"), F.greatest("m", "lead.m").alias("b")).distinct()
         near = apart.join(one, "a").join(two, "b").select("a", "b", "na", "bitsa", "nb", "bitsb")
-        settle(scratch.save(map_arrow(near, lambda b: _pair_bound(b, num, den), "a long, b long")))
+        settle(map_arrow(near, lambda b: _pair_bound(b, num, den), "a long, b long"))
         rest = led.where("m <> lead.m").select("tile", "m").join(parts.select(F.col("node").alias("m"), "component"), "m", "left")
         rest = rest.select("tile", "m", F.coalesce("component", "m").alias("l"))
         mixed = rest.withColumn("lo", F.min("l").over(per_tile)).withColumn("hi", F.max("l").over(per_tile)).where("lo <> hi").select("tile", "m", "l")
@@ -190,9 +246,11 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, sketches: DataFrame, verif
     sized = members.withColumn("blocks", F.ceil(F.count("*").over(per_tile) / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
     dealt = sized.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(sketches, "m")
-    # of a pair of one block, only the group (i, i) takes it; groups of two blocks take pairs across
-    dealt = dealt.select("tile", "i", "j", "m", "l", F.col("n").cast("long").alias("n"), "bits", "block")
+    # of a pair of one block, only the group (i, i) takes it; groups of two blocks take pairs across. A pair may share many
+    # tiles: with the tiles that its members are left in (as many as a set has segments at most), one of them takes it
+    dealt = dealt.select("tile", "i", "j", "m", "l", F.col("n").cast("long").alias("n"), "bits", "block").join(members.groupBy("m").agg(F.collect_list("tile").alias("shared")), "m")
+    dealt = dealt.select("tile", "i", "j", "m", "l", "n", "bits", "block", "shared")
     parts_n = max(8, scratch.spark.sparkContext.defaultParallelism, int(scratch.spark.conf.get("spark.sql.shuffle.partitions")))
     near = dealt.repartition(parts_n, "tile", "i", "j").sortWithinPartitions("tile", "i", "j").mapInArrow(lambda b: _tiles_in_order(b, num, den), "a long, b long")
-    settle(scratch.save(near.distinct()))
+    settle(near.distinct())
     return parts, links
