@@ -43,7 +43,7 @@ def mask_bits(table: DataFrame, taxa: list[str], subset: list[str]) -> DataFrame
 def subset_supports(container: DataFrame, taxa: list[str], subset: list[str]) -> DataFrame:
     """(bits, card, n_support) of clusters cut down to a subset."""
     cut = mask_bits(container_entries(container).select("first_tree", "bits", "support"), taxa, subset)
-    per_tree = cut.select("bits", (F.col("first_tree") + F.explode("support")).alias("tree_id")).distinct()
+    per_tree = cut.select("bits", "first_tree", F.explode("support").alias("s")).select("bits", (F.col("first_tree") + F.col("s")).alias("tree_id")).distinct()
     card = F.length(F.translate(F.conv(F.hex("bits"), 16, 2), "0", "")) if len(subset) <= 60 else F.lit(None).cast("int")
     return per_tree.groupBy("bits").agg(F.count("*").alias("n_support")).withColumn("card", card)
 
@@ -104,7 +104,7 @@ def bits_of(taxa: list[str], members: list[str]) -> bytes:
 
 def trees_with(entries: DataFrame, bits: bytes) -> DataFrame:
     """Ids of the trees that have a cluster."""
-    return entries.where(F.col("bits") == F.lit(bits)).select((F.col("first_tree") + F.explode("support")).alias("tree_id"))
+    return entries.where(F.col("bits") == F.lit(bits)).select("first_tree", F.explode("support").alias("s")).select((F.col("first_tree") + F.col("s")).alias("tree_id"))
 
 
 def clusters_of(entries: DataFrame, tree_id: int) -> DataFrame:

@@ -9,11 +9,19 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..operators import codec as cd
 
+#: Start of the hour numbers, 2024-01-01 UTC.
+EPOCH = 1_704_067_200
+
 
 def event_stream(spark, path: str, schema, max_files: int = 1) -> DataFrame:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", max_files).parquet(path)
 
 
+def utc(events: DataFrame) -> DataFrame:
+    """Wall-clock times read as UTC, whatever the session's zone and whether the column has one."""
+    return events.withColumn("ts", F.to_timestamp(F.concat(F.col("ts").cast("string"), F.lit("Z"))))
+
+
 def bucket_counts(events: DataFrame, width: str = "1 hour", slide: str | None = None, late: str = "1 hour", buckets: int = 16) -> DataFrame:
     """(start, bucket, n) of tumbling or sliding windows; rows later than the watermark are dropped by Spark, which counts
     them. Works on streams and tables."""
@@ -33,7 +41,7 @@ def hourly_clusters(counts: DataFrame, buckets: int = 16, levels: int = 3) -> Da
     the batch of a stream."""
     from pyspark.sql import Window
 
-    hour = ((F.unix_timestamp("start") - F.unix_timestamp(F.lit("2024-01-01 00:00:00").cast("timestamp"))) / 3600).cast("long")
+    hour = ((F.unix_timestamp("start") - EPOCH) / 3600).cast("long")
     per = counts.groupBy(hour.alias("tree_id")).agg(F.map_from_entries(F.collect_list(F.struct("bucket", "n"))).alias("m"))
     grid = per.select("tree_id", "m", F.explode(F.sequence(F.lit(0), F.lit(buckets - 1))).alias("taxon")).withColumn("n", F.coalesce(F.col("m")[F.col("taxon")], F.lit(0)))
     ranked = grid.withColumn("r", F.row_number().over(Window.partitionBy("tree_id").orderBy(F.desc("n"), "taxon")) - 1)

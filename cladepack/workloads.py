@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import math
 import tempfile
 import uuid
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import sqlapi
@@ -328,7 +327,7 @@ def trees_with_cluster(spark: SparkSession, d: str) -> DataFrame:
     """Trees that have the most frequent proper pair of each region's nations: lookups by bits in the packed table."""
     trees, labels = trees_of(spark, d, "nat")
     entries = members_text(co.container_entries(cd.compress(trees, taxa=labels)).where("card = 2").select("bits", "first_tree", "support"), 25, 2)
-    return entries.select("members", (F.col("first_tree") + F.explode("support")).alias("tree_id"))
+    return entries.select("members", "first_tree", F.explode("support").alias("s")).select("members", (F.col("first_tree") + F.col("s")).alias("tree_id"))
 
 
 def taxon_instability(spark: SparkSession, d: str) -> DataFrame:
@@ -555,7 +554,7 @@ def _stream(spark: SparkSession, d: str) -> DataFrame:
     path = f"{d}/events.parquet"
     schema = spark.read.parquet(path).schema
     # a file stream takes folders or globs
-    return spark.readStream.schema(schema).parquet(path[:-1] + "*")
+    return ingest.utc(spark.readStream.schema(schema).parquet(path[:-1] + "*"))
 
 
 def _drained(spark: SparkSession, stream: DataFrame) -> DataFrame:
