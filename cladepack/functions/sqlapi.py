@@ -9,14 +9,23 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..kernels import codes
 from ..kernels import deflate as df
 from ..kernels import newick as nw
 
 
+# types as objects: names would need a running session when the module is imported
+_KINDS = {"boolean": T.BooleanType(), "string": T.StringType(), "binary": T.BinaryType()}
+
+
+def _row(**fields: T.DataType) -> T.StructType:
+    return T.StructType([T.StructField(k, v) for k, v in fields.items()])
+
+
 def _scalar(fn, kind: str):
-    @F.pandas_udf(kind)
+    @F.pandas_udf(_KINDS[kind])
     def run(x: pd.Series) -> pd.Series:
         return x.map(lambda v: None if v is None else fn(v))
 
@@ -41,23 +50,23 @@ own_deflate = _scalar(lambda x: df.deflate_blocks(df.lz77_tokens(bytes(x)))[0],
 own_inflate = _scalar(lambda x: df.inflate_blocks(bytes(x)), "binary")
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def packed_bits_decode(code: pd.Series, n: pd.Series) -> pd.Series:
     return pd.Series([None if c is None else codes.packed_bits_decode(bytes(c), int(k))[0] for c, k in zip(code, n, strict=True)])
 
 
-@F.pandas_udf("array<int>")
+@F.pandas_udf(T.ArrayType(T.IntegerType()))
 def packed_ids_decode(code: pd.Series, n: pd.Series) -> pd.Series:
     return pd.Series([None if c is None else codes.packed_ids_decode(bytes(c), int(k), 0, True)[0].tolist() for c, k in zip(code, n, strict=True)])
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def support_pack(ids: pd.Series) -> bytes:
     """Aggregate: code of a group's ids, whatever their order. A group is a cluster in one block."""
     return codes.packed_ids_encode(np.sort(ids.to_numpy()), True)
 
 
-@F.udtf(returnType="node_id int, parent_id int, card int, label string, length_lex string")
+@F.udtf(returnType=_row(node_id=T.IntegerType(), parent_id=T.IntegerType(), card=T.IntegerType(), label=T.StringType(), length_lex=T.StringType()))
 class NewickNodes:
     def eval(self, text: str):
         t = nw.parse(text)
@@ -65,13 +74,13 @@ class NewickNodes:
             yield i, t.parent[i], t.last[i] - t.first[i] + 1, t.label[i], t.length[i]
 
 
-@F.udtf(returnType="literal int, length int, distance int")
+@F.udtf(returnType=_row(literal=T.IntegerType(), length=T.IntegerType(), distance=T.IntegerType()))
 class Lz77Tokens:
     def eval(self, data: bytes):
         yield from df.lz77_tokens(bytes(data))
 
 
-@F.udtf(returnType="symbol int, n long, code_length int")
+@F.udtf(returnType=_row(symbol=T.IntegerType(), n=T.LongType(), code_length=T.IntegerType()))
 class HuffmanTable:
     def eval(self, data: bytes):
         counts = Counter(bytes(data))

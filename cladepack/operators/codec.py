@@ -381,7 +381,7 @@ class Block:
         self.tree, self.entry = tree[order], entry[order]
         self.lens = self.names = None
         if side:
-            count = [len(s) for s in self.sets] + [len(self.there)] * (n + 1)
+            count = [len(s) for s in self.sets] + [len(self.there)] * (n + (n > 1))
             self.starts = np.concatenate(([0], np.cumsum(count)))
             if row["lengths"] is not None:
                 self.lens = _unpack_lengths(row["lengths"], int(self.starts[-1]))
@@ -389,6 +389,9 @@ class Block:
                 self.names = json.loads(zlib.decompress(row["labels"]))
 
     def newick(self, local: int, method: str = "leaf_path") -> str:
+        if self.n == 1:
+            alone = None if self.lens is None else self.lens[int(np.searchsorted(self.there, local))]
+            return nw.write(0, [[]], list(self.taxa), [alone])
         a, b = np.searchsorted(self.tree, [local, local + 1])
         mine = self.entry[a:b]
         rows = np.unpackbits(self.bits[mine], axis=1)[:, : self.n].astype(bool)
@@ -409,8 +412,6 @@ class Block:
             if self.lens is not None:
                 for x in range(self.n):
                     length[x] = self.lens[self.starts[k + x] + spot]
-        if self.n == 1:
-            return nw.write(0, [[]], label[:1], length[:1])
         return nw.write(len(kids) - 1, kids, label, length)
 
 

@@ -108,4 +108,6 @@ class ContainerReader(DataSourceReader):
 
 
 def register(spark: SparkSession) -> None:
+    """Make the format known, with filters reaching it."""
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(ContainerSource)
