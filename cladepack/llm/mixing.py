@@ -111,18 +111,18 @@ def mix_sources(docs: DataFrame, weights: list[float] = (3, 1, 2), share: float
 
     # a source's stream: documents by hash of their id; its ranges are stretches of that order
     n_ranges = max(1, -(-n_rows // RANGE_ROWS))
-    mark = F.md5(F.col("doc_id").cast("string"))
+    mark = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
     stretch = F.floor(F.conv(F.substring("mark", 1, 8), 16, 10).cast("double") * n_ranges / F.lit(4294967296.0))
     placed = rows.join(maybe_broadcast(targets), rows["source"].eqNullSafe(targets["source"])).drop(targets["source"]).withColumn("mark", mark).withColumn("stretch", stretch)
-    placed = scratch.save(_before(placed, ["source_id"], ["mark", "doc_id"], "size", "stretch", "start", scratch).withColumn("row", F.struct("mark", "doc_id", "start")))
+    placed = scratch.save(_before(placed, ["source_id"], ["mark", "doc_id"], "size", "stretch", "start", scratch))
 
     # the stream runs twice at most; a document's words in run e stand at e * source_size + start
-    runs = placed.where("size > 0").select("source_id", "doc_id", "start", "size", "target", F.explode(F.array(F.col("start"), F.col("start") + F.col("source_size"))).alias("at"))
+    runs = placed.where("size > 0").select("source_id", "start", "size", "target", F.explode(F.array(F.col("start"), F.col("start") + F.col("source_size"))).alias("at"))
     runs = runs.withColumn("end", F.least(F.col("at") + F.col("size"), F.floor("target"))).where("at < end")
     pieces = runs.withColumn("rank", F.explode(F.sequence(F.floor(F.col("at") / block), F.floor((F.col("end") - 1) / block))))
     cut = F.least(F.col("end"), (F.col("rank") + 1) * block) - F.greatest(F.col("at"), F.col("rank") * block)
-    taken = pieces.withColumn("words", cut).join(plan, ["source_id", "rank"]).groupBy("source_id", "doc_id", "start").agg(F.sum("words").alias("taken"))
-    out = placed.join(taken, ["source_id", "doc_id", "start"], "left")
+    taken = pieces.withColumn("words", cut).join(plan, ["source_id", "rank"]).groupBy("source_id", "start").agg(F.sum("words").alias("taken"))
+    out = placed.join(taken, ["source_id", "start"], "left")
     # rows without words share a start with the row after them
     words = F.when(F.col("size") > 0, F.coalesce("taken", F.lit(0))).otherwise(F.lit(0)).cast("long")
     return out.select("doc_id", "source", "size", "source_size", F.col("target").cast("double").alias("target"), words.alias("taken"))
