@@ -202,7 +202,8 @@ def lookup(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str, n_r
     than HOT_GROUPS of those, so they are broadcast and their rows stay where they are. The others are shuffled."""
     hot = F.col(weight) > max(1000, n_rows // HOT_GROUPS)
     value = [c for c in groups.columns if c not in keys]
-    flagged = rows.join(F.broadcast(groups.where(hot).select(*keys, F.struct(*value).alias("_hot"))), keys, "left")
+    few = groups.where(hot).select(*keys, F.struct(*value).alias("_hot"))
+    flagged = rows.join(F.broadcast(few), keys, "left")
     inner = flagged.where("_hot is not null").select(*rows.columns, *[F.col(f"_hot.{c}").alias(c) for c in value])
     rest = flagged.where("_hot is null").select(*rows.columns).join(groups.where(~hot), keys, "left")
     return inner.unionByName(rest.select(*rows.columns, *value))

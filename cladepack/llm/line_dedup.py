@@ -73,25 +73,28 @@ def shingles(line: str) -> set[str]:
     return {low[i : i + SHINGLE] for i in range(len(low) - SHINGLE + 1)}
 
 
-def _line_tiles(batch: pa.RecordBatch):
-    lines: dict[str, int] = {}
+def _line_tiles(batch: pa.RecordBatch, hot: dict[int, int]):
+    lines: dict[str, list[int]] = {}
     for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
         if text:
             for line in text.split("\n"):
-                if len(line) >= SHINGLE and line not in lines and not line.isspace():
-                    lines[line] = doc
-    items, at = list(lines.items()), 0
+                if len(line) >= SHINGLE and not line.isspace():
+                    lines.setdefault(line, []).append(doc)
+    hashes = {x: xxhash.xxh64_intdigest(x.encode("utf-8", "surrogatepass"), 42) for x in lines}
+    # a hot line comes from the document that has it first
+    items = [x for x, docs in lines.items() if (lead := hot.get(hashes[x], docs[0])) in docs or lead is None]
+    at = 0
     while at < len(items):
         size, end = 0, at
-        while end < len(items) and (end == at or size + len(items[end][0]) <= _PIECE):
-            size += len(items[end][0])
+        while end < len(items) and (end == at or size + len(items[end]) <= _PIECE):
+            size += len(items[end])
             end += 1
-        low = [x.lower() for x, _ in items[at:end]]
+        low = [x.lower() for x in items[at:end]]
         ends = np.cumsum([len(x) for x in low])
         code = np.frombuffer("".join(low).encode("utf-32-le", "surrogatepass"), np.uint32)
         keys = band_keys(signatures(code, np.concatenate(([0], ends[:-1])), ends))
-        m = np.array([xxhash.xxh64_intdigest(x.encode("utf-8", "surrogatepass"), 42) for x, _ in items[at:end]], np.uint64)
-        yield batch_of({"tile": signed(keys.ravel()), "m": signed(np.repeat(m, BANDS)), "doc_id": pa.array(np.repeat([d if d is not None else -1 for _, d in items[at:end]], BANDS), pa.int64())})
+        m = np.array([hashes[x] for x in items[at:end]], np.uint64)
+        yield batch_of({"tile": signed(keys.ravel()), "m": signed(np.repeat(m, BANDS))})
         at = end
 
 
@@ -119,8 +122,9 @@ def line_components(docs: DataFrame, num: int = 4, den: int = 5) -> tuple[DataFr
     first = F.struct("doc_id", "line_no")
     uniq = seen.where("m is not null").groupBy("m").agg(F.count("*").alias("n"), F.min(first).alias("first"))
 
-    hot = uniq.where(F.col("n") > max(1000, n_rows // HOT_GROUPS)).select("m", F.col("first.doc_id").alias("rep"))
-    rows = map_arrow(text, _line_tiles, "tile long, m long, doc_id long", 256).join(F.broadcast(hot), "m", "left").where("rep is null or rep = doc_id").select("tile", "m")
+    hot = uniq.where(F.col("n") > max(1000, n_rows // HOT_GROUPS)).select("m", F.col("first.doc_id").alias("rep")).collect()  # fewer than HOT_GROUPS
+    sent = docs.sparkSession.sparkContext.broadcast({r["m"] & 0xFFFFFFFFFFFFFFFF: r["rep"] for r in hot})
+    rows = map_arrow(text, lambda b: _line_tiles(b, sent.value), "tile long, m long", 256)
     w = Window.partitionBy("tile")
     tiles = scratch.save(rows.withColumn("lo", F.min("m").over(w)).withColumn("hi", F.max("m").over(w)).where("lo <> hi").select("tile", "m").distinct())
 

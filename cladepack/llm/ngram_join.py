@@ -19,7 +19,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, shingle_sets, signed, word_hashes
@@ -105,19 +105,21 @@ def ngram_jaccard_components(docs: DataFrame, n: int = 5, num: int = 4, den: int
     n_rows = profile.count()
     sets = scratch.save(profile.where("set_hash is not null").groupBy("set_hash").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n_copies")))
 
+    # of a hot group of equal sets only its representative enters the tiles; there are fewer than HOT_GROUPS of those
+    hot = sets.where(F.col("n_copies") > max(1000, n_rows // HOT_GROUPS)).select("set_hash", "rep")
+    sent = spark.sparkContext.broadcast({r["set_hash"]: r["rep"] for r in hot.collect()})
+
     def tiles_of(batch: pa.RecordBatch):
         keys, member = [], []
-        for s in shingle_sets(*word_hashes(batch.column(1)), n):
-            keys.append(t := tile_keys(s, num, den))
-            member.append(np.full(len(t), set_hash(s) if len(s) else 0, np.uint64))
+        for doc_id, s in zip(batch.column(0).to_pylist(), shingle_sets(*word_hashes(batch.column(1)), n), strict=True):
+            m = set_hash(s) if len(s) else np.uint64(0)
+            if sent.value.get(int(m.view(np.int64)), doc_id) == doc_id:
+                keys.append(t := tile_keys(s, num, den))
+                member.append(np.full(len(t), m, np.uint64))
         if sum(map(len, keys)):
-            yield batch_of({"tile": signed(np.concatenate(keys)), "m": signed(np.concatenate(member)), "doc_id": pa.array(np.repeat(np.asarray(batch.column(0)), [len(k) for k in keys]), pa.int64())})
-
-    # of a hot group of equal sets only its representative enters the tiles; the list of those is bounded
-    hot = sets.where(F.col("n_copies") > max(1000, n_rows // HOT_GROUPS)).select(F.col("set_hash").alias("m"), "rep")
-    rows = map_arrow(text, tiles_of, "tile long, m long, doc_id long").join(F.broadcast(hot), "m", "left").where("rep is null or rep = doc_id").select("tile", "m")
-    from pyspark.sql import Window
+            yield batch_of({"tile": signed(np.concatenate(keys)), "m": signed(np.concatenate(member))})
 
+    rows = map_arrow(text, tiles_of, "tile long, m long")
     w = Window.partitionBy("tile")
     tiles = scratch.save(rows.withColumn("lo", F.min("m").over(w)).withColumn("hi", F.max("m").over(w)).where("lo <> hi").select("tile", "m").distinct())
     wanted = tiles.select(F.col("m").alias("set_hash")).distinct().join(sets, "set_hash").select(F.col("rep").alias("doc_id"), "set_hash")
