@@ -13,6 +13,8 @@ Equal lines are one member, whatever their number. Lines shorter than a shingle
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -31,19 +33,30 @@ _PIECE = 1 << 18
 _DONORS = np.stack([np.random.default_rng(1000 + b).permutation(_BINS) for b in range(_BINS)])
 
 
-def signatures(code: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """MinHash bins (lines x bins) of lines given as ranges of code points; all-ones rows for lines without shingles."""
-    sig = np.full(len(starts) * _BINS, _NONE, np.uint64)
-    line = np.repeat(np.arange(len(starts)), np.maximum(0, ends - starts))
-    at = np.arange(len(line)) - np.repeat(np.cumsum(np.maximum(0, ends - starts)) - np.maximum(0, ends - starts), np.maximum(0, ends - starts)) + np.repeat(starts, np.maximum(0, ends - starts))
-    fits = at + SHINGLE <= np.repeat(ends, np.maximum(0, ends - starts))
-    line, at = line[fits], at[fits]
+def shingle_hashes(code: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(line, hash) of all shingles of lines given as ranges of code points, in order, a bounded number at a time."""
+    counts = np.maximum(0, ends - starts - SHINGLE + 1)
+    line = np.repeat(np.arange(len(starts)), counts)
+    at = np.arange(len(line)) + np.repeat(starts - (np.cumsum(counts) - counts), counts)
     for a in range(0, len(at), _PIECE):
-        i, own = at[a : a + _PIECE], line[a : a + _PIECE]
+        i = at[a : a + _PIECE]
         h = code[i].astype(np.uint64)
         for j in range(1, SHINGLE):
             h = h * _P + code[i + j]
-        h = mix64(h)
+        yield line[a : a + _PIECE], mix64(h)
+
+
+def code_points(lines: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Lower-cased lines in one array of code points, with their starts and ends."""
+    low = [x.lower() for x in lines]
+    ends = np.cumsum([len(x) for x in low])
+    return np.frombuffer("".join(low).encode("utf-32-le", "surrogatepass"), np.uint32), np.concatenate(([0], ends[:-1])), ends
+
+
+def signatures(code: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """MinHash bins (lines x bins) of lines given as ranges of code points; all-ones rows for lines without shingles."""
+    sig = np.full(len(starts) * _BINS, _NONE, np.uint64)
+    for own, h in shingle_hashes(code, starts, ends):
         np.minimum.at(sig, own * _BINS + ((h >> np.uint64(32)) * np.uint64(_BINS) >> np.uint64(32)).astype(np.int64), h)
     sig = sig.reshape(-1, _BINS)
     empty = sig == _NONE
@@ -89,10 +102,7 @@ def _line_tiles(batch: pa.RecordBatch, hot: dict[int, int]):
         while end < len(items) and (end == at or size + len(items[end]) <= _PIECE):
             size += len(items[end])
             end += 1
-        low = [x.lower() for x in items[at:end]]
-        ends = np.cumsum([len(x) for x in low])
-        code = np.frombuffer("".join(low).encode("utf-32-le", "surrogatepass"), np.uint32)
-        keys = band_keys(signatures(code, np.concatenate(([0], ends[:-1])), ends))
+        keys = band_keys(signatures(*code_points(items[at:end])))
         m = np.array([hashes[x] for x in items[at:end]], np.uint64)
         yield batch_of({"tile": signed(keys.ravel()), "m": signed(np.repeat(m, BANDS))})
         at = end
@@ -137,11 +147,14 @@ def line_components(docs: DataFrame, num: int = 4, den: int = 5) -> tuple[DataFr
         return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "x", "y"), lambda b: _line_pairs(b, num, den), "a long, b long")
 
     def sketch(batch: pa.RecordBatch):
-        sets = [shingles(x) for x in batch.column(1).to_pylist()]
-        hashes = [np.fromiter((xxhash.xxh64_intdigest(g.encode("utf-8", "surrogatepass")) for g in s), np.uint64, len(s)) for s in sets]
-        yield batch_of({"m": batch.column(0), "n": pa.array([len(s) for s in sets], pa.int64()), "bits": pa.array([bitmap(h) for h in hashes], pa.binary())})
-
-    sketches = scratch.save(map_arrow(bodies.select("m", "line"), sketch, "m long, n long, bits binary"), codec="none")
+        code, starts, ends = code_points(batch.column(1).to_pylist())
+        found = list(shingle_hashes(code, starts, ends))
+        line, h = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
+        edges = np.searchsorted(line, np.arange(batch.num_rows + 1))
+        sets = [np.unique(h[x:y]) for x, y in zip(edges[:-1], edges[1:], strict=True)]
+        yield batch_of({"m": batch.column(0), "n": pa.array([len(s) for s in sets], pa.int64()), "bits": pa.array([bitmap(s) for s in sets], pa.binary())})
+
+    sketches = scratch.save(map_arrow(bodies.select("m", "line"), sketch, "m long, n long, bits binary", 256), codec="none")
     parts, _ = resolve_tiles(scratch, tiles, sketches, verify, num, den)
     named = uniq.join(parts.select(F.col("node").alias("m"), "component"), "m", "left").where("component is not null or n > 1")
     named = scratch.save(named.select("m", "n", "first", F.coalesce("component", "m").alias("component")))
