@@ -415,7 +415,7 @@ class Block:
         return nw.write(len(kids) - 1, kids, label, length)
 
 
-def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: int | None = None, last: int | None = None, method: str = "leaf_path", split: int = 512) -> DataFrame:
+def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: int | None = None, last: int | None = None, method: str = "leaf_path", split: int = 128) -> DataFrame:
     """(tree_id, newick) of all trees, of those in tree_ids, or of the ids from first to last. Blocks without wanted trees
     are not read; a block is taken in ranges of `split` trees, which are independent tasks. A damaged block raises an error."""
     rows = container
