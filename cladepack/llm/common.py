@@ -209,5 +209,12 @@ def lookup(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str, n_r
     return inner.unionByName(rest.select(*rows.columns, *value))
 
 
+def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """docs without the rows whose doc_id is in gone, columns unchanged. The ids are written and counted: within the limit
+    they are broadcast, so no text moves; beyond it both sides are shuffled."""
+    ids = Scratch(docs.sparkSession, "gone").save(gone.select("doc_id").where("doc_id is not null").distinct())
+    return docs.join(maybe_broadcast(ids), "doc_id", "left_anti").select(*docs.columns)
+
+
 def ascii_lower(c: Column) -> Column:
     return F.translate(c, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")

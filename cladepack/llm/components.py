@@ -95,6 +95,8 @@ def _stars(scratch: Scratch, edges: DataFrame, most_rounds: int) -> DataFrame:
 
 #: Members of one block; a tile of more is worked through in pairs of blocks.
 BLOCK = 256
+#: Members of a tile whose pairs are simply listed.
+SMALL = 8
 
 
 def bitmap(hashes: np.ndarray) -> bytes:
@@ -211,8 +213,8 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, sketches: DataFrame, verif
     First every tile picks a leader - in the same order everywhere, so tiles of one group agree on it -, which is compared
     with the members that are not in its component and then leaves: all its pairs there are settled. So a group of linked
     copies falls into one component without all its pairs. A tile whose members share a component is settled. The tiles
-    that are left - members truly apart - are worked through block by block on bitmaps, in the task that holds the block;
-    only pairs that the bitmaps allow come out of it. No pair of one tile stays unsettled.
+    that are left - members truly apart - give their pairs if they are small; large ones are worked through block by block on
+    bitmaps, in the task that holds the block, and only pairs that the bitmaps allow come out of it. No pair of one tile stays unsettled.
     """
     members = distinct_tiles(scratch, tiles).select("tile", "m", F.col("m").alias("l"))
     links = parts = None
@@ -242,15 +244,23 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, sketches: DataFrame, verif
         if not members.limit(1).count():
             return parts, links
 
-    # a tile of several blocks goes into a group for each pair of its blocks
-    sized = members.withColumn("blocks", F.ceil(F.count("*").over(per_tile) / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
-    dealt = sized.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(sketches, "m")
-    # of a pair of one block, only the group (i, i) takes it; groups of two blocks take pairs across. A pair may share many
-    # tiles: with the tiles that its members are left in (as many as a set has segments at most), one of them takes it
-    dealt = dealt.select("tile", "i", "j", "m", "l", F.col("n").cast("long").alias("n"), "bits", "block").join(members.groupBy("m").agg(F.collect_list("tile").alias("shared")), "m")
-    dealt = dealt.select("tile", "i", "j", "m", "l", "n", "bits", "block", "shared")
+    # small tiles give their pairs, of which close copies share nearly all: no more than SMALL / 2 for each row
+    sized = members.withColumn("size", F.count("*").over(per_tile))
+    few = sized.where(F.col("size") <= SMALL)
+    x, y = few.select("tile", F.col("m").alias("a"), F.col("l").alias("la")), few.select("tile", F.col("m").alias("b"), F.col("l").alias("lb"))
+    pairs = x.join(y, "tile").where("a < b and la <> lb").select("a", "b").distinct()
+    small = map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "na", "bitsa", "nb", "bitsb"), lambda b: _pair_bound(b, num, den), "a long, b long")
+
+    # large ones are worked through in place. A tile of several blocks goes into a group for each pair of its blocks: of a
+    # pair of one block only the group (i, i) takes it, groups of two blocks take pairs across. A pair may share many tiles:
+    # with the tiles that its members are left in (as many as a set has segments at most), one of them takes it
+    many = scratch.save(sized.where(F.col("size") > SMALL))
+    block = many.withColumn("blocks", F.ceil(F.col("size") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
+    dealt = block.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(sketches, "m").join(many.groupBy("m").agg(F.collect_list("tile").alias("shared")), "m")
+    dealt = dealt.select("tile", "i", "j", "m", "l", F.col("n").cast("long").alias("n"), "bits", "block", "shared")
     parts_n = max(8, scratch.spark.sparkContext.defaultParallelism, int(scratch.spark.conf.get("spark.sql.shuffle.partitions")))
-    near = dealt.repartition(parts_n, "tile", "i", "j").sortWithinPartitions("tile", "i", "j").mapInArrow(lambda b: _tiles_in_order(b, num, den), "a long, b long")
+    large = dealt.repartition(parts_n, "tile", "i", "j").sortWithinPartitions("tile", "i", "j").mapInArrow(lambda b: _tiles_in_order(b, num, den), "a long, b long")
+    near = small.union(large)
     settle(near.distinct())
     return parts, links

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, ascii_lower, maybe_broadcast
+from .common import Scratch, ascii_lower, maybe_broadcast, without
 
 #: What separates words: ASCII other than digits and letters.
 BREAKS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
@@ -114,5 +114,4 @@ def decontaminate(docs: DataFrame, items: DataFrame, window: int = 13, num: int
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, window: int = 13) -> DataFrame:
     """The rows of docs that are not contaminated, columns unchanged."""
-    bad = decontaminate(docs, items, window).where("contaminated").select("doc_id")
-    return docs.join(bad, "doc_id", "left_anti").select(*docs.columns)
+    return without(docs, decontaminate(docs, items, window).where("contaminated"))

@@ -21,7 +21,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, batch_of, lookup, map_arrow, mix64
+from .common import Scratch, batch_of, lookup, map_arrow, mix64, without
 
 #: Aimed number of keys in one bucket; the number of buckets follows the input.
 BUCKET_KEYS = 200_000
@@ -226,4 +226,4 @@ def check_bytes(docs: DataFrame, groups: DataFrame, scratch: Scratch, id_col: st
 def drop_exact_duplicates(docs: DataFrame) -> DataFrame:
     """The kept rows of docs, columns unchanged."""
     found = exact_duplicates(docs)
-    return docs.join(found.where("not kept").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    return without(docs, found.where("not kept"))

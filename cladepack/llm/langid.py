@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch_of, map_arrow, mix64
+from .common import batch_of, map_arrow, without
 
 BITS = 15
 ORDERS = (1, 2, 3)
@@ -127,5 +127,5 @@ def identify_languages(docs: DataFrame, folds: int = 5, most: int = TRAIN_ROWS)
 
 def keep_identified(docs: DataFrame, least: float = 0.5, folds: int = 5) -> DataFrame:
     """The rows of docs with a language found at a probability of `least` or more, columns unchanged."""
-    gone = identify_languages(docs, folds).where(~((F.col("lang_pred") != "und") & (F.col("score") >= least))).select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    gone = identify_languages(docs, folds).where(~((F.col("lang_pred") != "und") & (F.col("score") >= least)))
+    return without(docs, gone)

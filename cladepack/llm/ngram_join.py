@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, shingle_sets, signed, word_hashes
+from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, shingle_sets, signed, without, word_hashes
 from .components import bitmap, resolve_tiles
 
 _BAND0, _GROWTH = 8, 1.5
@@ -145,6 +145,8 @@ def ngram_jaccard_components(docs: DataFrame, n: int = 5, num: int = 4, den: int
 
     parts, links = resolve_tiles(scratch, tiles, arrays.select("m", "n", "bits"), verify, num, den)
     links = links.distinct()
+    for done in (tiles, arrays, wanted):  # the links are written: nothing reads these again
+        scratch.drop(done)
     ends = links.select(F.col("a").alias("set_hash")).union(links.select(F.col("b").alias("set_hash"))).groupBy("set_hash").agg(F.count("*").alias("n_links"))
     joined = sets.join(parts.select(F.col("node").alias("set_hash"), "component"), "set_hash", "left").withColumn("component", F.coalesce("component", "set_hash"))
     least = joined.groupBy("component").agg(F.min("rep").alias("component_id"))
@@ -156,5 +158,4 @@ def ngram_jaccard_components(docs: DataFrame, n: int = 5, num: int = 4, den: int
 def keep_one_of_each(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5) -> DataFrame:
     """The rows of docs without near copies: of each component the row with the smallest doc_id stays, columns unchanged."""
     found = ngram_jaccard_components(docs, n, num, den)
-    dropped = found.where("component_id <> doc_id").select("doc_id").distinct()
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    return without(docs, found.where("component_id <> doc_id"))

@@ -197,6 +197,7 @@ def near_texts(rng, groups, copies):
 @pytest.mark.parametrize("n,num,den", [(4, 85, 100), (5, 4, 5), (1, 1, 2)])
 def test_ngram_join_loses_no_link(spark, monkeypatch, n, num, den):
     monkeypatch.setattr(C, "BLOCK", 5)
+    monkeypatch.setattr(C, "SMALL", 3)
     texts = near_texts(random.Random(n), 12, 14) + ["", None, "a", "A", "a b", "one two three four"]
     docs = docs_of(spark, [(i, t, "en", "s") for i, t in enumerate(texts)])
     got = {r["doc_id"]: r["component_id"] for r in ngram_join.ngram_jaccard_components(docs, n, num, den).collect()}
