@@ -96,7 +96,7 @@ def _stars(scratch: Scratch, edges: DataFrame, most_rounds: int) -> DataFrame:
 #: Members of one block; a tile of more is worked through in pairs of blocks.
 BLOCK = 256
 #: Members of a tile whose pairs are simply listed.
-SMALL = 8
+SMALL = 32
 
 
 def bitmap(hashes: np.ndarray) -> bytes:
