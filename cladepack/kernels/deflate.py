@@ -21,16 +21,20 @@ def lz77_tokens(data: bytes, window: int = WINDOW, max_length: int = MAX_LENGTH,
     while at < n:
         best, where = 0, 0
         key = data[at : at + min_match]
+        limit, least = min(max_length, n - at), key
         for p in reversed(seen.get(key, ())[-chain:]) if len(key) == min_match else ():
             if at - p > window:
                 break
-            limit, k = min(max_length, n - at), min_match
+            # only a longer match than the best one counts
+            k = len(least)
+            if data[p : p + k] != least:
+                continue
             while k < limit and data[p + k] == data[at + k]:
                 k += 1
-            if k > best:
-                best, where = k, p
-                if k == limit:
-                    break
+            best, where = k, p
+            if k == limit:
+                break
+            least = data[at : at + k + 1]
         step = best if best >= min_match else 1
         out.append((-1, best, at - where) if step > 1 else (data[at], 0, 0))
         for i in range(at, min(at + step, n - min_match + 1)):
@@ -48,8 +52,8 @@ def lz77_expand(tokens: list[Token]) -> bytes:
         if literal >= 0:
             out.append(literal)
         else:
-            for _ in range(length):
-                out.append(out[-distance])
+            piece = bytes(out[-distance:][:length])
+            out += (piece * (length // distance + 1))[:length]
     return bytes(out)
 
 
