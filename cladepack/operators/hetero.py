@@ -17,9 +17,9 @@ _TAG = re.compile(r"<(/?)([a-zA-Z][a-zA-Z0-9]*)[^>]*?(/?)>")
 _VOID = frozenset(("br", "hr", "img", "input", "link", "meta"))
 
 
-def page_trees(pages: DataFrame, most_leaves: int = 400) -> DataFrame:
+def page_trees(pages: DataFrame) -> DataFrame:
     """(tree_id, newick) of the nesting of each page's elements: a leaf is an element without elements, named by its tag
-    and its number among those of the page. Pages with fewer than two leaves, or more than the limit, give no tree."""
+    and its number among those of the page. Pages with fewer than two leaves give no tree."""
 
     def run(batches):
         for batch in batches:
@@ -46,7 +46,7 @@ def page_trees(pages: DataFrame, most_leaves: int = 400) -> DataFrame:
                     if not kids[x]:
                         seen[tag[x]] = seen.get(tag[x], 0) + 1
                         label[x] = f"{tag[x]}{seen[tag[x]]}"
-                if 2 <= sum(seen.values()) <= most_leaves:
+                if sum(seen.values()) >= 2:
                     ids.append(page)
                     texts.append(nw.canonical(nw.parse(nw.write(0, kids, label, [None] * len(kids)))))
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(texts, pa.string())], ["tree_id", "newick"])

@@ -349,11 +349,14 @@ def merge_blocks(spark: SparkSession, d: str) -> DataFrame:
 
 
 def hetero_pages(spark: SparkSession, d: str) -> DataFrame:
-    """Element trees of pages, packed over the union of their leaves and restored: pages whose canonical text is the same."""
-    trees = hetero.page_trees(table(spark, d, "pages"))
+    """Element trees of pages, packed over the union of their leaves and restored: whether the canonical text is
+    the same, null for a page without a tree."""
+    pages = table(spark, d, "pages")
+    trees = hetero.page_trees(pages)
     taxa = hetero.union_taxa(trees)
     back = on.canonical_newick(hetero.decompress_hetero(hetero.compress_hetero(trees, taxa), taxa)).select("tree_id", F.col("canonical").alias("y"))
-    return on.canonical_newick(trees).join(back, "tree_id", "left").select("tree_id", (F.col("canonical") == F.col("y")).alias("ok"))
+    judged = on.canonical_newick(trees).join(back, "tree_id", "left").select("tree_id", F.coalesce(F.col("canonical") == F.col("y"), F.lit(False)).alias("ok"))
+    return pages.select(F.col("page_id").alias("tree_id")).join(judged, "tree_id", "left").select("tree_id", "ok")
 
 
 # --- model --------------------------------------------------------------------------------------------------------

@@ -239,3 +239,9 @@ def test_deflate_queries_take_whole_texts(spark, duck, tmp_path):
     modes = {(r["asked"], r["mode"]): r["bytes"] for r in wl.queries()["deflate_block_modes"](spark, str(tmp_path)).collect()}
     assert modes["stored", "stored"] == len(page[:9000])
     assert wl.queries()["deflate_own_vs_zlib"](spark, str(tmp_path)).where("own_then_standard and standard_then_own").count() == 1
+
+
+def test_pages_with_many_leaves_and_with_none_have_rows(spark, tmp_path):
+    big = "<ul>" + "".join(f"<li><b>{i}</b></li>" for i in range(450)) + "</ul><p>x</p>"
+    spark.createDataFrame([(1, "u", big), (2, "u", "no elements"), (3, "u", "<p>a</p><p>b</p>"), (4, "u", None)], "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    assert {r["tree_id"]: r["ok"] for r in wl.hetero_pages(spark, str(tmp_path)).collect()} == {1: True, 2: None, 3: True, 4: None}
