@@ -26,8 +26,10 @@ class Dialect:
         self.duck = duck
 
     def members(self, x: str, width: int) -> str:
-        item = f"lpad(CAST({x} AS VARCHAR), {width}, '0')" if self.duck else f"lpad(CAST({x} AS STRING), {width}, '0')"
-        return f"string_agg({item}, ',' ORDER BY {x})" if self.duck else f"array_join(array_sort(collect_list({item})), ',')"
+        if self.duck:
+            return f"string_agg(lpad(CAST({x} AS VARCHAR), {width}, '0'), ',' ORDER BY {x})"
+        # lpad would cut what is longer than the width
+        return f"array_join(transform(array_sort(collect_list({x})), v -> lpad(CAST(v AS STRING), greatest({width}, length(CAST(v AS STRING))), '0')), ',')"
 
     def series(self, lo: str, hi: str, name: str) -> str:
         """A lateral list of the integers lo..hi."""

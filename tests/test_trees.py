@@ -245,3 +245,8 @@ def test_pages_with_many_leaves_and_with_none_have_rows(spark, tmp_path):
     big = "<ul>" + "".join(f"<li><b>{i}</b></li>" for i in range(450)) + "</ul><p>x</p>"
     spark.createDataFrame([(1, "u", big), (2, "u", "no elements"), (3, "u", "<p>a</p><p>b</p>"), (4, "u", None)], "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
     assert {r["tree_id"]: r["ok"] for r in wl.hetero_pages(spark, str(tmp_path)).collect()} == {1: True, 2: None, 3: True, 4: None}
+
+
+def test_members_longer_than_their_width_are_whole(spark):
+    got = spark.sql(f"SELECT {wl.SPARK.members('x', 4)} AS m FROM VALUES (12345L), (7L), (1234L), (10000L) AS t(x)").first()["m"]
+    assert got == "0007,1234,10000,12345"
