@@ -376,6 +376,24 @@ def test_guess_costs():
     assert kinds == ["guess"]
 
 
+def test_guess_cost_alone_decides():
+    spans = lambda t: [(k, t[a:b]) for k, a, b in secrets.find_secrets(t)]
+    long = "".join(random.Random(1).choices("abcXYZ0189-_", k=320))
+    assert spans("pwd: qZ#vLp!xWkRtYb") == [("guess", "qZ#vLp!xWkRtYb")]
+    assert spans(f"Authorization: Bearer {long}") == [("guess", long)]
+    assert spans("the password is: xK9#vQ2!mZ.") == [("guess", "xK9#vQ2!mZ")]
+    assert spans("secret key: wJalrXUtnFEMI9K7") == [("guess", "wJalrXUtnFEMI9K7")]
+    # a cheap value is searched for another context
+    assert spans("credential: token-auth:xK9#vQ2!mZ")[-1][1].endswith("xK9#vQ2!mZ")
+    assert spans("the token is bearer") == [] and spans("passphrase: monkey") == []
+
+
+def test_long_values_are_costed_whole(spark):
+    value = "xK9vQ2mZ" * 100
+    row = secrets.scan_secrets(docs_of(spark, [(1, f"token={value}", None, None)])).collect()[0]
+    assert row["spans"][0]["log10_guesses"] == pytest.approx(secrets.guess_cost(value)[0]) and row["spans"][0]["log10_guesses"] > secrets.guess_cost(value[:256])[0]
+
+
 def test_secrets_odd(spark, odd, none):
     assert secrets.scan_secrets(odd).count() == 10 and secrets.scan_secrets(none).count() == 0
 
