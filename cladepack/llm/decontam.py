@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, ascii_lower, maybe_broadcast, without
+from .common import Scratch, ascii_lower, maybe_broadcast
 
 #: What separates words: ASCII other than digits and letters.
 BREAKS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
@@ -78,7 +78,8 @@ def decontaminate(docs: DataFrame, items: DataFrame, window: int = 13, num: int
 
     A word inside an occurrence of a window is hit; a document is contaminated if it has hits and den * n_hit >= num *
     n_words. Null and empty texts have no words. Repeated items count by their distinct ids; items without words never
-    occur. Rows with equal ids are joined in one row. An empty table on either side is allowed; other columns are ignored.
+    occur. Rows with equal or null ids stay rows of their own. An empty table on either side is allowed; other columns
+    are ignored.
     """
     scratch = Scratch(docs.sparkSession, "decontaminate")
     text = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
@@ -86,12 +87,13 @@ def decontaminate(docs: DataFrame, items: DataFrame, window: int = 13, num: int
     tokens = prefix_tokens(windows, text, scratch)
     facts = tokens.agg(F.count("*"), F.coalesce(F.sum(F.col("single").cast("int")), F.lit(0))).first()
 
-    words = text.select("doc_id", split_words(F.col("text")).alias("ws"))
-    at = words.select("doc_id", "ws", F.posexplode_outer("ws").alias("at", "word"))
+    # rows are numbered, so that those with equal or null ids stay apart; one job reads the numbers
+    words = text.select(F.monotonically_increasing_id().alias("row"), "doc_id", split_words(F.col("text")).alias("ws"))
+    at = words.select("row", "doc_id", "ws", F.posexplode_outer("ws").alias("at", "word"))
     pair = tokens.where("not single").select(F.col("key").alias("key"), F.col("spots"))
     hits = at.withColumn("key", _pair(F.col("ws"), F.col("at"), F.col("word"))).join(maybe_broadcast(pair, facts[0]), "key", "left")
     if facts[1]:  # windows of one word: few, and only with such items
-        one = tokens.where("single").select(F.xxhash64(F.col("spots")[0]["text"]).alias("key1"), F.col("spots").alias("spots1"))
+        one = tokens.where("single").select(F.col("key").alias("key1"), F.col("spots").alias("spots1"))
         hits = hits.withColumn("key1", F.xxhash64(F.lower("word"))).join(maybe_broadcast(one, facts[1]), "key1", "left")
         hits = hits.withColumn("spots", F.when(F.col("spots").isNull(), F.col("spots1")).when(F.col("spots1").isNull(), F.col("spots")).otherwise(F.concat("spots", "spots1")))
     # of a document's words only the first and those that meet a token go on
@@ -100,18 +102,22 @@ def decontaminate(docs: DataFrame, items: DataFrame, window: int = 13, num: int
     fits = lambda s: F.when((F.col("at") >= s["at"]) & (F.col("at") - s["at"] + s["len"] <= F.size("ws")), ascii_lower(place(s)) == s["text"]).otherwise(F.lit(False))
     found = F.transform(F.filter("spots", fits), lambda s: F.struct((F.col("at") - s["at"]).alias("start"), (F.col("at") - s["at"] + s["len"]).alias("end"), s["text"].alias("text")))
     n_words = F.when(F.coalesce("at", F.lit(0)) == 0, count_words(F.col("ws"))).otherwise(F.lit(0).cast("long"))
-    rows = kept.select("doc_id", n_words.alias("n_words"), found.alias("found"))
-    per_doc = rows.groupBy("doc_id").agg(F.sum("n_words").alias("n_words"), F.flatten(F.collect_list("found")).alias("found"))
-    per_doc = per_doc.select("doc_id", "n_words", covered(F.transform("found", lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end")))).alias("n_hit"), F.array_distinct(F.transform("found", lambda x: x["text"])).alias("texts"))
+    rows = kept.select("row", "doc_id", n_words.alias("n_words"), found.alias("found"))
+    per_doc = rows.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.sum("n_words").alias("n_words"), F.flatten(F.collect_list("found")).alias("found"))
+    per_doc = per_doc.select("row", "doc_id", "n_words", covered(F.transform("found", lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end")))).alias("n_hit"), F.array_distinct(F.transform("found", lambda x: x["text"])).alias("texts"))
     per_doc = scratch.save(per_doc)
     owners = windows.select("text", "item_id").distinct()
-    named = per_doc.where("size(texts) > 0").select("doc_id", F.explode("texts").alias("text")).join(maybe_broadcast(owners), "text")
-    named = named.groupBy("doc_id").agg(F.array_sort(F.collect_set("item_id")).alias("item_ids"))
-    out = per_doc.join(named, "doc_id", "left").withColumn("item_ids", F.coalesce("item_ids", F.array().cast("array<string>")))
+    named = per_doc.where("size(texts) > 0").select("row", F.explode("texts").alias("text")).join(maybe_broadcast(owners), "text")
+    named = named.groupBy("row").agg(F.array_sort(F.collect_set("item_id")).alias("item_ids"))
+    out = per_doc.join(named, "row", "left").withColumn("item_ids", F.coalesce("item_ids", F.array().cast("array<string>")))
     bad = (F.col("n_hit") > 0) & (F.lit(den) * F.col("n_hit") >= F.lit(num) * F.col("n_words"))
     return out.select("doc_id", "n_words", "n_hit", F.size("item_ids").cast("long").alias("n_items"), "item_ids", bad.alias("contaminated"))
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, window: int = 13) -> DataFrame:
-    """The rows of docs that are not contaminated, columns unchanged."""
-    return without(docs, decontaminate(docs, items, window).where("contaminated"))
+    """The rows of docs that are not contaminated, columns unchanged. Rows are numbered and saved, so that each is judged
+    by its own text, whatever its id."""
+    scratch = Scratch(docs.sparkSession, "contaminated")
+    rows = scratch.save(docs.withColumn("contaminated_row", F.monotonically_increasing_id()))
+    gone = scratch.save(decontaminate(rows, items, window, id_col="contaminated_row").where("contaminated").select(F.col("doc_id").alias("contaminated_row")))
+    return rows.join(maybe_broadcast(gone), "contaminated_row", "left_anti").select(*docs.columns)

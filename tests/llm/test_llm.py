@@ -306,6 +306,15 @@ def test_decontaminate_is_native_and_takes_odd_tables(spark, odd, none):
     assert decontam.decontaminate(odd, empty).where("n_hit > 0").count() == 0
 
 
+def test_decontaminate_words_with_capitals_and_rows_with_equal_ids(spark):
+    rows = [(1, "Москва"), (2, "москва"), (3, "ÉCOLE x"), (4, "one two three"), (4, "other words"), (None, "one two three"), (None, "more words"), (5, "école")]
+    docs = docs_of(spark, [(i, t, None, None) for i, t in rows])
+    bench = spark.createDataFrame([(1, "Москва"), (2, "москва"), (3, "ÉCOLE"), (4, "one two three")], "item_id long, text string")
+    got = sorted(str((r["doc_id"], r["n_words"], r["n_hit"], r["item_ids"])) for r in decontam.decontaminate(docs, bench).collect())
+    assert got == sorted(str((i, *brute_contamination(t, [(r["item_id"], r["text"]) for r in bench.collect()], 13))) for i, t in rows)
+    assert sorted(r["text"] for r in decontam.drop_contaminated(docs, bench).collect()) == ["more words", "other words", "école"]
+
+
 # --- 6 ------------------------------------------------------------------------------------------------------------
 
 
