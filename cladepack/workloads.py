@@ -612,19 +612,28 @@ def preset_depth(n: int) -> int:
     return next((depth for most, depth in ((218, 20), (500, 24), (1000, 28), (2000, 32)) if n <= most), 36)
 
 
-def workload_trees(spark: SparkSession, d: str, name: str, trees: int | None = None) -> DataFrame:
-    """Replicate trees of a workload. Where the tables are too small for its number of taxa, digests stand in for vectors."""
-    n, noise, source, most = WORKLOADS[name]
+def workload_taxa(spark: SparkSession, d: str, name: str) -> tuple[np.ndarray, list[str]]:
+    """Bits and labels of a workload's taxa. Where the vectors are too few, digests stand in; where those are too few as
+    well, there are fewer taxa."""
+    n, _, source, _ = WORKLOADS[name]
     if source == "emb" and table(spark, d, "embeddings").count() < n:
         source = "md5"
-    bits, labels = fo.embedding_bits(spark, d, n) if source == "emb" else fo.digest_bits(spark, d, n)
+    return fo.embedding_bits(spark, d, n) if source == "emb" else fo.digest_bits(spark, d, n)
+
+
+def workload_trees(spark: SparkSession, d: str, name: str, trees: int | None = None) -> DataFrame:
+    """Replicate trees of a workload."""
+    n, noise, _, most = WORKLOADS[name]
+    bits, labels = workload_taxa(spark, d, name)
     return fo.prefix_trees(spark, bits, labels, trees or most, preset_depth(n), noise)
 
 
-def workload_query(name: str, trees: int):
-    """Sizes, counts and round trip of a workload at a small number of trees."""
+def workload_query(name: str, trees: int | None = None):
+    """Sizes, counts and round trip of a workload, at its own number of trees unless another is given; n_taxa is the
+    number of taxa that the tables really gave."""
 
     def run(spark: SparkSession, d: str) -> DataFrame:
+        n_taxa = len(workload_taxa(spark, d, name)[1])
         made = workload_trees(spark, d, name, trees).persist()
         raw = measures.raw_size(made).first()
         rows = []
@@ -632,7 +641,7 @@ def workload_query(name: str, trees: int):
             packed = cd.compress(made, codec).persist()
             size = measures.container_size(packed).first()
             ok = cd.verify_roundtrip(made, packed).agg(F.avg(F.col("ok").cast("double"))).first()[0]
-            rows.append((name, codec, WORKLOADS[name][0], raw["n_trees"], raw["raw_bytes"], size["comp_bytes"], size["n_entries"], ok))
+            rows.append((name, codec, n_taxa, raw["n_trees"], raw["raw_bytes"], size["comp_bytes"], size["n_entries"], ok))
             packed.unpersist()
         made.unpersist()
         return spark.createDataFrame(rows, "dataset string, codec string, n_taxa int, n_trees long, raw_bytes long, comp_bytes long, n_unique long, ok_share double")
@@ -726,8 +735,7 @@ def _registry() -> dict[str, tuple]:
         "stream_sliding": (stream_sliding, _SLIDING_SQL),
         "stream_session": (stream_session, _SESSION_SQL),
     }
-    small = {"w01": 200, "w02": 100, "w03": 60, "w04": 40, "w05": 40, "w06": 40, "w07": 20, "w08": 20, "w09": 20, "w10": 10, "w11": 10}
-    q |= {f"{name}_codecs": (workload_query(name, trees), None) for name, trees in small.items()}
+    q |= {f"{name}_codecs": (workload_query(name), None) for name in WORKLOADS}
     return q
 
 

@@ -250,3 +250,9 @@ def test_pages_with_many_leaves_and_with_none_have_rows(spark, tmp_path):
 def test_members_longer_than_their_width_are_whole(spark):
     got = spark.sql(f"SELECT {wl.SPARK.members('x', 4)} AS m FROM VALUES (12345L), (7L), (1234L), (10000L) AS t(x)").first()["m"]
     assert got == "0007,1234,10000,12345"
+
+
+def test_workloads_report_their_taxa_and_are_all_registered(spark, sf):
+    rows = wl.workload_query("w07", 3)(spark, sf).collect()
+    assert {r["n_taxa"] for r in rows} == {spark.read.parquet(f"{sf}/customer.parquet").count()} and {r["ok_share"] for r in rows} == {1.0}
+    assert {f"{name}_codecs" for name in wl.WORKLOADS} <= set(wl.queries())
