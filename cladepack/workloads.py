@@ -628,6 +628,25 @@ def workload_trees(spark: SparkSession, d: str, name: str, trees: int | None = N
     return fo.prefix_trees(spark, bits, labels, trees or most, preset_depth(n), noise)
 
 
+def whole_trees(spark: SparkSession, d: str, source: str, trees: int | None = None) -> tuple[DataFrame, list[str]]:
+    """Replicate trees over all rows of embeddings or customer, with the noise and number of trees of the least workload
+    that has as many taxa, or of the largest."""
+    bits, labels = (fo.embedding_bits if source == "emb" else fo.digest_bits)(spark, d, (1 << 63) - 1)
+    n = len(labels)
+    _, noise, _, most = next((w for w in WORKLOADS.values() if w[0] >= n), WORKLOADS["w17"])
+    return fo.prefix_trees(spark, bits, labels, trees or most, preset_depth(n), noise), labels
+
+
+def whole_clusters(source: str, packed: bool, trees: int | None = None):
+    """Clusters of the whole trees, as they are made or after packing and restoring."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        made, labels = whole_trees(spark, d, source, trees)
+        return restored_clusters(cd.decompress(cd.compress(made)) if packed else made, labels, 4 if source == "emb" else 5)
+
+    return run
+
+
 def workload_query(name: str, trees: int | None = None):
     """Sizes, counts and round trip of a workload, at its own number of trees unless another is given; n_taxa is the
     number of taxa that the tables really gave."""
@@ -735,6 +754,8 @@ def _registry() -> dict[str, tuple]:
         "stream_sliding": (stream_sliding, _SLIDING_SQL),
         "stream_session": (stream_session, _SESSION_SQL),
     }
+    q |= {f"forest_{source}_all_clusters": (whole_clusters(source, False), None) for source in ("emb", "md5")}
+    q |= {f"roundtrip_{source}_all": (whole_clusters(source, True), None) for source in ("emb", "md5")}
     q |= {f"{name}_codecs": (workload_query(name), None) for name in WORKLOADS}
     return q
 

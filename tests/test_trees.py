@@ -256,3 +256,14 @@ def test_workloads_report_their_taxa_and_are_all_registered(spark, sf):
     rows = wl.workload_query("w07", 3)(spark, sf).collect()
     assert {r["n_taxa"] for r in rows} == {spark.read.parquet(f"{sf}/customer.parquet").count()} and {r["ok_share"] for r in rows} == {1.0}
     assert {f"{name}_codecs" for name in wl.WORKLOADS} <= set(wl.queries())
+
+
+def test_whole_forests_take_all_rows(spark, sf, duck):
+    from cladepack.plans import forests as fo
+
+    n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
+    noise = next(w for w in wl.WORKLOADS.values() if w[0] >= n)[1]
+    want = duck.sql(f"WITH {fo.emb_sql(wl.DUCK, n, 3, wl.preset_depth(n), noise)} SELECT tree_id, members, card FROM emb").df()
+    for packed in (False, True):
+        assert rows_of(wl.whole_clusters("emb", packed, 3)(spark, sf).toPandas()) == rows_of(want)
+    assert {"forest_emb_all_clusters", "forest_md5_all_clusters", "roundtrip_emb_all", "roundtrip_md5_all"} <= set(wl.queries())
