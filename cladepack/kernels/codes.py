@@ -160,6 +160,28 @@ def read_varint(data: bytes, at: int) -> tuple[int, int]:
         shift += 7
 
 
+def runs_encode(ids) -> bytes:
+    """Strictly ascending ids as runs of consecutive ones: for each the gap before it and its length, as varints. A full
+    range takes a few bytes."""
+    ids = np.asarray(ids, np.int64)
+    if not len(ids):
+        return b""
+    cuts = np.flatnonzero(np.diff(ids) != 1) + 1
+    starts, ends = ids[np.concatenate(([0], cuts))], ids[np.concatenate((cuts - 1, [len(ids) - 1]))] + 1
+    gaps = starts - np.concatenate(([0], ends[:-1]))
+    return b"".join(varint(g) + varint(n) for g, n in zip(gaps.tolist(), (ends - starts).tolist(), strict=True))
+
+
+def runs_decode(data: bytes) -> np.ndarray:
+    out, at, end = [], 0, 0
+    while at < len(data):
+        gap, at = read_varint(data, at)
+        n, at = read_varint(data, at)
+        out.append(np.arange(end + gap, end + gap + n))
+        end += gap + n
+    return np.concatenate(out) if out else np.zeros(0, np.int64)
+
+
 # --- text codes of the baseline -----------------------------------------------------------------------------------
 
 _TEXT = re.compile(r"0+|1+")

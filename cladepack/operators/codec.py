@@ -3,8 +3,9 @@
 A block holds the trees of a range of ids. Trees are parsed and their clusters gathered where they are read: every input
 piece sends on one row for each of its distinct clusters, with the ids of its trees, so clusters that most trees share
 are combined before any shuffle. Rows of one cluster meet by its bits, exactly; they are encoded there, and the codes of a
-block are put together in the order of their bits. Restoring needs one block only: its trees are split into ranges, each of
-which inflates the block, takes the clusters of its trees and rebuilds them.
+block are put together in the order of their bits. Restoring needs one block only. It is inflated and decoded once, where
+it is read, and turned into pieces, one for a range of its trees, with the clusters of those alone. Trees are rebuilt from
+pieces: in the same task where blocks are many, else in tasks of their own, to which the pieces are shuffled.
 """
 
 from __future__ import annotations
@@ -203,7 +204,7 @@ def encode_entries(entries: DataFrame, n: int, spans: dict[int, int], bits_code:
                 lens, labels = ([x for r in rows for x in r[c]] for c in ("lens", "labels"))
                 lens, labels = [lens[i] for i in order], [labels[i] for i in order]
             if not bits:
-                out.append((block, bits, codes.packed_ids_encode(ids, True), ids.astype(np.int32).tobytes(), None, None, 0, 0, len(ids), "+"))
+                out.append((block, bits, codes.runs_encode(ids), ids.astype(np.int32).tobytes(), None, None, 0, 0, len(ids), "+"))
             else:
                 one, two, sign, listed = encode_one(bits, n, ids, sent.value[block], bits_code, ids_code, side)
                 if bits_code == "textrun":
@@ -354,70 +355,121 @@ def in_set(sign: str, ids: np.ndarray, there: np.ndarray, span: int) -> np.ndarr
 
 
 def _trees_of(row: dict) -> np.ndarray:
-    return codes.packed_ids_decode(row["trees"], row["n_trees"], 0, True)[0] if row["n_trees"] else np.zeros(0, np.int64)
+    return codes.runs_decode(row["trees"] or b"")
+
+
+#: A range of trees with its clusters: memberships by tree and ascending size, entries counted from 0 within the piece; lens
+#: and names hold, tree after tree, those of its clusters, then of the leaves (lens only) and of the root.
+_PIECE = "block_id int, lo int, first_tree long, n int, taxa array<string>, there binary, bits binary, tree binary, entry binary, lens array<string>, names array<string>"
 
 
 class Block:
     """A decoded block: packed bits of its clusters and, for every tree, which of them it has."""
 
-    def __init__(self, row: dict, lo: int, hi: int):
+    def __init__(self, row: dict):
         n, span = row["n_taxa"], row["span"]
-        self.n, self.first, self.taxa, self.there = n, row["first_tree"], row["taxa"], _trees_of(row)
-        bits, tree, entry, self.sets = [], [], [], []
-        side = row["lengths"] is not None or row["labels"] is not None
-        for k, (b, sign, ids) in enumerate(decode_payload(open_payload(row), n, span, row["codec"])):
+        self.n, self.first, self.id, self.taxa, self.there = n, row["first_tree"], row["block_id"], row["taxa"], _trees_of(row)
+        bits, sets = [], []
+        for b, sign, ids in decode_payload(open_payload(row), n, span, row["codec"]):
             bits.append(b)
-            members = in_set(sign, ids, self.there, span)
-            if side:
-                self.sets.append(members)
-            members = members[(members >= lo) & (members < hi)]
-            tree.append(members)
-            entry.append(np.full(len(members), k))
+            sets.append(in_set(sign, ids, self.there, span))
         width = (n + 7) // 8
         self.bits = np.frombuffer(b"".join(bits), np.uint8).reshape(-1, width) if bits else np.zeros((0, width), np.uint8)
-        self.card = np.bitwise_count(self.bits).sum(1, dtype=np.int64)
-        tree, entry = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (tree, entry))
-        order = np.lexsort((self.card[entry], tree))
+        count = np.array([len(x) for x in sets], np.int64)
+        entry = np.repeat(np.arange(len(sets)), count)
+        tree = np.concatenate(sets) if sets else np.zeros(0, np.int64)
+        order = np.lexsort((np.bitwise_count(self.bits).sum(1, dtype=np.int64)[entry], tree))
         self.tree, self.entry = tree[order], entry[order]
         self.lens = self.names = None
-        if side:
-            count = [len(s) for s in self.sets] + [len(self.there)] * (n + (n > 1))
+        if row["lengths"] is not None or row["labels"] is not None:
+            self.spot = order  # place of a membership among all, in the order of the payload
             self.starts = np.concatenate(([0], np.cumsum(count)))
-            if row["lengths"] is not None:
-                self.lens = _unpack_lengths(row["lengths"], int(self.starts[-1]))
-            if row["labels"] is not None:
-                self.names = json.loads(zlib.decompress(row["labels"]))
-
-    def newick(self, local: int, method: str = "leaf_path") -> str:
-        if self.n == 1:
-            alone = None if self.lens is None else self.lens[int(np.searchsorted(self.there, local))]
-            return nw.write(0, [[]], list(self.taxa), [alone])
-        a, b = np.searchsorted(self.tree, [local, local + 1])
-        mine = self.entry[a:b]
-        rows = np.unpackbits(self.bits[mine], axis=1)[:, : self.n].astype(bool)
-        rows = np.vstack([rows, np.ones((1, self.n), bool)])
-        kids = tk.children_lists(*tk.METHODS[method](rows))
-        label: list[str | None] = [*self.taxa, *[None] * len(rows)]
-        length: list[str | None] = [None] * len(label)
-        if self.lens is not None or self.names is not None:
-            k = len(self.bits)
-            spot = int(np.searchsorted(self.there, local))
-            for i, e in enumerate([*mine.tolist(), k + self.n]):
-                at = int(np.searchsorted(self.sets[e], local)) if e < k else spot
-                if self.lens is not None:
-                    length[self.n + i] = self.lens[self.starts[e] + at]
-                if self.names is not None:
-                    told = self.names[e if e < k else k]
-                    label[self.n + i] = told[at] if isinstance(told, list) else told
-            if self.lens is not None:
-                for x in range(self.n):
-                    length[x] = self.lens[self.starts[k + x] + spot]
-        return nw.write(len(kids) - 1, kids, label, length)
-
-
-def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: int | None = None, last: int | None = None, method: str = "leaf_path", split: int = 128) -> DataFrame:
+        if row["lengths"] is not None:
+            total = int(self.starts[-1]) + len(self.there) * (n + (n > 1))
+            self.lens = np.array(_unpack_lengths(row["lengths"], total), object)
+        if row["labels"] is not None:
+            self.names = json.loads(zlib.decompress(row["labels"]))
+
+    def _side(self, a: int, b: int, x: int, y: int) -> tuple[list | None, list | None]:
+        """Lengths and labels of the memberships a to b and of the trees at x to y."""
+        lens = names = None
+        tree, entry = self.tree[a:b], self.entry[a:b]
+        k, m = len(self.bits), len(self.there)
+        edges = np.searchsorted(tree, self.there[x : y + 1] if y < m else np.append(self.there[x:], 1 << 40)).tolist()
+        if self.lens is not None:
+            inner, base, lens = self.lens[self.spot[a:b]], int(self.starts[-1]), []
+            rest = self.lens[base:].reshape(-1, m)[:, x:y]
+            for i in range(y - x):
+                lens += [*inner[edges[i] : edges[i + 1]].tolist(), *rest[:, i].tolist()]
+        if self.names is not None:
+            at, names = self.spot[a:b] - self.starts[entry], []
+            told = [t[j] if isinstance(t := self.names[e], list) else t for e, j in zip(entry.tolist(), at.tolist(), strict=True)]
+            root = self.names[k] if self.n > 1 else None
+            for i in range(y - x):
+                names += [*told[edges[i] : edges[i + 1]], root[x + i] if isinstance(root, list) else root]
+        return lens, names
+
+    def pieces(self, split: int, first: int | None, last: int | None) -> Iterator[dict]:
+        """Rows of the trees from first to last, `split` of the block's numbers each."""
+        lo = 0 if first is None else max(0, first - self.first)
+        hi = 1 << 40 if last is None else last - self.first + 1
+        x, stop = (int(i) for i in np.searchsorted(self.there, [lo, hi]))
+        while x < stop:
+            at = int(self.there[x]) // split * split
+            y = min(stop, int(np.searchsorted(self.there, at + split)))
+            a, b = (int(i) for i in np.searchsorted(self.tree, [self.there[x], self.there[y - 1] + 1]))
+            used, entry = np.unique(self.entry[a:b], return_inverse=True)
+            lens, names = self._side(a, b, x, y)
+            there = self.there[x:y]
+            yield {"block_id": self.id, "lo": at, "first_tree": self.first, "n": self.n, "taxa": self.taxa, "there": there.astype(np.int32).tobytes(), "bits": self.bits[used].tobytes(), "tree": np.searchsorted(there, self.tree[a:b]).astype(np.int32).tobytes(), "entry": entry.astype(np.int32).tobytes(), "lens": lens, "names": names}
+            x = y
+
+
+def rebuild_piece(piece: dict, method: str = "leaf_path") -> Iterator[tuple[int, str]]:
+    """(tree_id, newick) of the trees of a piece."""
+    n, taxa = piece["n"], list(piece["taxa"])
+    there, tree, entry = (np.frombuffer(piece[c], np.int32) for c in ("there", "tree", "entry"))
+    bits = np.frombuffer(piece["bits"], np.uint8).reshape(-1, max(1, (n + 7) // 8))
+    lens, names = piece["lens"], piece["names"]
+    edges = np.searchsorted(tree, np.arange(len(there) + 1)).tolist()
+    at_len = at_name = 0
+    for i, local in enumerate(there.tolist()):
+        mine = entry[edges[i] : edges[i + 1]]
+        k = len(mine)
+        own = told = None
+        if lens is not None:
+            own = lens[at_len : at_len + k + n + (n > 1)]
+            at_len += k + n + (n > 1)
+        if names is not None:
+            told = names[at_name : at_name + k + 1]
+            at_name += k + 1
+        if n == 1:
+            yield piece["first_tree"] + local, nw.write(0, [[]], taxa, [own[0] if own else None])
+            continue
+        rows = np.unpackbits(bits[mine], axis=1)[:, :n].astype(bool)
+        kids = tk.children_lists(*tk.METHODS[method](np.vstack([rows, np.ones((1, n), bool)])))
+        label = [*taxa, *(told if told is not None else [None] * (k + 1))]
+        length = [*own[k : k + n], *own[:k], own[k + n]] if own is not None else [None] * len(label)
+        yield piece["first_tree"] + local, nw.write(len(kids) - 1, kids, label, length)
+
+
+def _piece_batch(rows: list[dict]) -> pa.RecordBatch:
+    kinds = {"block_id": pa.int32(), "lo": pa.int32(), "first_tree": pa.int64(), "n": pa.int32(), "taxa": pa.list_(pa.string()), "lens": pa.list_(pa.string()), "names": pa.list_(pa.string())}
+    names = [x.split()[0] for x in _PIECE.replace("array<string>", "x").split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array([r[c] for r in rows], kinds.get(c, pa.binary())) for c in names], names)
+
+
+def _tree_batches(pieces: Iterator[dict], pick: frozenset | None, method: str) -> Iterator[pa.RecordBatch]:
+    for piece in pieces:
+        got = [x for x in rebuild_piece(piece, method) if pick is None or x[0] in pick]
+        yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in got], pa.int64()), pa.array([t for _, t in got], pa.string())], ["tree_id", "newick"])
+
+
+def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: int | None = None, last: int | None = None, method: str = "leaf_path", split: int | None = None) -> DataFrame:
     """(tree_id, newick) of all trees, of those in tree_ids, or of the ids from first to last. Blocks without wanted trees
-    are not read; a block is taken in ranges of `split` trees, which are independent tasks. A damaged block raises an error."""
+    are not read; each is decoded once. Where blocks are fewer than the tasks that can run, their pieces are shuffled, of
+    `split` trees each (by default some four for each task that can run, of 64 to 4,096); else trees are rebuilt where
+    their block is read, without a shuffle. A damaged block raises an error."""
     rows = container
     if tree_ids is not None:
         wanted = sorted(set(tree_ids))
@@ -426,29 +478,26 @@ def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: i
         rows = rows.where(F.col("first_tree") + F.col("span") > first)
     if last is not None:
         rows = rows.where(F.col("first_tree") <= last)
-    ranges = rows.withColumn("lo", F.explode(F.sequence(F.lit(0), F.greatest(F.col("span") - 1, F.lit(0)), F.lit(split))))
     pick = None if tree_ids is None else frozenset(wanted)
-    p = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    spark = rows.sparkSession
+    slots = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+    facts = rows.agg(F.count("*"), F.coalesce(F.sum("span"), F.lit(0))).first()
+    here = facts[0] >= slots
+    each = split or max(64, min(4096, facts[1] // (4 * slots)))
 
-    def run(batches):
+    def read(batches) -> Iterator[dict]:
         for batch in batches:
             for i in range(batch.num_rows):
-                row = batch.slice(i, 1).to_pylist()[0]
-                lo, hi = row["lo"], row["lo"] + split
-                base = row["first_tree"]
-                if first is not None and (base + hi <= first or (last is not None and base + lo > last)):
-                    continue
-                block = Block(row, lo, hi)
-                ids, texts = [], []
-                for local in block.there[(block.there >= lo) & (block.there < hi)].tolist():
-                    t = base + local
-                    if (first is not None and t < first) or (last is not None and t > last) or (pick is not None and t not in pick):
-                        continue
-                    ids.append(t)
-                    texts.append(block.newick(local, method))
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(texts, pa.string())], ["tree_id", "newick"])
+                yield from Block(batch.slice(i, 1).to_pylist()[0]).pieces(each, first, last)
+
+    if here:
+        return rows.mapInArrow(lambda batches: _tree_batches(read(batches), pick, method), "tree_id long, newick string")
+    pieces = rows.mapInArrow(lambda batches: (_piece_batch([p]) for p in read(batches)), _PIECE)
+
+    def rebuild(batches):
+        yield from _tree_batches((batch.slice(i, 1).to_pylist()[0] for batch in batches for i in range(batch.num_rows)), pick, method)
 
-    return ranges.repartition(p, "block_id", "lo").mapInArrow(run, "tree_id long, newick string")
+    return pieces.repartition(slots, "block_id", "lo").mapInArrow(rebuild, "tree_id long, newick string")
 
 
 def container_entries(container: DataFrame) -> DataFrame:

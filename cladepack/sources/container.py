@@ -102,9 +102,9 @@ class ContainerReader(DataSourceReader):
             hi = min(span, (self.hi if self.hi is not None else first + span) - first + 1)
             if lo >= hi:
                 continue
-            block = cd.Block(row, lo, hi)
-            for local in block.there[(block.there >= lo) & (block.there < hi)].tolist():
-                yield pa.RecordBatch.from_arrays([pa.array([first + local], pa.int64()), pa.array([block.newick(local)])], ["tree_id", "newick"])
+            for piece in cd.Block(row).pieces(1024, first + lo, first + hi - 1):
+                ids, texts = zip(*cd.rebuild_piece(piece), strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(texts)], ["tree_id", "newick"])
 
 
 def register(spark: SparkSession) -> None:
