@@ -48,5 +48,4 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for _, stage in STAGES[:-1]:
         docs = scratch.save(stage(spark, docs, sf_dir))
-        scratch.release()
     return STAGES[-1][1](spark, docs, sf_dir)
