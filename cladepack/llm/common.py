@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import atexit
-import gc
 import shutil
 import tempfile
 import uuid
@@ -49,11 +48,6 @@ class Scratch:
         out._scratch_path = path
         return out
 
-    def release(self) -> None:
-        """Let Spark delete the shuffle files of steps that are over; it does so when the driver's objects are collected."""
-        gc.collect()
-        self.spark.sparkContext._jvm.System.gc()
-
     def drop(self, df: DataFrame) -> None:
         """Delete a table that no later plan reads."""
         path = getattr(df, "_scratch_path", None)
@@ -165,6 +159,12 @@ def word_hashes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(hashes), np.searchsorted(np.concatenate(starts_at), off)
 
 
+def distinct(x: np.ndarray) -> np.ndarray:
+    """The distinct values in order; for short arrays faster than numpy's unique, which hashes first."""
+    x = np.sort(x)
+    return x[np.concatenate(([True], x[1:] != x[:-1]))] if len(x) > 1 else x
+
+
 def shingle_sets(words: np.ndarray, off: np.ndarray, n: int) -> list[np.ndarray]:
     """For each row the sorted distinct hashes of its n-word shingles; a shorter row is one shingle of all its words."""
     m = powers(_P, n)
@@ -177,7 +177,7 @@ def shingle_sets(words: np.ndarray, off: np.ndarray, n: int) -> list[np.ndarray]
     out = []
     for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True):
         if b - a >= n:
-            out.append(np.unique(every[a : b - n + 1]))
+            out.append(distinct(every[a : b - n + 1]))
         elif b > a:
             with np.errstate(over="ignore"):
                 out.append(mix64((words[a:b] * m[: b - a]).sum(dtype=np.uint64, keepdims=True) + np.uint64(b - a)))
@@ -209,11 +209,26 @@ def lookup(rows: DataFrame, groups: DataFrame, keys: list[str], weight: str, n_r
     return inner.unionByName(rest.select(*rows.columns, *value))
 
 
-def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
-    """docs without the rows whose doc_id is in gone, columns unchanged. The ids are written and counted: within the limit
-    they are broadcast, so no text moves; beyond it both sides are shuffled."""
-    ids = Scratch(docs.sparkSession, "gone").save(gone.select("doc_id").where("doc_id is not null").distinct())
-    return docs.join(maybe_broadcast(ids), "doc_id", "left_anti").select(*docs.columns)
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df does not have, in any case."""
+    have = {c.lower() for c in df.columns}
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
+def numbered(scratch: Scratch, docs: DataFrame) -> tuple[DataFrame, str]:
+    """docs, written once, with a number for each row, and the name of that column. Ids may be null or repeat; a row is
+    known by its number."""
+    row = fresh(docs, "row_number")
+    return scratch.save(docs.withColumn(row, F.monotonically_increasing_id())), row
+
+
+def without(rows: DataFrame, row: str, gone: DataFrame) -> DataFrame:
+    """Numbered rows less those whose number is in gone(row), without the number. The numbers are written and counted:
+    within the limit they are broadcast, so no text moves; beyond it both sides are shuffled."""
+    gone = Scratch(rows.sparkSession, "gone").save(gone.select(F.col("row").alias(row)))
+    return rows.join(maybe_broadcast(gone), row, "left_anti").drop(row)
 
 
 def ascii_lower(c: Column) -> Column:

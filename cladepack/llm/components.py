@@ -7,10 +7,10 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, map_arrow
+from .common import Scratch, lookup, map_arrow
 
 _SPREAD = np.uint64(0xA0761D6478BD642F)
 
@@ -46,7 +46,8 @@ def _unite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def connected_components(scratch: Scratch, links: DataFrame, most_rounds: int = 60, task_links: int = TASK_LINKS) -> DataFrame:
     """(node, component) for every node of links(a, b); component is the smallest node reachable.
 
-    A distributed union-find. Every task unites up to task_links of the links and hands on its trees, one edge a node. If
+    A distributed union-find. Every task unites some task_links of the links, dealt by both ends so that the links of a hub
+    are spread, and hands on its trees, one edge a node. If
     there was more than one task, the trees are joined by alternating star rewiring: each round hangs the neighbours of a
     node on the least of them, once upwards and once downwards, until the edges stand still. A round is two aggregates with
     a join each, both keyed by node and combined before the shuffle; its edges are written to the shared folder. Null or
@@ -56,7 +57,7 @@ def connected_components(scratch: Scratch, links: DataFrame, most_rounds: int =
     tasks = -(-edges.count() // task_links)
     whole = edges
     while tasks > 1:  # fewer edges after a pass may need fewer tasks
-        before, edges = edges, scratch.save(edges.repartition(tasks, "v").mapInArrow(_unite, "u long, v long"))
+        before, edges = edges, scratch.save(edges.repartition(tasks, "u", "v").mapInArrow(_unite, "u long, v long"))
         now = -(-edges.count() // task_links)
         if before is not whole:
             scratch.drop(before)
@@ -94,15 +95,16 @@ def _stars(scratch: Scratch, edges: DataFrame, most_rounds: int) -> DataFrame:
 # --- tiles --------------------------------------------------------------------------------------------------------
 
 #: Members of one block; a tile of more is worked through in pairs of blocks.
-BLOCK = 256
+BLOCK = 4096
 #: Members of a tile whose pairs are simply listed.
 SMALL = 32
 
 
 def bitmap(hashes: np.ndarray) -> bytes:
-    """Hashed bitmap of a set of 64-bit hashes; its width is a power of two, four to eight times the set's size."""
+    """Hashed bitmap of a set of 64-bit hashes; its width is a power of two, two to four times the set's size. Unrelated
+    sets then differ in a third of their bits and more, which is far from what a link allows."""
     bits = 64
-    while bits < 4 * len(hashes) and bits < 1 << 17:
+    while bits < 2 * len(hashes) and bits < 1 << 17:
         bits *= 2
     out = np.zeros(bits, np.uint8)
     out[(hashes * _SPREAD >> np.uint64(64 - bits.bit_length() + 1)).astype(np.int64)] = 1
@@ -143,25 +145,37 @@ def _pair_bound(batch: pa.RecordBatch, num: int, den: int):
 def _tile_pairs(tile: int, m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.ndarray], block: np.ndarray, shared: list[np.ndarray], num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
     """Pairs of one tile, or of two blocks of it, that lie in different components, that sizes and bitmaps allow, and of
     whose common tiles this is the first."""
-    w, sets = min(map(len, bits)), {}
+    sets: dict[int, set[int]] = {}
 
     def mine(i: int) -> set[int]:
         if i not in sets:
             sets[i] = set(shared[i].tolist())
         return sets[i]
 
-    rows = np.stack([fold(x, w) for x in bits])
+    # pairs are compared at the width of the narrower bitmap
+    width = np.array([len(x) for x in bits])
     two = bool(len(block)) and block.min() != block.max()
     one, other = [], []
-    for i in range(len(m) - 1):
-        j = np.arange(i + 1, len(m))
-        least = least_overlap(n[i], n[j], num, den)
-        j = j[(label[j] != label[i]) & (np.minimum(n[i], n[j]) >= least) & ((block[j] != block[i]) if two else True)]
-        if len(j):
-            j = j[overlap_bound(n[i], rows[i], n[j], rows[j]) >= least_overlap(n[i], n[j], num, den)]
-            j = j[[min(mine(i) & mine(k)) == tile for k in j.tolist()]] if len(j) else j
-            one.append(np.full(len(j), m[i]))
-            other.append(m[j])
+    widths = np.unique(width).tolist()
+    for w in widths:
+        own = np.flatnonzero(width == w)
+        mine_at = np.stack([bits[i] for i in own])
+        for v in (x for x in widths if x >= w):
+            wide = np.flatnonzero(width == v)
+            if min(n[own].max(), n[wide].max()) < least_overlap(n[own].min(), n[wide].min(), num, den):
+                continue
+            rows = mine_at if v == w else np.stack([fold(bits[j], w) for j in wide])
+            for k, i in enumerate(own.tolist()):
+                at = np.arange(k + 1 if v == w else 0, len(wide))
+                j = wide[at]
+                ok = (label[j] != label[i]) & (np.minimum(n[i], n[j]) >= least_overlap(n[i], n[j], num, den))
+                at = at[ok & (block[j] != block[i])] if two else at[ok]
+                if len(at):
+                    j = wide[at]
+                    j = j[overlap_bound(n[i], mine_at[k], n[j], rows[at]) >= least_overlap(n[i], n[j], num, den)]
+                    j = j[[min(mine(i) & mine(x)) == tile for x in j.tolist()]] if len(j) else j
+                    one.append(np.full(len(j), m[i]))
+                    other.append(m[j])
     if not one:
         return m[:0], m[:0]
     a, b = np.concatenate(one), np.concatenate(other)
@@ -198,69 +212,88 @@ def _tiles_in_order(batches: Iterator[pa.RecordBatch], num: int, den: int) -> It
 
 
 def distinct_tiles(scratch: Scratch, tiles: DataFrame) -> DataFrame:
-    """One of the tiles that have the same members: close copies share most of theirs. tiles (tile, m) has no repeated rows.
-    Members are told apart by their number and 128 bits of their hashes."""
+    """One of the tiles that have the same members, without tiles of one member: close copies share most of theirs. tiles
+    (tile, m) has no repeated rows. Members are told apart by their number and 128 bits of their hashes."""
     marks = tiles.groupBy("tile").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("m")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "m")).alias("y"))
-    return scratch.save(tiles.join(marks.groupBy("n", "x", "y").agg(F.min("tile").alias("tile")).select("tile"), "tile", "left_semi"))
+    first = marks.where("n > 1").groupBy("n", "x", "y").agg(F.min("tile").alias("tile")).select("tile")
+    return scratch.save(tiles.join(first, "tile", "left_semi"))
 
 
-def resolve_tiles(scratch: Scratch, tiles: DataFrame, sketches: DataFrame, verify: Callable[[DataFrame], DataFrame], num: int, den: int, rounds: int = 2) -> tuple[DataFrame, DataFrame]:
+def resolve_tiles(scratch: Scratch, tiles: DataFrame, load: Callable[[DataFrame], None], sketch: Callable[[DataFrame], DataFrame], verify: Callable[[DataFrame], DataFrame], num: int, den: int, bound: bool = True, small: int | None = None, rounds: int = 2) -> tuple[DataFrame, DataFrame]:
     """Components of the graph whose links are the verified pairs that share a tile: (node, component), and the links.
 
-    tiles: (tile, m), without repeated rows and tiles of one member; sketches: (m, n, bits), the size and bitmap of each
-    set; verify: pairs (a, b) -> those linked. Pairs are verified only if sizes and bitmaps allow a link.
+    tiles: (tile, m), without repeated rows; load is called once with the members (m) that are left; sketch: members (m) ->
+    (m, n, bits), the size and bitmap of each set; verify: pairs (a, b) -> those linked. With bound, pairs are verified only
+    if sizes and bitmaps allow a link; without, bitmaps serve for large tiles alone (small sets are verified as fast).
 
     First every tile picks a leader - in the same order everywhere, so tiles of one group agree on it -, which is compared
     with the members that are not in its component and then leaves: all its pairs there are settled. So a group of linked
     copies falls into one component without all its pairs. A tile whose members share a component is settled. The tiles
-    that are left - members truly apart - give their pairs if they are small; large ones are worked through block by block on
-    bitmaps, in the task that holds the block, and only pairs that the bitmaps allow come out of it. No pair of one tile stays unsettled.
+    that are left - members truly apart - give their pairs if they are small; large ones are worked through on bitmaps, in
+    the task that holds them, and only pairs that the bitmaps allow come out. A tile of more than BLOCK members is dealt
+    into blocks, and each pair of blocks is a task of its own. No pair of one tile stays unsettled.
+
+    What is known of a tile (leader, size, least and largest label) comes from aggregates that are combined before the
+    shuffle, and its rows learn it by a lookup that leaves the rows of a hot tile where they are.
     """
+    small = SMALL if small is None else small
     members = distinct_tiles(scratch, tiles).select("tile", "m", F.col("m").alias("l"))
     links = parts = None
-    per_tile = Window.partitionBy("tile")
-    one, two = (sketches.select(F.col("m").alias(x), F.col("n").alias("n" + x), F.col("bits").alias("bits" + x)) for x in "ab")
+    wanted = scratch.save(members.select("m").distinct())
+    load(wanted)
+    sketches = sketch(wanted) if bound else None
 
-    def settle(pairs: DataFrame) -> None:
+    def facts(r: int) -> DataFrame:
+        lead = F.min(F.struct(F.xxhash64(F.lit(r), "m").alias("o"), F.col("m").alias("m"), F.col("l").alias("l"))).alias("lead")
+        per = scratch.save(members.groupBy("tile").agg(F.count("*").alias("size"), F.min("l").alias("lo"), F.max("l").alias("hi"), lead).where("lo <> hi"))
+        return lookup(members, per, ["tile"], "size", members.count()).where("lead is not null")
+
+    def settle(near: DataFrame) -> None:
         nonlocal links, parts
-        found = scratch.save(verify(pairs))
+        found = scratch.save(verify(scratch.save(near)))
         if links is not None and not found.limit(1).count():
             return
         links = found if links is None else scratch.save(links.union(found))
         parts = scratch.save(connected_components(scratch, links))
-        scratch.release()
+
+    def bounded(pairs: DataFrame) -> DataFrame:
+        if not bound:
+            return pairs
+        one, two = (sketches.select(F.col("m").alias(x), F.col("n").alias("n" + x), F.col("bits").alias("bits" + x)) for x in "ab")
+        wide = pairs.join(one, "a").join(two, "b").select("a", "b", "na", "bitsa", "nb", "bitsb")
+        return map_arrow(wide, lambda b: _pair_bound(b, num, den), "a long, b long")
 
     for r in range(rounds):
-        lead = F.min(F.struct(F.xxhash64(F.lit(r), "m").alias("o"), F.col("m").alias("m"), F.col("l").alias("l"))).over(per_tile)
-        led = members.withColumn("lead", lead)
-        apart = led.where("m <> lead.m and l <> lead.l").select(F.least("m", "lead.m").alias("a"), F.greatest("m", "lead.m").alias("b")).distinct()
-        near = apart.join(one, "a").join(two, "b").select("a", "b", "na", "bitsa", "nb", "bitsb")
-        settle(map_arrow(near, lambda b: _pair_bound(b, num, den), "a long, b long"))
+        led = scratch.save(facts(r).select("tile", "m", "l", "lead"))
+        settle(bounded(led.where("m <> lead.m and l <> lead.l").select(F.col("lead.m").alias("a"), F.col("m").alias("b")).distinct()))
         rest = led.where("m <> lead.m").select("tile", "m").join(parts.select(F.col("node").alias("m"), "component"), "m", "left")
-        rest = rest.select("tile", "m", F.coalesce("component", "m").alias("l"))
-        mixed = rest.withColumn("lo", F.min("l").over(per_tile)).withColumn("hi", F.max("l").over(per_tile)).where("lo <> hi").select("tile", "m", "l")
-        before, members = members, scratch.save(mixed)
-        scratch.drop(before)
+        scratch.drop(members)
+        members = scratch.save(rest.select("tile", "m", F.coalesce("component", "m").alias("l")))
+        scratch.drop(led)
         if not members.limit(1).count():
             return parts, links
 
-    # small tiles give their pairs, of which close copies share nearly all: no more than SMALL / 2 for each row
-    sized = members.withColumn("size", F.count("*").over(per_tile))
-    few = sized.where(F.col("size") <= SMALL)
+    # small tiles give their pairs, of which close copies share nearly all: no more than small / 2 for each row
+    sized = scratch.save(facts(rounds).select("tile", "m", "l", "size"))
+    few = sized.where(F.col("size") <= small)
     x, y = few.select("tile", F.col("m").alias("a"), F.col("l").alias("la")), few.select("tile", F.col("m").alias("b"), F.col("l").alias("lb"))
-    pairs = x.join(y, "tile").where("a < b and la <> lb").select("a", "b").distinct()
-    small = map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "na", "bitsa", "nb", "bitsb"), lambda b: _pair_bound(b, num, den), "a long, b long")
+    listed = bounded(x.join(y, "tile").where("a < b and la <> lb").select("a", "b").distinct())
 
     # large ones are worked through in place. A tile of several blocks goes into a group for each pair of its blocks: of a
     # pair of one block only the group (i, i) takes it, groups of two blocks take pairs across. A pair may share many tiles:
     # with the tiles that its members are left in (as many as a set has segments at most), one of them takes it
-    many = scratch.save(sized.where(F.col("size") > SMALL))
+    many = sized.where(F.col("size") > small)
+    if not many.limit(1).count():
+        settle(listed)
+        return parts, links
+    if sketches is None:
+        sketches = scratch.save(sketch(scratch.save(many.select("m").distinct())), codec="none")
     block = many.withColumn("blocks", F.ceil(F.col("size") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
+    own = many.groupBy("m").agg(F.collect_list("tile").alias("shared")).join(sketches, "m")
     dealt = block.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(sketches, "m").join(many.groupBy("m").agg(F.collect_list("tile").alias("shared")), "m")
+    dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(own, "m")
     dealt = dealt.select("tile", "i", "j", "m", "l", F.col("n").cast("long").alias("n"), "bits", "block", "shared")
     parts_n = max(8, scratch.spark.sparkContext.defaultParallelism, int(scratch.spark.conf.get("spark.sql.shuffle.partitions")))
     large = dealt.repartition(parts_n, "tile", "i", "j").sortWithinPartitions("tile", "i", "j").mapInArrow(lambda b: _tiles_in_order(b, num, den), "a long, b long")
-    near = small.union(large)
-    settle(near.distinct())
+    settle(listed.union(large).distinct())
     return parts, links

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, ascii_lower, maybe_broadcast
+from .common import Scratch, ascii_lower, maybe_broadcast, numbered, without
 
 #: What separates words: ASCII other than digits and letters.
 BREAKS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
@@ -115,9 +115,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, window: int = 13, num: int
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, window: int = 13) -> DataFrame:
-    """The rows of docs that are not contaminated, columns unchanged. Rows are numbered and saved, so that each is judged
-    by its own text, whatever its id."""
+    """The rows of docs that are not contaminated, columns unchanged; each row is judged by its own text, whatever its id."""
     scratch = Scratch(docs.sparkSession, "contaminated")
-    rows = scratch.save(docs.withColumn("contaminated_row", F.monotonically_increasing_id()))
-    gone = scratch.save(decontaminate(rows, items, window, id_col="contaminated_row").where("contaminated").select(F.col("doc_id").alias("contaminated_row")))
-    return rows.join(maybe_broadcast(gone), "contaminated_row", "left_anti").select(*docs.columns)
+    rows, row = numbered(scratch, docs)
+    return without(rows, row, decontaminate(rows, items, window, id_col=row).where("contaminated").select(F.col("doc_id").alias("row")))

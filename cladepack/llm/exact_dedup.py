@@ -21,7 +21,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, batch_of, lookup, map_arrow, mix64, without
+from .common import Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, numbered, without
 
 #: Aimed number of keys in one bucket; the number of buckets follows the input.
 BUCKET_KEYS = 200_000
@@ -113,22 +113,23 @@ class FuseFilter:
 # --- digests ------------------------------------------------------------------------------------------------------
 
 
-def text_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, key, n_bytes, sha): SHA-256 of the text with A-Z lower-cased, its first eight bytes as a 64-bit key, and
-    its length in bytes. Null counts as the empty text."""
+def text_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> DataFrame:
+    """(doc_id, row, key, n_bytes, sha): SHA-256 of the text with A-Z lower-cased, its first eight bytes as a 64-bit key, and
+    its length in bytes. Null counts as the empty text. Rows are numbered if no column does it."""
 
     def fn(batch: pa.RecordBatch):
-        low = pc.ascii_lower(batch.column(1).fill_null(""))
+        low = pc.ascii_lower(batch.column(2).fill_null(""))
         shas = [hashlib.sha256(x.as_buffer()).digest() for x in low]
         keys = np.frombuffer(b"".join(x[:8] for x in shas), dtype=np.int64)
-        yield batch_of({"doc_id": batch.column(0), "key": pa.array(keys), "n_bytes": pc.binary_length(low).cast(pa.int64()), "sha": pa.array(shas, pa.binary())})
+        yield batch_of({"doc_id": batch.column(0), "row": batch.column(1), "key": pa.array(keys), "n_bytes": pc.binary_length(low).cast(pa.int64()), "sha": pa.array(shas, pa.binary())})
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return map_arrow(rows, fn, "doc_id long, key long, n_bytes long, sha binary")
+    row = F.monotonically_increasing_id() if row_col is None else F.col(row_col).cast("long")
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), row.alias("row"), F.col(text_col).cast("string").alias("text"))
+    return map_arrow(rows, fn, "doc_id long, row long, key long, n_bytes long, sha binary")
 
 
 def _groups(digests: DataFrame) -> DataFrame:
-    return digests.groupBy("key", "n_bytes", "sha").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
+    return digests.groupBy("key", "n_bytes", "sha").agg(F.max(F.struct("doc_id", "row")).alias("keep"), F.count("*").alias("group_size"))
 
 
 class Snapshot:
@@ -160,70 +161,58 @@ class Snapshot:
 
     def matches(self, batch: DataFrame) -> DataFrame:
         """Screened rows whose digest is in the exact buckets, with the snapshot's group."""
-        mine = self.groups.select("key", "n_bytes", "sha", F.col("keep_id").alias("old_keep"), F.col("group_size").alias("old_size"))
+        mine = self.groups.select("key", "n_bytes", "sha", F.col("keep").alias("old_keep"), F.col("group_size").alias("old_size"))
         return self.screen(batch).join(mine, ["key", "n_bytes", "sha"])
 
 
 def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, keep_id, group_size, kept, text_sha256) for every row of docs.
 
-    The rows are taken as two generations, by a hash of their id: the first is the snapshot, the second the batch that it
-    screens. Texts are equal if they are the same bytes after lower-casing A-Z; null counts as empty. Of equal texts the
-    row with the largest doc_id stays; if that id stands on several rows, they all count as kept. An empty table gives an
-    empty result; other columns are ignored.
+    The rows are taken as two generations, by a hash of their number: the first is the snapshot, the second the batch that
+    it screens. Texts are equal if they are the same bytes after lower-casing A-Z; null counts as empty. Of equal texts the
+    row with the largest doc_id stays, null being less than any; of rows with that id the last, so exactly one row of each
+    group is kept. An empty table gives an empty result; other columns are ignored.
     """
+    return _marked(docs, id_col, text_col).drop("row")
+
+
+def _marked(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> DataFrame:
     spark = docs.sparkSession
     scratch = Scratch(spark, "exact-dedup")
-    rows = scratch.save(text_digests(docs, id_col, text_col))
+    rows = scratch.save(text_digests(docs, id_col, text_col, row_col))
     n_rows = rows.count()
-    old = F.pmod(F.xxhash64("doc_id"), F.lit(2)) == 0
+    old = F.pmod(F.xxhash64("row"), F.lit(2)) == 0
     first, second = scratch.save(_groups(rows.where(old))), scratch.save(_groups(rows.where(~old)))
-    snapshot = Snapshot(scratch, first, first.count())
+    snapshot = Snapshot(scratch, first, max(first.count(), second.count()))
     both = scratch.save(snapshot.matches(second))
-    merged = both.select("key", "n_bytes", "sha", F.greatest("keep_id", "old_keep").alias("keep_id"), (F.col("group_size") + F.col("old_size")).alias("group_size"))
+    merged = both.select("key", "n_bytes", "sha", F.greatest("keep", "old_keep").alias("keep"), (F.col("group_size") + F.col("old_size")).alias("group_size"))
     alone = first.unionByName(second).join(both.select("key", "n_bytes", "sha"), ["key", "n_bytes", "sha"], "left_anti")
     groups = scratch.save(merged.unionByName(alone))
     check_bytes(docs, groups, scratch, id_col, text_col)
     out = lookup(rows, groups, ["key", "n_bytes", "sha"], "group_size", n_rows)
-    return out.select("doc_id", "keep_id", "group_size", (F.col("doc_id") == F.col("keep_id")).alias("kept"), F.lower(F.hex("sha")).alias("text_sha256"))
+    return out.select("row", "doc_id", F.col("keep.doc_id").alias("keep_id"), "group_size", (F.col("row") == F.col("keep.row")).alias("kept"), F.lower(F.hex("sha")).alias("text_sha256"))
 
 
 def check_bytes(docs: DataFrame, groups: DataFrame, scratch: Scratch, id_col: str = "doc_id", text_col: str = "text") -> None:
     """Raise if a group of several rows holds two texts that differ in a byte.
 
-    The keys of those groups are dealt into fuse filters of BUCKET_KEYS keys; one scan for each sends on only the texts
-    that pass, and these are grouped by their bytes, combined before the shuffle. One filter is what a task holds.
+    One scan: the texts whose digest is that of a group of several rows are grouped by their bytes, combined before the
+    shuffle. The groups' keys are broadcast within the limit; beyond it they meet the texts by shuffle.
     """
-    several = groups.where("group_size > 1").select("key").distinct()
-    n = several.count()
-    n_parts = -(-n // (50 * BUCKET_KEYS))
-    for part in range(n_parts):
-        mine = several.where(F.pmod(F.xxhash64("key", F.lit(7)), F.lit(n_parts)) == part)
-
-        def build(keys: pd.DataFrame) -> pd.DataFrame:
-            return pd.DataFrame({"bucket": [keys["bucket"].iloc[0]], "filter": [FuseFilter.build(keys["key"].to_numpy()).pack()]})
-
-        n_buckets = max(1, -(-n // (n_parts * BUCKET_KEYS)))
-        dealt = mine.select(F.pmod(F.xxhash64("key"), F.lit(n_buckets)).alias("bucket"), "key")
-        filters = [bytes(r["filter"]) for r in dealt.groupBy("bucket").applyInPandas(build, "bucket long, filter binary").collect()]
-        sent = scratch.spark.sparkContext.broadcast(filters)
+    several = scratch.save(groups.where("group_size > 1").select("key").distinct())
 
-        def pick(batch: pa.RecordBatch):
-            low = pc.ascii_lower(batch.column(0).fill_null(""))
-            keys = np.frombuffer(b"".join(hashlib.sha256(x.as_buffer()).digest()[:8] for x in low), dtype=np.int64)
-            hit = np.zeros(len(keys), bool)
-            for f in sent.value:
-                hit |= FuseFilter.unpack(f).contains(keys)
-            hit = pa.array(hit)
-            yield batch_of({"key": pa.array(keys).filter(hit), "text": low.filter(hit)})
+    def low(batch: pa.RecordBatch):
+        text = pc.ascii_lower(batch.column(0).fill_null(""))
+        keys = np.frombuffer(b"".join(hashlib.sha256(x.as_buffer()).digest()[:8] for x in text), dtype=np.int64)
+        yield batch_of({"key": pa.array(keys), "text": text})
 
-        texts = map_arrow(docs.select(F.col(text_col).cast("string").alias("text")), pick, "key long, text string")
-        clash = texts.groupBy("key", "text").agg(F.count("*").alias("n")).select("key", F.sha2("text", 256).alias("sha")).groupBy("key", "sha").agg(F.count("*").alias("n")).where("n > 1")
-        if clash.limit(1).count():
-            raise RuntimeError("two different texts share one SHA-256 digest")
+    texts = map_arrow(docs.select(F.col(text_col).cast("string").alias("text")), low, "key long, text string").join(maybe_broadcast(several), "key", "left_semi")
+    clash = texts.groupBy("key", "text").agg(F.count("*").alias("n")).select("key", F.sha2("text", 256).alias("sha")).groupBy("key", "sha").agg(F.count("*").alias("n")).where("n > 1")
+    if clash.limit(1).count():
+        raise RuntimeError("two different texts share one SHA-256 digest")
 
 
 def drop_exact_duplicates(docs: DataFrame) -> DataFrame:
-    """The kept rows of docs, columns unchanged."""
-    found = exact_duplicates(docs)
-    return without(docs, found.where("not kept"))
+    """The kept rows of docs, one of each text, columns unchanged."""
+    rows, row = numbered(Scratch(docs.sparkSession, "exact"), docs)
+    return without(rows, row, _marked(rows, row_col=row).where("not kept").select("row"))

@@ -10,10 +10,10 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import batch_of, map_arrow, without
+from .common import Scratch, batch_of, map_arrow, numbered, without
 
 BITS = 15
 ORDERS = (1, 2, 3)
@@ -117,15 +117,21 @@ def predict(docs: DataFrame, model: NaiveBayes, id_col: str = "doc_id", text_col
     return map_arrow(rows, fn, "doc_id long, lang_pred string, score double", 128)
 
 
+def _fold(folds: int) -> Column:
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds
+
+
 def identify_languages(docs: DataFrame, folds: int = 5, most: int = TRAIN_ROWS) -> DataFrame:
     """(doc_id, held_out, lang_pred, score) for every row of docs, learned from the rows whose crc32(doc_id) mod folds is
     not 0. Rows with a null id are never learned from and not held out. An empty table gives an empty result."""
-    fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds
-    model = fit(docs.where(fold != 0), most=most)
-    return predict(docs, model).withColumn("held_out", F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds == 0, F.lit(False))).select("doc_id", "held_out", "lang_pred", "score")
+    model = fit(docs.where(_fold(folds) != 0), most=most)
+    return predict(docs, model).withColumn("held_out", F.coalesce(_fold(folds) == 0, F.lit(False))).select("doc_id", "held_out", "lang_pred", "score")
 
 
 def keep_identified(docs: DataFrame, least: float = 0.5, folds: int = 5) -> DataFrame:
-    """The rows of docs with a language found at a probability of `least` or more, columns unchanged."""
-    gone = identify_languages(docs, folds).where(~((F.col("lang_pred") != "und") & (F.col("score") >= least)))
-    return without(docs, gone)
+    """The rows of docs with a language found at a probability of `least` or more, columns unchanged. Each row is judged by
+    its own text, whatever its id; null and empty texts and those without a letter go."""
+    scratch = Scratch(docs.sparkSession, "language")
+    rows, row = numbered(scratch, docs)
+    found = predict(rows, fit(rows.where(_fold(folds) != 0)), id_col=row)
+    return without(rows, row, found.where(~((F.col("lang_pred") != "und") & (F.col("score") >= least))).select(F.col("doc_id").alias("row")))

@@ -21,8 +21,9 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, signed
+from .common import BROADCAST_ROWS, HOT_GROUPS, Scratch, batch_of, distinct, fresh, lookup, map_arrow, maybe_broadcast, mix64, numbered, signed
 from .components import bitmap, resolve_tiles
+from .ngram_join import linked
 
 SHINGLE, BANDS, ROWS = 6, 10, 4
 _BINS = BANDS * ROWS
@@ -91,7 +92,7 @@ def _line_tiles(batch: pa.RecordBatch, hot: dict[int, int]):
     for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
         if text:
             for line in text.split("\n"):
-                if len(line) >= SHINGLE and not line.isspace():
+                if len(line) >= SHINGLE and line.strip(" \t\r\n\x0b\x0c"):
                     lines.setdefault(line, []).append(doc)
     hashes = {x: xxhash.xxh64_intdigest(x.encode("utf-8", "surrogatepass"), 42) for x in lines}
     # a hot line comes from the document that has it first
@@ -108,79 +109,103 @@ def _line_tiles(batch: pa.RecordBatch, hot: dict[int, int]):
         at = end
 
 
+def shingle_sets(lines: list[str]) -> list[np.ndarray]:
+    """The sorted distinct shingle hashes of each line."""
+    found = list(shingle_hashes(*code_points(lines)))
+    line, h = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
+    edges = np.searchsorted(line, np.arange(len(lines) + 1))
+    return [distinct(h[x:y]) for x, y in zip(edges[:-1], edges[1:], strict=True)]
+
+
 def _line_pairs(batch: pa.RecordBatch, num: int, den: int):
-    keep, last, last_set = [], None, None
-    for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-        if x != last:
-            last, last_set = x, shingles(x)
-        other = shingles(y)
-        both = len(last_set & other)
-        keep.append(den * both >= num * (len(last_set) + len(other) - both) and both > 0)
+    if batch.num_rows > 1 and batch.column(2).nbytes + batch.column(3).nbytes > 1 << 22:  # long lines
+        half = batch.num_rows // 2
+        yield from _line_pairs(batch.slice(0, half), num, den)
+        yield from _line_pairs(batch.slice(half), num, den)
+        return
+    one, two = batch.column(2).dictionary_encode(), batch.column(3).dictionary_encode()
+    x, y = shingle_sets(one.dictionary.to_pylist()), shingle_sets(two.dictionary.to_pylist())
+    keep = [linked(x[i], y[j], num, den) for i, j in zip(one.indices.to_pylist(), two.indices.to_pylist(), strict=True)]
     yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
 
-def line_components(docs: DataFrame, num: int = 4, den: int = 5) -> tuple[DataFrame, DataFrame, int]:
-    """Occurrences (doc_id, line_no, m) of the lines of docs, where m is a hash of the line and null for blank ones and for
-    texts without lines; the groups (m, n, keep_doc, keep_line) of lines that occur or match more than once; the number
-    of occurrences."""
+def line_components(docs: DataFrame, num: int = 4, den: int = 5, row_col: str | None = None) -> tuple[DataFrame, DataFrame, int]:
+    """Occurrences (row, doc_id, line_no, m) of the lines of docs, where m is a hash of the line and null for blank ones and
+    for texts without lines; the groups (m, n, keep_row, keep_line) of lines that occur or match more than once; the number
+    of occurrences. Rows are numbered if no column does it."""
     scratch = Scratch(docs.sparkSession, "line-dedup")
-    text = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    lines = text.select("doc_id", F.posexplode_outer(F.split("text", "\n")).alias("line_no", "line"))
-    blank = F.trim(F.translate("line", "\t\r\x0b\x0c", "    ")) == ""
-    seen = scratch.save(lines.select("doc_id", "line_no", F.when(~blank, F.xxhash64("line")).alias("m")))
+    row = F.monotonically_increasing_id() if row_col is None else F.col(row_col)
+    text = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), row.alias("row"))
+    lines = text.select("row", "doc_id", F.posexplode_outer(F.split("text", "\n")).alias("line_no", "line"))
+    seen = scratch.save(lines.select("row", "doc_id", "line_no", F.when(F.col("line").rlike(r"[^\x20\x09-\x0D]"), F.xxhash64("line")).alias("m")))
     n_rows = seen.count()
-    first = F.struct("doc_id", "line_no")
-    uniq = seen.where("m is not null").groupBy("m").agg(F.count("*").alias("n"), F.min(first).alias("first"))
+    first = F.struct("doc_id", "line_no", "row")
+    uniq = scratch.save(seen.where("m is not null").groupBy("m").agg(F.count("*").alias("n"), F.min(first).alias("first")))
 
     hot = uniq.where(F.col("n") > max(1000, n_rows // HOT_GROUPS)).select("m", F.col("first.doc_id").alias("rep")).collect()  # fewer than HOT_GROUPS
     sent = docs.sparkSession.sparkContext.broadcast({r["m"] & 0xFFFFFFFFFFFFFFFF: r["rep"] for r in hot})
-    rows = map_arrow(text, lambda b: _line_tiles(b, sent.value), "tile long, m long", 256)
+    rows = map_arrow(text.select("doc_id", "text"), lambda b: _line_tiles(b, sent.value), "tile long, m long", 256)
     w = Window.partitionBy("tile")
     tiles = scratch.save(rows.withColumn("lo", F.min("m").over(w)).withColumn("hi", F.max("m").over(w)).where("lo <> hi").select("tile", "m").distinct())
 
-    wanted = scratch.save(tiles.select("m").distinct())
-    bodies = text.select(F.explode(F.split("text", "\n")).alias("line")).withColumn("m", F.xxhash64("line")).join(maybe_broadcast(wanted), "m", "left_semi")
-    bodies = scratch.save(bodies.groupBy("m").agg(F.first("line").alias("line")))
+    bodies = None
+
+    def load(wanted: DataFrame) -> None:
+        """The lines that are left, each from where it stands first."""
+        nonlocal bodies
+        places = scratch.save(uniq.join(maybe_broadcast(wanted), "m", "left_semi").select("m", F.col("first.doc_id").alias("in_doc"), F.col("first.line_no").alias("line_no")))
+        rows = lines.withColumn("m", F.xxhash64("line")).join(maybe_broadcast(places), ["m", "line_no"]).where(F.col("doc_id").eqNullSafe(F.col("in_doc")))
+        bodies = scratch.save(rows.select("m", "line"))
+        if bodies.count() > places.count():  # rows with one id hold the line at one place
+            bodies = scratch.save(bodies.dropDuplicates(["m"]))
 
     def verify(pairs: DataFrame) -> DataFrame:
-        one, two = bodies.select(F.col("m").alias("a"), F.col("line").alias("x")), bodies.select(F.col("m").alias("b"), F.col("line").alias("y"))
+        ends = scratch.save(pairs.select(F.col("a").alias("m")).union(pairs.select(F.col("b").alias("m"))).distinct())
+        held = bodies.join(maybe_broadcast(ends), "m", "left_semi")
+        one, two = held.select(F.col("m").alias("a"), F.col("line").alias("x")), held.select(F.col("m").alias("b"), F.col("line").alias("y"))
         return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "x", "y"), lambda b: _line_pairs(b, num, den), "a long, b long")
 
-    def sketch(batch: pa.RecordBatch):
-        code, starts, ends = code_points(batch.column(1).to_pylist())
-        found = list(shingle_hashes(code, starts, ends))
-        line, h = (np.concatenate(x) for x in zip(*found, strict=True)) if found else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
-        edges = np.searchsorted(line, np.arange(batch.num_rows + 1))
-        sets = [np.unique(h[x:y]) for x, y in zip(edges[:-1], edges[1:], strict=True)]
+    def bitmaps(batch: pa.RecordBatch):
+        sets = shingle_sets(batch.column(1).to_pylist())
         yield batch_of({"m": batch.column(0), "n": pa.array([len(s) for s in sets], pa.int64()), "bits": pa.array([bitmap(s) for s in sets], pa.binary())})
 
-    sketches = scratch.save(map_arrow(bodies.select("m", "line"), sketch, "m long, n long, bits binary", 256), codec="none")
-    parts, _ = resolve_tiles(scratch, tiles, sketches, verify, num, den)
-    named = uniq.join(parts.select(F.col("node").alias("m"), "component"), "m", "left").where("component is not null or n > 1")
+    def sketch(wanted: DataFrame) -> DataFrame:
+        return map_arrow(bodies.join(maybe_broadcast(wanted), "m", "left_semi").select("m", "line"), bitmaps, "m long, n long, bits binary", 256)
+
+    parts, _ = resolve_tiles(scratch, tiles, load, sketch, verify, num, den, bound=False, small=4)
+    parts = parts.select(F.col("node").alias("m"), "component")
+    named = uniq.join(maybe_broadcast(parts), "m", "left").where("component is not null or n > 1")
     named = scratch.save(named.select("m", "n", "first", F.coalesce("component", "m").alias("component")))
     keep = named.groupBy("component").agg(F.min("first").alias("keep"))
-    groups = scratch.save(named.join(keep, "component").select("m", "n", F.col("keep.doc_id").alias("keep_doc"), F.col("keep.line_no").alias("keep_line")))
+    groups = scratch.save(named.join(keep, "component").select("m", "n", F.col("keep.row").alias("keep_row"), F.col("keep.line_no").alias("keep_line")))
     return seen, groups, n_rows
 
 
 def duplicate_lines(docs: DataFrame, num: int = 4, den: int = 5) -> DataFrame:
     """(doc_id, n_lines, n_dropped, dropped) for every row of docs; dropped has the numbers (from 0) of the lines that are
-    equal or similar (Jaccard num / den or more, or linked over others) to an earlier line.
+    equal or similar (Jaccard num / den or more, or linked over others) to an earlier line, by doc_id, line number and place
+    of the row; a null id comes before all others.
 
-    Blank lines are kept and count; null texts have no lines. Rows with equal ids are one document: their equal line
-    numbers stand for the same line. An empty table gives an empty result; other columns are ignored.
+    Blank lines are kept and count; null texts have no lines. Rows with equal or null ids stay rows of their own. Lines of
+    any length are taken whole. An empty table gives an empty result; other columns are ignored.
     """
-    seen, groups, n_rows = line_components(docs, num, den)
-    named = lookup(seen, groups, ["m"], "n", n_rows)
-    gone = F.col("keep_doc").isNotNull() & ~((F.col("keep_doc") == F.col("doc_id")) & (F.col("keep_line") == F.col("line_no")))
-    out = named.groupBy("doc_id").agg(F.count("line_no").alias("n_lines"), F.array_sort(F.collect_list(F.when(gone, F.col("line_no")))).alias("dropped"))
-    return out.select("doc_id", "n_lines", F.size("dropped").cast("long").alias("n_dropped"), "dropped")
+    return _dropped(docs, num, den).drop("row")
+
+
+def _dropped(docs: DataFrame, num: int, den: int, row_col: str | None = None) -> DataFrame:
+    seen, groups, n_rows = line_components(docs, num, den, row_col)
+    n_groups = groups.count()
+    named = seen.join(F.broadcast(groups), "m", "left") if n_groups <= BROADCAST_ROWS // 2 else lookup(seen, groups, ["m"], "n", n_rows)
+    gone = F.col("keep_row").isNotNull() & ~((F.col("keep_row") == F.col("row")) & (F.col("keep_line") == F.col("line_no")))
+    out = named.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.count("line_no").alias("n_lines"), F.array_sort(F.collect_list(F.when(gone, F.col("line_no")))).alias("dropped"))
+    return out.select("row", "doc_id", "n_lines", F.size("dropped").cast("long").alias("n_dropped"), "dropped")
 
 
 def drop_duplicate_lines(docs: DataFrame, num: int = 4, den: int = 5) -> DataFrame:
     """docs with the duplicate lines taken out of their texts, columns unchanged."""
-    gone = duplicate_lines(docs, num, den).where("n_dropped > 0").select("doc_id", "dropped")
+    rows, row = numbered(Scratch(docs.sparkSession, "lines"), docs)
+    cut = fresh(rows, "cut")
+    gone = _dropped(rows, num, den, row).where("n_dropped > 0").select(F.col("row").alias(row), F.col("dropped").alias(cut))
     lines = F.split(F.col("text"), "\n")
-    left = F.array_join(F.filter(F.transform(lines, lambda x, i: F.when(~F.array_contains(F.coalesce("dropped", F.array().cast("array<int>")), i), x)), lambda x: x.isNotNull()), "\n")
-    joined = docs.join(gone, "doc_id", "left")
-    return joined.withColumn("text", F.when(F.col("dropped").isNull(), F.col("text")).otherwise(left)).select(*docs.columns)
+    left = F.array_join(F.filter(F.transform(lines, lambda x, i: F.when(~F.array_contains(F.col(cut), i), x)), lambda x: x.isNotNull()), "\n")
+    return rows.join(gone, row, "left").withColumn("text", F.when(F.col(cut).isNull(), F.col("text")).otherwise(left)).select(*docs.columns)

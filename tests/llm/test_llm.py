@@ -216,7 +216,7 @@ def test_tiles_are_shared_by_linked_sets():
             b = np.delete(b, rng.integers(0, len(b), int(rng.integers(0, max(1, n // 5) + 1))))
             a, b = np.unique(a), np.unique(b)
             if len(a) and len(b) and not np.array_equal(a, b) and ngram_join.linked(a, b, num, den):
-                assert np.intersect1d(ngram_join.tile_keys(a, num, den), ngram_join.tile_keys(b, num, den)).size
+                assert np.intersect1d(ngram_join.tile_keys(a, num, den)[0], ngram_join.tile_keys(b, num, den)[0]).size
 
 
 def test_ngram_join_odd(spark, odd, none):
