@@ -465,11 +465,11 @@ def _tree_batches(pieces: Iterator[dict], pick: frozenset | None, method: str) -
         yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in got], pa.int64()), pa.array([t for _, t in got], pa.string())], ["tree_id", "newick"])
 
 
-def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: int | None = None, last: int | None = None, method: str = "leaf_path", split: int | None = None) -> DataFrame:
+def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: int | None = None, last: int | None = None, method: str = "leaf_path", split: int = 256, spread: bool = True) -> DataFrame:
     """(tree_id, newick) of all trees, of those in tree_ids, or of the ids from first to last. Blocks without wanted trees
-    are not read; each is decoded once. Where blocks are fewer than the tasks that can run, their pieces are shuffled, of
-    `split` trees each (by default some four for each task that can run, of 64 to 4,096); else trees are rebuilt where
-    their block is read, without a shuffle. A damaged block raises an error."""
+    are not read; each is decoded once. With spread, pieces of `split` trees are shuffled, so that a few blocks keep all
+    tasks busy; without, trees are rebuilt where their block is read and nothing is shuffled, which suits containers of many
+    blocks (`restore_plan` tells). A damaged block raises an error."""
     rows = container
     if tree_ids is not None:
         wanted = sorted(set(tree_ids))
@@ -480,26 +480,30 @@ def decompress(container: DataFrame, tree_ids: list[int] | None = None, first: i
         rows = rows.where(F.col("first_tree") <= last)
     pick = None if tree_ids is None else frozenset(wanted)
     spark = rows.sparkSession
-    slots = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
-    facts = rows.agg(F.count("*"), F.coalesce(F.sum("span"), F.lit(0))).first()
-    here = facts[0] >= slots
-    each = split or max(64, min(4096, facts[1] // (4 * slots)))
-
     def read(batches) -> Iterator[dict]:
         for batch in batches:
             for i in range(batch.num_rows):
-                yield from Block(batch.slice(i, 1).to_pylist()[0]).pieces(each, first, last)
+                yield from Block(batch.slice(i, 1).to_pylist()[0]).pieces(split, first, last)
 
-    if here:
+    if not spread:
         return rows.mapInArrow(lambda batches: _tree_batches(read(batches), pick, method), "tree_id long, newick string")
     pieces = rows.mapInArrow(lambda batches: (_piece_batch([p]) for p in read(batches)), _PIECE)
 
     def rebuild(batches):
         yield from _tree_batches((batch.slice(i, 1).to_pylist()[0] for batch in batches for i in range(batch.num_rows)), pick, method)
 
+    slots = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
     return pieces.repartition(slots, "block_id", "lo").mapInArrow(rebuild, "tree_id long, newick string")
 
 
+def restore_plan(container: DataFrame) -> dict:
+    """spread and split for a written container: blocks that are as many as the tasks that can run are restored in place;
+    else some four pieces come on each task, of 64 to 4,096 trees."""
+    n, trees = container.agg(F.count("*"), F.coalesce(F.sum("span"), F.lit(0))).first()
+    slots = container.sparkSession.sparkContext.defaultParallelism
+    return {"spread": n < slots, "split": max(64, min(4096, trees // (4 * slots)))}
+
+
 def container_entries(container: DataFrame) -> DataFrame:
     """(block_id, first_tree, n_trees, bits, card, sign, n_listed, n_support, support) of all clusters of a container,
     without rebuilding a tree."""

@@ -97,6 +97,6 @@ def run_codec(spark: SparkSession, trees: DataFrame, codec: str, folder: str, **
     path = f"{folder}/{codec}"
     comp_s, _ = timed(lambda: cd.compress(trees, codec, **options).write.mode("overwrite").option("compression", "none").parquet(path))
     container = spark.read.parquet(path)
-    dec_s, _ = timed(lambda: cd.decompress(container).write.mode("overwrite").parquet(path + "_restored"))
+    dec_s, _ = timed(lambda: cd.decompress(container, **cd.restore_plan(container)).write.mode("overwrite").parquet(path + "_restored"))
     sizes, raw = container_size(container).first(), raw_size(trees).first()
     return {"codec": codec, "n_trees": raw["n_trees"], "raw_bytes": raw["raw_bytes"], "comp_bytes": sizes["comp_bytes"], "n_entries": sizes["n_entries"], "comp_s": comp_s, "decomp_s": dec_s}

@@ -56,6 +56,40 @@ def test_small_collections(spark, texts):
     assert cd.verify_roundtrip(trees, packed, True, True).where("not ok").count() == 0
 
 
+def test_sizes_count_every_stored_byte(spark):
+    trees = spark.createDataFrame([(3 * i, "((A:1,B:2)x:3,(C:1,D:2):4);" if i % 2 else "((A:1,C:2)y:3,(B:1,D:2):4);") for i in range(300)], "tree_id long, newick string")
+    for codec in ("packed", "packed_raw", "textrun"):
+        packed = cd.compress(trees, codec, 128, lengths="exact", labels=True)
+        kept = [c for c, kind in packed.dtypes if kind == "binary"]
+        stored = sum(len(r[c] or b"") for r in packed.collect() for c in kept)
+        assert {"payload", "trees", "lengths"} <= set(kept) and measures.container_size(packed).first()["comp_bytes"] >= stored
+    ids = np.array([0, 1, 2, 5, 9, 10, 70000])
+    assert codes.runs_decode(codes.runs_encode(ids)).tolist() == ids.tolist() and len(codes.runs_encode(np.arange(65536))) <= 4
+
+
+@pytest.mark.parametrize("how", [{"split": 7}, {"split": 64}, {"spread": False}])
+def test_restore_by_pieces_and_in_place(spark, how):
+    shapes = ["((A:1,B:2)x:3,(C:1,D:2):4)r:9;", "((A:1,C:2):3,(B:1,D:2)y:4);", "(((A:5,D:2):3,B:1)z:2,C:2);"]
+    trees = spark.createDataFrame([(2 * i + i // 50, shapes[i * i % 3]) for i in range(200)], "tree_id long, newick string")
+    packed = cd.compress(trees, "packed", 150, lengths="exact", labels=True)
+    want = {tuple(r) for r in on.canonical_newick(trees, True, True).collect()}
+    assert {tuple(r) for r in on.canonical_newick(cd.decompress(packed, **how), True, True).collect()} == want
+    some = cd.decompress(packed, first=100, last=301, **how).select("tree_id").collect()
+    assert sorted(r[0] for r in some) == sorted(r[0] for r in trees.where("tree_id between 100 and 301").collect())
+
+
+def test_restore_shuffles_no_more_than_it_writes(spark):
+    """Each block is decoded once: what its pieces hold is a fraction of the trees they stand for."""
+    taxa = [f"t{i}" for i in range(40)]
+    texts = ["(" * 39 + taxa[0] + "".join(f",{x})" for x in (taxa[k:] + taxa[:k])[1:]).replace(f",{taxa[0]})", f",{taxa[k]})") + ";" for k in range(6)]
+    trees = spark.createDataFrame([(i, texts[i % 6]) for i in range(4000)], "tree_id long, newick string")
+    row = cd.compress(trees).collect()[0].asDict()
+    pieces = list(cd.Block(row).pieces(256, None, None))
+    held = sum(len(p[c]) for p in pieces for c in ("there", "bits", "tree", "entry"))
+    assert len(pieces) == 16 and sum(len(p["there"]) // 4 for p in pieces) == 4000
+    assert held < 2 * sum(len(texts[i % 6]) for i in range(4000)) and sum(len(p["bits"]) for p in pieces) < 16 * 6 * 39 * 5 + 1
+
+
 def test_empty_collection(spark):
     trees = spark.createDataFrame([], "tree_id long, newick string")
     packed = cd.compress(trees)
