@@ -41,7 +41,10 @@ def _pieces(total: int, literal: bool) -> list[int]:
 
 def packed_bits_encode(bits: bytes) -> bytes:
     """Code of a zero-padded bitstring."""
-    runs = [[0 if b == 0 else 1 if b == 255 else 2, m.start(), m.end()] for m in _RUNS.finditer(bits) for b in (bits[m.start()],)]
+    spans = [(m.start(), m.end()) for m in _RUNS.finditer(bits)]
+    if all(b - a < 256 and (b - a > 1 or bits[a] in (0, 255)) for a, b in spans):  # nothing to borrow or to cut
+        return b"".join(bytes((bits[a] & 1, b - a)) if bits[a] in (0, 255) else bytes((b - a,)) + bits[a:b] for a, b in spans)
+    runs = [[0 if bits[a] == 0 else 1 if bits[a] == 255 else 2, a, b] for a, b in spans]
     if runs == [[2, 0, 1]]:
         return bytes((2, bits[0], 0))
     for k, run in enumerate(runs):
@@ -92,11 +95,34 @@ def packed_bits_decode(code: bytes, n: int, at: int = 0) -> tuple[bytes, int]:
     return bytes(out[:want]), at
 
 
+#: Lists of so many ids are encoded one by one.
+_SHORT = 32
+
+
+def _short_ids_encode(ids: list[int], wide: bool) -> bytes:
+    if not wide and ids[-1] > 65535 and (ids[0] > 65535 or max(b - a for a, b in zip(ids, ids[1:])) > 65535):
+        raise ValueError("ids need the wide form")
+    out, last = bytearray(ids[0].to_bytes(4 if wide else 2, "big")), ids[0]
+    for x in ids[1:]:
+        gap, last = x - last, x
+        if gap < 1:
+            raise ValueError("ids must ascend strictly")
+        if gap < 256:
+            out.append(gap)
+        elif gap < 65536:
+            out += bytes((0, gap >> 8, gap & 255))
+        else:
+            out += b"\x00\x00\x00" + gap.to_bytes(4, "big")
+    return bytes(out)
+
+
 def packed_ids_encode(ids, wide: bool = False) -> bytes:
     """Code of strictly ascending ids."""
-    ids = np.asarray(ids, np.int64)
     if not len(ids):
         return b""
+    if len(ids) <= _SHORT:  # most lists are short, and then plain loops are faster
+        return _short_ids_encode(np.asarray(ids).tolist(), wide)
+    ids = np.asarray(ids, np.int64)
     first, gaps = int(ids[0]), np.diff(ids)
     if len(gaps) and gaps.min() < 1:
         raise ValueError("ids must ascend strictly")
