@@ -1,8 +1,13 @@
 """PII: format-preserving Feistel pseudonyms.
 
 Validated numbers and dates are permuted within their format under a key: the digits of a phone or card number, the octets
-of an address, the day of a date. Equal values get equal pseudonyms wherever they stand, whatever separators they are
-written with, so documents stay linked; without the key the permutation is not undone, with it `restore` undoes it.
+of an address, the day of a date. What is permuted is the value, not its spelling, so equal values get equal pseudonyms
+wherever they stand and however they are written, and documents stay linked: a date by its day, in any order of its parts
+and with or without leading zeros; a phone number by its national digits under its country code, in any grouping; a card
+number, account number (IBAN) or social security number by its digits, with any separators. Numbers that fail their check
+(Luhn digit, IBAN check digits, octets above 255, days that do not exist, social security numbers never given out, unknown
+country codes) are no such values and stay as they are. Without the key the permutation is not undone, with it
+`replace_pii(back=True)` undoes it.
 
 A value is an index into the domain of its format. A balanced Feistel network over two halves of the next even number of
 bits permutes a domain of a power of four, and indices that leave the format's domain are sent through again until they
@@ -27,6 +32,9 @@ _ROUNDS = 8
 #: Dates are permuted among the days of this span.
 _FIRST, _LAST = datetime.date(1900, 1, 1), datetime.date(2099, 12, 31)
 
+# fixed values: the country calling codes of two digits
+_CODES_OF_TWO = frozenset("20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split())
+
 # formats, in the order in which they are tried at a place
 _EMAIL = r"[A-Za-z0-9][A-Za-z0-9._%+-]{0,63}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}"
 _SCAN = re.compile(
@@ -86,6 +94,23 @@ def _iban_check(country: str, rest: str) -> str:
     return f"{98 - int(number) % 97:02d}"
 
 
+def _ssn_ok(digits: str) -> bool:
+    return digits[:3] not in ("000", "666") and digits[0] != "9" and digits[3:5] != "00" and digits[5:] != "0000"
+
+
+def _day_class(day: datetime.date) -> tuple[bool, bool, bool]:
+    """Whether the day of the month has two digits, is above 12, and the month has two digits."""
+    return day.day > 9, day.day > 12, day.month > 9
+
+
+def _country_digits(digits: str) -> int | None:
+    """Number of digits of the country code that an international number begins with; all codes but those of one and two
+    digits have three."""
+    if digits[0] == "0":
+        return None
+    return 1 if digits[0] in "17" else 2 if digits[:2] in _CODES_OF_TWO else 3
+
+
 def _refill(shape: str, chars: str) -> str:
     """The letters and digits of shape replaced in order."""
     left = iter(chars)
@@ -135,13 +160,12 @@ def pseudonym(f: Feistel, kind: str, value: str, back: bool = False) -> str | No
             return None
         if not _FIRST <= day <= _LAST:
             return None
-        # written without leading zeros or month first: stay among the days that are read the same way back
-        wide, span = len(parts[0]) + len(parts[1]) + len(parts[2]) == 8, (_LAST - _FIRST).days + 1
-        x = (day - _FIRST).days
+        # the pseudonym is a day that any spelling writes as long as this one, and reads the same way back
+        like, span, x = _day_class(day), (_LAST - _FIRST).days + 1, (day - _FIRST).days
         while True:
             x = f.permute("date", x, span, back)
             new = _FIRST + datetime.timedelta(x)
-            if (not month_first or new.day > 12) and (wide or year_first or (len(str(new.day)), len(str(new.month))) == (len(str(day.day)), len(str(day.month)))):
+            if _day_class(new) == like:
                 break
         sep = value[len(parts[0])]
         if year_first:
@@ -149,7 +173,12 @@ def pseudonym(f: Feistel, kind: str, value: str, back: bool = False) -> str | No
         one, two = (new.month, new.day) if month_first else (new.day, new.month)
         return f"{one:0{len(parts[0])}d}{sep}{two:0{len(parts[1])}d}{sep}{new.year:04d}"
     if kind == "ssn":
-        return _refill(value, _digits(f, "ssn", plain, back))
+        if not _ssn_ok(plain):
+            return None
+        while True:
+            plain = _digits(f, "ssn", plain, back)
+            if _ssn_ok(plain):
+                return _refill(value, plain)
     if kind == "iban":
         if not 15 <= len(plain) <= 34 or _iban_check(plain[:2], plain[4:]) != plain[2:4]:
             return None
@@ -162,16 +191,14 @@ def pseudonym(f: Feistel, kind: str, value: str, back: bool = False) -> str | No
         if luhn_digit(body) == plain[-1]:
             new = _digits(f, "card", body, back)
             return _refill(value, new + luhn_digit(new))
-        # not a valid card number: an account or device number, kept apart from valid ones
-        x = f.permute("account", 9 * int(body) + (int(plain[-1]) - int(luhn_digit(body)) - 1) % 10, 9 * 10 ** len(body), back)
-        new = f"{x // 9:0{len(body)}d}"
-        return _refill(value, new + str((int(luhn_digit(new)) + 1 + x % 9) % 10))
+        return None
     if kind == "phone":
         if not 8 <= len(plain) <= 15:
             return None
         # the country code stays
-        code = re.match(r"\+\d{1,3}(?=\D)", value)
-        keep = len(code[0]) - 1 if code else 0
+        keep = _country_digits(plain) if value.startswith("+") else 0
+        if keep is None:
+            return None
         return _refill(value, plain[:keep] + _digits(f, f"phone{plain[:keep]}", plain[keep:], back))
     return None
 
