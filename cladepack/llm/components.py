@@ -96,15 +96,27 @@ def _stars(scratch: Scratch, edges: DataFrame, most_rounds: int) -> DataFrame:
 
 #: Members of one block; a tile of more is worked through in pairs of blocks.
 BLOCK = 4096
+#: Sum of the set sizes of one block.
+BLOCK_WEIGHT = 4_000_000
 #: Members of a tile whose pairs are simply listed.
 SMALL = 32
 
 
-def bitmap(hashes: np.ndarray) -> bytes:
-    """Hashed bitmap of a set of 64-bit hashes; its width is a power of two, two to four times the set's size. Unrelated
-    sets then differ in a third of their bits and more, which is far from what a link allows."""
+def linked(a: np.ndarray, b: np.ndarray, num: int, den: int) -> bool:
+    """Exact intersection of two sorted arrays of distinct hashes; empty sets are linked with nothing."""
+    small, large = (a, b) if len(a) <= len(b) else (b, a)
+    if not len(small):
+        return False
+    at = np.searchsorted(large, small)
+    both = int((large[np.minimum(at, len(large) - 1)] == small).sum())
+    return den * both >= num * (len(a) + len(b) - both)
+
+
+def bitmap(hashes: np.ndarray, per: int = 2) -> bytes:
+    """Hashed bitmap of a set of 64-bit hashes; its width is a power of two, per to twice per times the set's size. With
+    two, unrelated sets differ in a third of their bits and more, which is far from what a link allows."""
     bits = 64
-    while bits < 2 * len(hashes) and bits < 1 << 17:
+    while bits < per * len(hashes) and bits < 1 << 17:
         bits *= 2
     out = np.zeros(bits, np.uint8)
     out[(hashes * _SPREAD >> np.uint64(64 - bits.bit_length() + 1)).astype(np.int64)] = 1
@@ -142,10 +154,25 @@ def _pair_bound(batch: pa.RecordBatch, num: int, den: int):
     yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
 
-def _tile_pairs(tile: int, m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.ndarray], block: np.ndarray, shared: list[np.ndarray], num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
+def _tile_pairs(tile: int, m: np.ndarray, label: np.ndarray, n: np.ndarray, bits: list[np.ndarray], block: np.ndarray, shared: list[np.ndarray], num: int, den: int, exact: list[np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Pairs of one tile, or of two blocks of it, that lie in different components, that sizes and bitmaps allow, and of
-    whose common tiles this is the first."""
+    whose common tiles this is the first. With the sets themselves (exact), only linked pairs, and of those only such as
+    join components of the tile: no more than it has members."""
     sets: dict[int, set[int]] = {}
+    root = list(range(len(m)))
+
+    def find(x: int) -> int:
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    def join(i: int, j: int) -> bool:
+        x, y = find(i), find(j)
+        if x == y or not linked(exact[i], exact[j], num, den):
+            return False
+        root[y] = x
+        return True
 
     def mine(i: int) -> set[int]:
         if i not in sets:
@@ -174,6 +201,7 @@ def _tile_pairs(tile: int, m: np.ndarray, label: np.ndarray, n: np.ndarray, bits
                     j = wide[at]
                     j = j[overlap_bound(n[i], mine_at[k], n[j], rows[at]) >= least_overlap(n[i], n[j], num, den)]
                     j = j[[min(mine(i) & mine(x)) == tile for x in j.tolist()]] if len(j) else j
+                    j = j[[join(i, x) for x in j.tolist()]] if len(j) and exact is not None else j
                     one.append(np.full(len(j), m[i]))
                     other.append(m[j])
     if not one:
@@ -182,8 +210,9 @@ def _tile_pairs(tile: int, m: np.ndarray, label: np.ndarray, n: np.ndarray, bits
     return np.minimum(a, b), np.maximum(a, b)
 
 
-def _tiles_in_order(batches: Iterator[pa.RecordBatch], num: int, den: int) -> Iterator[pa.RecordBatch]:
-    """Groups of rows (tile, i, j, m, l, n, bits, block, shared) that stand together, one after the other; holds one group."""
+def _tiles_in_order(batches: Iterator[pa.RecordBatch], num: int, den: int, expand: Callable[[list[bytes]], list[np.ndarray]] | None = None) -> Iterator[pa.RecordBatch]:
+    """Groups of rows (tile, i, j, m, l, n, bits, block, shared) that stand together, one after the other; holds one group.
+    With expand, bits holds what the sets are made of."""
     rest = None
     last = object()
     for batch in chain(batches, [last]):
@@ -203,9 +232,14 @@ def _tiles_in_order(batches: Iterator[pa.RecordBatch], num: int, den: int) -> It
         maps, lists = now.column("bits"), now.column("shared")
         for k in range(stop):
             at = slice(edges[k], edges[k + 1])
-            bits = [np.frombuffer(x.as_buffer(), np.uint64) for x in maps.slice(at.start, at.stop - at.start)]
+            exact, size = None, n[at]
+            if expand is not None:
+                exact = expand(maps.slice(at.start, at.stop - at.start).to_pylist())
+                bits, size = [np.frombuffer(bitmap(s, 8), np.uint64) for s in exact], np.array([len(s) for s in exact], np.int64)
+            else:
+                bits = [np.frombuffer(x.as_buffer(), np.uint64) for x in maps.slice(at.start, at.stop - at.start)]
             shared = [np.frombuffer(x.values.buffers()[1], np.int64)[x.values.offset : x.values.offset + len(x.values)] for x in lists.slice(at.start, at.stop - at.start)]
-            a, b = _tile_pairs(int(keys[0, at.start]), m[at], label[at], n[at], bits, block[at], shared, num, den)
+            a, b = _tile_pairs(int(keys[0, at.start]), m[at], label[at], size, bits, block[at], shared, num, den, exact)
             if len(a):
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
         rest = now.slice(edges[stop]) if done is None else None
@@ -219,19 +253,20 @@ def distinct_tiles(scratch: Scratch, tiles: DataFrame) -> DataFrame:
     return scratch.save(tiles.join(first, "tile", "left_semi"))
 
 
-def resolve_tiles(scratch: Scratch, tiles: DataFrame, load: Callable[[DataFrame], None], sketch: Callable[[DataFrame], DataFrame], verify: Callable[[DataFrame], DataFrame], num: int, den: int, bound: bool = True, small: int | None = None, rounds: int = 2) -> tuple[DataFrame, DataFrame]:
+def resolve_tiles(scratch: Scratch, tiles: DataFrame, load: Callable[[DataFrame], None], sketch: Callable[[DataFrame], DataFrame], verify: Callable[[DataFrame], DataFrame], num: int, den: int, bound: bool = True, small: int | None = None, expand: Callable[[list[bytes]], list[np.ndarray]] | None = None, rounds: int = 2) -> tuple[DataFrame, DataFrame]:
     """Components of the graph whose links are the verified pairs that share a tile: (node, component), and the links.
 
     tiles: (tile, m), without repeated rows; load is called once with the members (m) that are left; sketch: members (m) ->
     (m, n, bits), the size and bitmap of each set; verify: pairs (a, b) -> those linked. With bound, pairs are verified only
-    if sizes and bitmaps allow a link; without, bitmaps serve for large tiles alone (small sets are verified as fast).
+    if sizes and bitmaps allow a link; without, bitmaps serve for large tiles alone (small sets are verified as fast). With
+    expand, sketch gives as bits what a set is made of, from which expand makes it; large tiles are then verified in place.
 
     First every tile picks a leader - in the same order everywhere, so tiles of one group agree on it -, which is compared
     with the members that are not in its component and then leaves: all its pairs there are settled. So a group of linked
     copies falls into one component without all its pairs. A tile whose members share a component is settled. The tiles
     that are left - members truly apart - give their pairs if they are small; large ones are worked through on bitmaps, in
-    the task that holds them, and only pairs that the bitmaps allow come out. A tile of more than BLOCK members is dealt
-    into blocks, and each pair of blocks is a task of its own. No pair of one tile stays unsettled.
+    the task that holds them, and only pairs that the bitmaps allow come out. A tile of more than BLOCK members or BLOCK_WEIGHT
+    elements is dealt into blocks, and each pair of blocks is a task of its own. No pair of one tile stays unsettled.
 
     What is known of a tile (leader, size, least and largest label) comes from aggregates that are combined before the
     shuffle, and its rows learn it by a lookup that leaves the rows of a hot tile where they are.
@@ -288,12 +323,14 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, load: Callable[[DataFrame]
         return parts, links
     if sketches is None:
         sketches = scratch.save(sketch(scratch.save(many.select("m").distinct())), codec="none")
-    block = many.withColumn("blocks", F.ceil(F.col("size") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
+    heavy = many.join(sketches.select("m", "n"), "m").groupBy("tile").agg(F.sum("n").alias("weight"), F.count("*").alias("size"))
+    heavy = heavy.select("tile", "size", F.ceil(F.greatest(F.col("size") / BLOCK, F.col("weight") / BLOCK_WEIGHT)).cast("int").alias("blocks"))
+    block = lookup(many.select("tile", "m", "l"), scratch.save(heavy), ["tile"], "size", many.count()).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
     own = many.groupBy("m").agg(F.collect_list("tile").alias("shared")).join(sketches, "m")
     dealt = block.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(own, "m")
     dealt = dealt.select("tile", "i", "j", "m", "l", F.col("n").cast("long").alias("n"), "bits", "block", "shared")
     parts_n = max(8, scratch.spark.sparkContext.defaultParallelism, int(scratch.spark.conf.get("spark.sql.shuffle.partitions")))
-    large = dealt.repartition(parts_n, "tile", "i", "j").sortWithinPartitions("tile", "i", "j").mapInArrow(lambda b: _tiles_in_order(b, num, den), "a long, b long")
+    large = dealt.repartition(parts_n, "tile", "i", "j").sortWithinPartitions("tile", "i", "j").mapInArrow(lambda b: _tiles_in_order(b, num, den, expand), "a long, b long")
     settle(listed.union(large).distinct())
     return parts, links

@@ -1,37 +1,44 @@
 """HTML extraction with a site style tree.
 
-The pages of a host are merged: elements that stand under the same path of styles are one element node, and the sequence
-of children that a page shows there is one of its style nodes. An inner node's importance is the entropy of its style
-nodes over the pages that have it, mixed with its children's; a leaf's is one minus the mean entropy of its contents over
-those pages: a text or link that every page repeats has none, one that a single page has is all its own. Branches of
-low importance are taken out of every page of the host.
-
-Where a page itself names the role of a part - navigation, header, footer, aside, form, script, advert, notice, comments -
-the part goes without a vote, as it does on hosts of one page; and what a page marks as its article is kept whole: in an
-article, repeated lines are part of the text. The style tree decides about everything between.
-
-Tables of the tree hold one row for each node, style or content of a host and page, combined before they are shuffled;
-the list of low branches is broadcast within a checked size, and joined by host beyond it.
+The pages of a host are merged: elements that stand under the same path of styles are one element node. The sequences of
+children that pages show there are its style nodes (presentation), the texts that stand in it its content nodes. A node's
+own importance is the entropy of its styles or contents over the pages, whichever is larger, as a share of the largest
+entropy they could have: none if every page repeats one of them, all if each page has its own. A branch is as important as
+the most important node in it, so one of low importance has nothing but low nodes. A content's importance is the share of
+the pages with that node that do not repeat it.
+
+What a page itself says of a part is a prior on the importance of the part and all below it: navigation, header, footer,
+aside, form, advert, notice, comments - by element, role or name - weigh little, and so does what stands outside of the
+articles of a page whose articles hold half of the text or more (they do not if they are cards of a list, say). Names do not
+count for the page, its body, an article, or anything that holds an article. A text is kept if its importance - the least of
+its branch, the branches above and the content itself - times the prior reaches LEAST_IMPORTANCE; this holds within articles
+as outside. Nodes and contents that fewer than LEAST_PAGES pages of the host share count as important, so on small hosts the
+priors decide.
+
+Tables of the tree hold one row for each node, style or content of a host and page, combined before they are shuffled, and
+branches are summed up over their ancestors by one aggregate, so no host is one task's work. The scores of the few nodes and
+contents of lowered importance are broadcast within a checked size, and joined by host beyond it.
 """
 
 from __future__ import annotations
 
 import html
-import math
 import re
-from urllib.parse import urlsplit
 
-import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, batch_of, map_arrow
+from .common import Scratch, batch_of, lookup, map_arrow
 
-#: A branch goes if its importance is lower and at least so many pages of the host have it.
-LEAST_IMPORTANCE, LEAST_PAGES, DECAY = 0.2, 8, 0.9
-#: Low branches that are broadcast at most.
-MOST_BRANCHES = 200_000
+#: A text goes if its importance times the prior is lower; a node or content is judged if at least so many pages of the host
+#: share it.
+LEAST_IMPORTANCE, LEAST_PAGES = 0.2, 8
+#: Prior of parts that name themselves, and of what stands outside of the articles of a page that consists of them.
+PART_PRIOR = OUTSIDE_PRIOR = 0.15
+#: Scores that are broadcast at most.
+MOST_SCORES = 200_000
 
 _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
 _ATTR = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"?|'([^']*)'?|([^\s>]+)))?")
@@ -39,7 +46,8 @@ _ATTR = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"?|'([^']*)'?|([^\s>]
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _RAW = frozenset("script style textarea title xmp iframe noembed noframes plaintext".split())
 _INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark meter nobr output progress q ruby rp rt s samp small span strike strong sub sup time tt u var wbr img picture source svg path".split())
-_OUT = frozenset("nav header footer aside form script style noscript template head title iframe object embed applet button input select textarea option dialog menu svg canvas map audio video menuitem datalist fieldset legend".split())
+_NO_TEXT = frozenset("script style noscript template head title iframe object embed applet input select textarea option svg canvas map audio video datalist".split())
+_PARTS = frozenset("nav header footer aside form button dialog menu menuitem fieldset legend".split())
 _MAIN = frozenset(("article", "main"))
 _ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar".split())
 _NAMES = re.compile(r"(?:^|[\s_-])(?:ads?|adverts?|advertisements?|sponsor(?:ed)?|promo|banner|cookies?|consent|notice|popup|modal|newsletter|subscribe|nav|navbar|navigation|menu|breadcrumbs?|sidebar|footer|header|masthead|social|share|sharing|related|recommended|comments?|disqus|pagination|pager|widget|toolbar|skip)(?:$|[\s_-]|\d)", re.I)
@@ -49,17 +57,18 @@ _ENDS_P = frozenset("address article aside blockquote center details dialog dir
 
 
 class Node:
-    __slots__ = ("children", "main", "out", "style", "tag")
+    __slots__ = ("children", "main", "named", "out", "part", "style", "tag")
 
-    def __init__(self, tag: str, style: str = "", out: bool = False, main: bool = False):
-        self.tag, self.style, self.out, self.main, self.children = tag, style, out, main, []
+    def __init__(self, tag: str, style: str = "", out: bool = False, main: bool = False, part: bool = False, named: bool = False):
+        self.tag, self.style, self.out, self.main, self.part, self.named, self.children = tag, style, out, main, part, named, []
 
 
 def _element(tag: str, attrs: str) -> Node:
     got = {m[1].lower(): html.unescape(next((x for x in m.groups()[1:] if x is not None), "")) for m in _ATTR.finditer(attrs)} if attrs.strip(" /\n\t") else {}
     name, role = f"{got.get('class', '')} {got.get('id', '')}".strip(), got.get("role", "").lower()
-    out = tag in _OUT or role in _ROLES or "hidden" in got or got.get("aria-hidden") == "true" or bool(name and _NAMES.search(name)) or "display:none" in got.get("style", "").replace(" ", "")
-    return Node(tag, f"{tag}.{got.get('class', '')}", out, tag in _MAIN or role in ("main", "article"))
+    out = tag in _NO_TEXT or "hidden" in got or got.get("aria-hidden") == "true" or "display:none" in got.get("style", "").replace(" ", "")
+    main = tag in _MAIN or role in ("main", "article")
+    return Node(tag, f"{tag}.{got.get('class', '')}", out, main, tag in _PARTS or role in _ROLES, bool(name and _NAMES.search(name)))
 
 
 def parse(text: str) -> Node:
@@ -116,169 +125,170 @@ def parse(text: str) -> Node:
     return root
 
 
-def text_blocks(root: Node, low: frozenset[str] | set[str] = frozenset()) -> list[str]:
-    """Blocks of text in page order. If the page has an article, only articles; low: paths of low importance. A branch is
-    left out when all its nodes are low, which is to say that each node of low importance loses its own text."""
-    blocks: list[str] = []
+def key_of(text: str) -> int:
+    return xxhash.xxh64_intdigest(text.encode("utf-8", "surrogatepass")) - (1 << 63)
+
+
+def _hold_main(root: Node) -> set[int]:
+    """Nodes (by identity) that are an article or hold one; articles within parts do not count."""
+    found: set[int] = set()
+    stack: list = [(root, ())]
+    while stack:
+        node, above = stack.pop()
+        if node.main:
+            found.update((id(node), *above))
+        if not node.out and not node.part:
+            chain = (*above, id(node))
+            stack.extend((c, chain) for c in node.children if isinstance(c, Node) and id(c) not in found)
+    return found
+
+
+def _own_text(node: Node) -> str:
+    return " ".join(" ".join(c for c in node.children if isinstance(c, str)).split())
+
+
+def text_blocks(root: Node, scores: dict[int, float] | None = None) -> list[str]:
+    """Blocks of text in page order. scores: importance of paths and of (path, content) keys where it is low;
+    None turns the tree off: every text then counts as important and no prior is asked."""
+    held = _hold_main(root)
+    blocks: list[tuple[str, bool]] = []
     open_: list[str] = []
+    inside_now = False
 
     def close():
         line = " ".join("".join(open_).split())
         open_.clear()
         if line:
-            blocks.append(line)
+            blocks.append((line, inside_now))
 
-    has_main = _has_main(root)
-    # (node, path, kept inside an article); None closes a block
-    stack: list = [(root, "", not has_main, False)]
+    low = lambda worth: scores is not None and worth < LEAST_IMPORTANCE
+    # (node, path, prior, importance of the branches above, inside an article, text taken); None closes a block
+    stack: list = [(root, "", 1.0, 1.0, False, True)]
     while stack:
         item = stack.pop()
         if item is None:
             close()
             continue
-        node, path, take, inside = item
+        node, path, prior, worth, inside, take = item
         if isinstance(node, str):
             if take:
                 open_.append(node)
             continue
+        inline = node.tag in _INLINE
         if node.out:
-            if node.tag not in _INLINE:
+            if not inline:
                 stack.append(None)
             continue
         path = f"{path}/{node.style}"
-        inside = inside or node.main
-        take = take or node.main
-        quiet = not inside and path in low
-        inline = node.tag in _INLINE
+        if node.part or node.named and id(node) not in held and node.tag not in ("html", "body"):
+            prior = min(prior, PART_PRIOR)
+        if scores is not None:
+            worth = min(worth, scores.get(key_of(path), 1.0))
         if node.tag in ("br", "hr"):
             close()
             continue
         if not inline:
             close()
             stack.append(None)
-        stack.extend((c, path, take and not (quiet and isinstance(c, str)), inside) for c in reversed(node.children))
+        own = worth
+        if scores and any(isinstance(c, str) for c in node.children):
+            own = min(worth, scores.get(key_of(f"{path}\n{_own_text(node)}"), 1.0))
+        inside = inside or node.main
+        if not inline:
+            inside_now = inside
+        take = not low(own * prior)
+        stack.extend((c, path, prior, worth, inside, take) for c in reversed(node.children))
     close()
-    return blocks
+    main = sum(len(t) for t, i in blocks if i)
+    outside = OUTSIDE_PRIOR if main and 2 * main >= sum(len(t) for t, _ in blocks) else 1.0
+    return [t for t, i in blocks if i or not low(outside)]
 
 
-def _has_main(root: Node) -> bool:
-    stack = [root]
+def tree_rows(root: Node) -> set[tuple[int, tuple[int, ...], int, int]]:
+    """(path, paths above, kind, value) of the nodes of a page, as keys: kind 0 for each node, 1 for the sequence of its
+    children's styles, 2 for its own text."""
+    rows, stack = set(), [(root, "", ())]
     while stack:
-        node = stack.pop()
-        if isinstance(node, Node) and not node.out:
-            if node.main:
-                return True
-            stack.extend(node.children)
-    return False
-
-
-def tree_rows(root: Node) -> list[tuple[str, str, str]]:
-    """(path, kind, value) of the page's nodes outside of articles and named parts: `style` with the sequence of child
-    styles for inner nodes, `content` with text or link for leaves."""
-    rows, stack = [], [(root, "")]
-    while stack:
-        node, path = stack.pop()
+        node, path, above = stack.pop()
         path = f"{path}/{node.style}"
-        inner = [c for c in node.children if isinstance(c, Node) and not c.out and not c.main]
+        key = key_of(path)
+        rows.add((key, above, 0, 0))
+        inner = [c for c in node.children if isinstance(c, Node) and not c.out]
         if inner:
-            rows.append((path, "style", "|".join(c.style for c in inner)))
-            stack.extend((c, path) for c in inner)
-        words = " ".join(" ".join(c for c in node.children if isinstance(c, str)).split())
+            rows.add((key, above, 1, key_of("|".join(c.style for c in inner))))
+            stack.extend((c, path, (*above, key)) for c in inner)
+        words = _own_text(node)
         if words or not inner:
-            rows.append((path, "content", words))
+            rows.add((key, above, 2, key_of(f"{path}\n{words}")))
     return rows
 
 
-def host_of(url: str | None) -> str:
-    try:
-        return (urlsplit(url or "").hostname or "").lower()
-    except ValueError:
-        return ""
-
-
-def importance(stats: pd.DataFrame) -> pd.Series:
-    """Importance of each path of one host from (path, kind, n_pages, n_values, entropy): leaves from their contents,
-    inner nodes from their styles and, with less weight the further down, from their children."""
-    own = {}
-    for path, kind, m, h in zip(stats["path"], stats["kind"], stats["n_pages"], stats["entropy"], strict=True):
-        own.setdefault(path, {})[kind] = (h / math.log(m)) if m > 1 else 1.0
-    children: dict[str, list[str]] = {}
-    for path in own:
-        children.setdefault(path.rpartition("/")[0], []).append(path)
-    score: dict[str, float] = {}
-    for path in sorted(own, key=lambda p: -p.count("/")):
-        below = [score[c] for c in children.get(path, ())]
-        # entropy of the values over the pages: 0 if all pages repeat one value, 1 if each has its own
-        parts = [own[path]["style"]] if "style" in own[path] else []
-        if "content" in own[path]:
-            parts.append(own[path]["content"])
-        mine = max(parts)
-        weight = DECAY ** len(below) if below else 0.0
-        score[path] = (1 - weight) * mine + weight * (sum(below) / len(below)) if below else mine
-    return stats["path"].map(score)
-
-
-def low_branches(pages: DataFrame, scratch: Scratch) -> DataFrame:
-    """(host, path) of the branches of low importance, from all pages."""
+def host() -> Column:
+    """Host of the column url, lower-case; empty if there is none."""
+    return F.coalesce(F.lower(F.regexp_extract("url", r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1)), F.lit(""))
+
+
+def node_scores(pages: DataFrame, scratch: Scratch) -> DataFrame:
+    """(host, key, score) of the nodes and contents whose importance lets them go under any prior; from all pages
+    (url, html)."""
 
     def fn(batch: pa.RecordBatch):
         seen: dict[tuple, int] = {}
-        for url, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            host = host_of(url)
-            for row in set(tree_rows(parse(text or ""))):
-                key = (host, row[0], row[1], row[2][:64] + str(len(row[2])) + str(hash_text(row[2])))
-                seen[key] = seen.get(key, 0) + 1
+        for site, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for row in tree_rows(parse(text or "")):
+                seen[site, row] = seen.get((site, row), 0) + 1
         if seen:
-            cols = list(zip(*seen, strict=True))
-            yield batch_of({n: pa.array(c, pa.string()) for n, c in zip(("host", "path", "kind", "value"), cols, strict=True)} | {"n": pa.array(list(seen.values()), pa.int64())})
-
-    rows = map_arrow(pages.select("url", "html"), fn, "host string, path string, kind string, value string, n long")
-    per_value = rows.select("host", "path", "kind", F.xxhash64("value").alias("value"), "n").groupBy("host", "path", "kind", "value").agg(F.sum("n").alias("n"))
-    # sum of p * log p from sums that are combined before the shuffle: H = log N - sum(n log n) / N
-    stats = per_value.groupBy("host", "path", "kind").agg(F.sum("n").alias("n_pages"), F.count("*").alias("n_values"), F.sum(F.col("n") * F.log("n")).alias("nlogn"))
-    stats = scratch.save(stats.withColumn("entropy", F.log("n_pages") - F.col("nlogn") / F.col("n_pages")))
-
-    def judge(one: pd.DataFrame) -> pd.DataFrame:
-        one = one.assign(score=importance(one))
-        low = one[(one["score"] < LEAST_IMPORTANCE) & (one["n_pages"] >= LEAST_PAGES)]
-        return low[["host", "path"]].drop_duplicates()
-
-    # only paths that enough pages share can go, and with them the paths above; a host's template bounds their number
-    shared = stats.where(F.col("n_pages") >= LEAST_PAGES)
-    return scratch.save(shared.groupBy("host").applyInPandas(judge, "host string, path string"))
-
-
-def hash_text(text: str) -> int:
-    import zlib
-
-    return zlib.crc32(text.encode("utf-8", "surrogatepass"))
-
-
-def extract_main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+            sites, rows = zip(*seen, strict=True)
+            path, above, kind, value = zip(*rows, strict=True)
+            yield batch_of({"host": pa.array(sites, pa.string()), "path": pa.array(path, pa.int64()), "above": pa.array([list(x) for x in above], pa.list_(pa.int64())), "kind": pa.array(kind, pa.int32()), "value": pa.array(value, pa.int64()), "n": pa.array(list(seen.values()), pa.int64())})
+
+    rows = map_arrow(pages.select(host().alias("host"), "html"), fn, "host string, path long, above array<long>, kind int, value long, n long")
+    per_value = scratch.save(rows.groupBy("host", "path", "kind", "value").agg(F.sum("n").alias("n"), F.first("above").alias("above")))
+    nodes = per_value.where("kind = 0").select("host", "path", "above", F.col("n").alias("n_pages")).where(F.col("n_pages") >= LEAST_PAGES)
+    # entropy from sums that are combined before the shuffle: H = log N - sum(n log n) / N, of log N at most
+    total = F.sum("n")
+    share = F.when(total > 1, (F.log(total) - F.sum(F.col("n") * F.log("n")) / total) / F.log(total)).otherwise(1.0)
+    own = per_value.where("kind > 0").groupBy("host", "path", "kind").agg(share.alias("own")).groupBy("host", "path").agg(F.max("own").alias("own"))
+    # each node counts for itself and for every branch it is in; nodes of few pages count as important
+    rare = per_value.where("kind = 0").where(F.col("n") < LEAST_PAGES).select("host", "path", "above", F.lit(1.0).alias("own"))
+    judged = nodes.join(own, ["host", "path"]).select("host", "path", "above", "own").unionByName(rare)
+    branches = judged.select("host", "own", F.explode(F.concat(F.array("path"), "above")).alias("key")).groupBy("host", "key").agg(F.max("own").alias("score"))
+    texts = per_value.where("kind = 2").where(F.col("n") >= LEAST_PAGES).select("host", "path", F.col("value").alias("key"), "n").join(nodes, ["host", "path"])
+    contents = texts.select("host", "key", (1 - F.col("n") / F.col("n_pages")).alias("score"))
+    return scratch.save(branches.unionByName(contents).where(F.col("score") < LEAST_IMPORTANCE))
+
+
+def extract_main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", tree: bool = True) -> DataFrame:
     """(page_id, url, text, n_chars) for every row of pages.
 
     text joins the blocks of the page's main part by empty lines; references are decoded, white space within a block is
-    one space. Null and empty pages have an empty text. Pages without a valid host are one site of their own. Rows with
-    equal ids stay rows of their own; other columns are ignored; an empty table gives an empty result.
+    one space. Null and empty pages have an empty text; pages of any length are read whole. Pages without a host, or with a
+    null url, are one site of their own. Rows with equal or null ids stay rows of their own; other columns are ignored; an
+    empty table gives an empty result. tree=False leaves the style tree, and with it all judgement, out.
     """
-    scratch = Scratch(pages.sparkSession, "html")
+    spark = pages.sparkSession
+    scratch = Scratch(spark, "html")
     rows = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    low = low_branches(rows, scratch)
-    per_host = low.groupBy("host").agg(F.collect_set("path").alias("paths"))
-    small = low.count() <= MOST_BRANCHES
-    host = F.coalesce(F.lower(F.regexp_extract("url", r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1)), F.lit(""))
-    if small:
-        sent = pages.sparkSession.sparkContext.broadcast({r["host"]: frozenset(r["paths"]) for r in per_host.collect()})
-        dealt = rows.select("page_id", "url", "html", F.lit(None).cast("array<string>").alias("paths"))
-    else:
-        dealt = rows.withColumn("host", host).join(per_host, "host", "left").select("page_id", "url", "html", "paths")
-        sent = None
+    sent = scores = None
+    dealt = rows.withColumn("host", host()).select("page_id", "url", "html", "host", F.lit(None).cast("map<long,double>").alias("scores"))
+    if tree:
+        scores = node_scores(rows, scratch)
+        if scores.count() <= MOST_SCORES:
+            found: dict[str, dict[int, float]] = {}
+            for r in scores.collect():  # no more than MOST_SCORES
+                found.setdefault(r["host"], {})[r["key"]] = r["score"]
+            sent = spark.sparkContext.broadcast(found)
+        else:
+            keyed = rows.withColumn("host", host())
+            sizes = keyed.groupBy("host").agg(F.count("*").alias("n"))
+            per_host = scores.groupBy("host").agg(F.map_from_entries(F.collect_list(F.struct("key", "score"))).alias("scores")).join(sizes, "host")
+            dealt = lookup(keyed, scratch.save(per_host), ["host"], "n", rows.count()).select("page_id", "url", "html", "host", "scores")
 
     def fn(batch: pa.RecordBatch):
         texts = []
-        for url, page, paths in zip(*(batch.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
-            gone = sent.value.get(host_of(url), frozenset()) if sent is not None else frozenset(paths or ())
-            texts.append("\n\n".join(text_blocks(parse(page or ""), gone)))
+        for page, site, mine in zip(*(batch.column(i).to_pylist() for i in (2, 3, 4)), strict=True):
+            known = None if not tree else sent.value.get(site, {}) if sent is not None else dict(mine or ())
+            texts.append("\n\n".join(text_blocks(parse(page or ""), known)))
         yield batch_of({"page_id": batch.column(0), "url": batch.column(1), "text": pa.array(texts, pa.string()), "n_chars": pa.array([len(t) for t in texts], pa.int64())})
 
     kind = rows.schema["page_id"].dataType.simpleString()

@@ -22,8 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import BROADCAST_ROWS, HOT_GROUPS, Scratch, batch_of, distinct, fresh, lookup, map_arrow, maybe_broadcast, mix64, numbered, signed
-from .components import bitmap, resolve_tiles
-from .ngram_join import linked
+from .components import linked, resolve_tiles
 
 SHINGLE, BANDS, ROWS = 6, 10, 4
 _BINS = BANDS * ROWS
@@ -165,14 +164,13 @@ def line_components(docs: DataFrame, num: int = 4, den: int = 5, row_col: str |
         one, two = held.select(F.col("m").alias("a"), F.col("line").alias("x")), held.select(F.col("m").alias("b"), F.col("line").alias("y"))
         return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "x", "y"), lambda b: _line_pairs(b, num, den), "a long, b long")
 
-    def bitmaps(batch: pa.RecordBatch):
-        sets = shingle_sets(batch.column(1).to_pylist())
-        yield batch_of({"m": batch.column(0), "n": pa.array([len(s) for s in sets], pa.int64()), "bits": pa.array([bitmap(s) for s in sets], pa.binary())})
-
     def sketch(wanted: DataFrame) -> DataFrame:
-        return map_arrow(bodies.join(maybe_broadcast(wanted), "m", "left_semi").select("m", "line"), bitmaps, "m long, n long, bits binary", 256)
+        return bodies.join(maybe_broadcast(wanted), "m", "left_semi").select("m", F.length("line").cast("long").alias("n"), F.encode("line", "utf-8").alias("bits"))
+
+    def expand(bits: list[bytes]) -> list[np.ndarray]:
+        return shingle_sets([x.decode() for x in bits])
 
-    parts, _ = resolve_tiles(scratch, tiles, load, sketch, verify, num, den, bound=False, small=4)
+    parts, _ = resolve_tiles(scratch, tiles, load, sketch, verify, num, den, bound=False, small=4, expand=expand)
     parts = parts.select(F.col("node").alias("m"), "component")
     named = uniq.join(maybe_broadcast(parts), "m", "left").where("component is not null or n > 1")
     named = scratch.save(named.select("m", "n", "first", F.coalesce("component", "m").alias("component")))

@@ -91,12 +91,15 @@ def schedule(targets: DataFrame, block: int, scratch: Scratch, kind: str = "gold
 
 
 def mix_sources(docs: DataFrame, weights: list[float] = (3, 1, 2), share: float = 1.5, kind: str = "golden", id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """(doc_id, source, size, source_size, target, taken) for every row of docs.
+    """(doc_id, source, size, source_size, target, taken, first_slot, n_pieces) for every row of docs.
 
     size is the number of words (runs other than ASCII white space), 0 for null; taken the words that the mix takes from
-    the row, at most twice its size; over a source they add up to its target, rounded down. Null sources are one source of
-    their own. Rows with equal ids are shuffled next to each other. Documents without words are never taken; an empty
-    table gives an empty result; other columns are ignored.
+    the row, at most twice its size; over a source they add up to its target, rounded down. first_slot is the first slot of
+    the schedule whose block holds words of the row (null if none is taken), which is where training meets it; n_pieces
+    the number of blocks' pieces that come from it. Null sources are one source of their own. Rows with equal ids are
+    shuffled next to each other, the smaller first; rows alike in id, source and size are interchangeable. Texts of any
+    length are counted whole. Documents without words are never taken; an empty table gives an empty result; other columns
+    are ignored.
     """
     scratch = Scratch(docs.sparkSession, "mixing")
     n_words = F.coalesce(F.regexp_count(F.col(text_col).cast("string"), F.lit(WORDS)), F.lit(0)).cast("long")
@@ -114,15 +117,15 @@ def mix_sources(docs: DataFrame, weights: list[float] = (3, 1, 2), share: float
     mark = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
     stretch = F.floor(F.conv(F.substring("mark", 1, 8), 16, 10).cast("double") * n_ranges / F.lit(4294967296.0))
     placed = rows.join(maybe_broadcast(targets), rows["source"].eqNullSafe(targets["source"])).drop(targets["source"]).withColumn("mark", mark).withColumn("stretch", stretch)
-    placed = scratch.save(_before(placed, ["source_id"], ["mark", "doc_id"], "size", "stretch", "start", scratch))
+    placed = scratch.save(_before(placed, ["source_id"], ["mark", "doc_id", "size"], "size", "stretch", "start", scratch))
 
     # the stream runs twice at most; a document's words in run e stand at e * source_size + start
     runs = placed.where("size > 0").select("source_id", "start", "size", "target", F.explode(F.array(F.col("start"), F.col("start") + F.col("source_size"))).alias("at"))
     runs = runs.withColumn("end", F.least(F.col("at") + F.col("size"), F.floor("target"))).where("at < end")
     pieces = runs.withColumn("rank", F.explode(F.sequence(F.floor(F.col("at") / block), F.floor((F.col("end") - 1) / block))))
     cut = F.least(F.col("end"), (F.col("rank") + 1) * block) - F.greatest(F.col("at"), F.col("rank") * block)
-    taken = pieces.withColumn("words", cut).join(plan, ["source_id", "rank"]).groupBy("source_id", "start").agg(F.sum("words").alias("taken"))
+    taken = pieces.withColumn("words", cut).join(plan, ["source_id", "rank"]).groupBy("source_id", "start").agg(F.sum("words").alias("taken"), F.min("slot").alias("first_slot"), F.count("*").alias("n_pieces"))
     out = placed.join(taken, ["source_id", "start"], "left")
     # rows without words share a start with the row after them
-    words = F.when(F.col("size") > 0, F.coalesce("taken", F.lit(0))).otherwise(F.lit(0)).cast("long")
-    return out.select("doc_id", "source", "size", "source_size", F.col("target").cast("double").alias("target"), words.alias("taken"))
+    of = lambda c: F.when(F.col("size") > 0, F.col(c))
+    return out.select("doc_id", "source", "size", "source_size", F.col("target").cast("double").alias("target"), F.coalesce(of("taken"), F.lit(0)).cast("long").alias("taken"), of("first_slot").alias("first_slot"), F.coalesce(of("n_pieces"), F.lit(0)).cast("long").alias("n_pieces"))

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broadcast, mix64, numbered, shingle_sets, signed, without, word_hashes
-from .components import bitmap, resolve_tiles
+from .components import bitmap, linked, resolve_tiles
 
 _BAND0, _GROWTH = 8, 1.5
 _A, _B, _C = np.uint64(0xD6E8FEB86659FD93), np.uint64(0xA0761D6478BD642F), np.uint64(0xE7037ED1A0B428DB)
@@ -79,14 +79,6 @@ def set_hash(s: np.ndarray) -> np.uint64:
         return mix64((mix64(s).sum(dtype=np.uint64, keepdims=True)) + np.uint64(len(s)))[0]
 
 
-def linked(a: np.ndarray, b: np.ndarray, num: int, den: int) -> bool:
-    """Exact intersection of two sorted arrays of distinct hashes."""
-    small, large = (a, b) if len(a) <= len(b) else (b, a)
-    at = np.searchsorted(large, small)
-    both = int((large[np.minimum(at, len(large) - 1)] == small).sum())
-    return den * both >= num * (len(a) + len(b) - both)
-
-
 def shingle_profile(docs: DataFrame, n: int, num: int, den: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_hash, n_shingles, set_hash, needs); a text without words has 0 shingles and no set_hash."""
 

@@ -13,7 +13,7 @@ from .exact_dedup import exact_duplicates
 from .html_extract import extract_main_text
 from .langid import identify_languages
 from .line_dedup import duplicate_lines
-from .mixing import mix_sources
+from .mixing import GOLDEN, mix_sources
 from .ngram_join import ngram_jaccard_components
 from .pii import replace_pii
 from .quality_fm import score_quality
@@ -24,7 +24,7 @@ EXAMPLE_KEY = b"example key, not a secret"
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix_sources(table(spark, sf_dir, "documents"), (3, 1, 2), 1.5).select("doc_id", "size", "source_size", "target", "taken")
+    return mix_sources(table(spark, sf_dir, "documents"), (3, 1, 2), 1.5).select("doc_id", "size", "source_size", "target", "taken", "first_slot", "n_pieces")
 
 
 def op2_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -79,10 +79,25 @@ r AS (SELECT *, cap / weight AS ratio FROM w),
 l AS (SELECT *, ((SELECT sum(source_size) FROM s) * 1.5::DOUBLE - coalesce(sum(cap) OVER o, 0)) / ((SELECT sum(weight) FROM w) - coalesce(sum(weight) OVER o, 0)) AS level
       FROM r WINDOW o AS (ORDER BY ratio, source IS NULL, source ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 t AS (SELECT source, source_size, CASE WHEN ratio <= level THEN cap ELSE weight * (SELECT arg_min(level, (ratio, source IS NULL, source)) FROM l WHERE ratio > level) END::DOUBLE AS target FROM l),
-p AS (SELECT d.*, source_size, target, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY md5(doc_id::VARCHAR), doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS start
-      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size::BIGINT AS size, source_size, target,
-  (greatest(0, least(start + size, floor(target)) - start) + greatest(0, least(source_size + start + size, floor(target)) - (source_size + start)))::BIGINT AS taken FROM p"""
+i AS (SELECT *, row_number() OVER (ORDER BY source IS NULL, source) AS source_id FROM t),
+b AS (SELECT greatest(1, least(4096, sum(source_size)::BIGINT // (256 * count(*)))) AS block FROM i),
+e AS (SELECT source_id, ceil(floor(target) / block)::BIGINT AS need FROM i, b),
+f AS (SELECT *, sum(need) OVER (ORDER BY source_id) AS upto FROM e WHERE need > 0),
+g AS (SELECT t AS slot, (high * 'GOLDEN_HIGH'::DOUBLE + low * 'GOLDEN_LOW'::DOUBLE) AS v FROM
+      (SELECT t, ((t + 1) // 1048576)::DOUBLE AS high, ((t + 1) % 1048576)::DOUBLE AS low FROM (SELECT unnest(range(0, (SELECT coalesce(sum(need), 0)::BIGINT FROM f))) AS t))),
+h AS (SELECT slot, source_id, need, row_number() OVER (PARTITION BY source_id ORDER BY slot) - 1 AS rank
+      FROM (SELECT slot, (v - floor(v)) * (SELECT sum(need) FROM f)::DOUBLE AS x FROM g) JOIN f ON x >= upto - need AND x < upto),
+k AS (SELECT slot, source_id, rank FROM h WHERE rank < need),
+q AS (SELECT f.source_id, need, coalesce(got, 0) AS got FROM f LEFT JOIN (SELECT source_id, count(*) AS got FROM k GROUP BY 1) c ON c.source_id = f.source_id),
+plan AS (SELECT * FROM k UNION ALL SELECT (SELECT sum(need) FROM f) + rank AS slot, source_id, rank FROM (SELECT source_id, unnest(range(got, need)) AS rank FROM q WHERE got < need)),
+p AS (SELECT d.*, source_id, source_size, target, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY md5(doc_id::VARCHAR), doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS start
+      FROM d JOIN i ON d.source IS NOT DISTINCT FROM i.source),
+r2 AS (SELECT source_id, start, pos, least(pos + size, floor(target)::BIGINT) AS stop FROM (SELECT *, unnest([start, start + source_size]) AS pos FROM p WHERE size > 0)),
+pc AS (SELECT source_id, start, pos, stop, block, unnest(range(pos // block, (stop - 1) // block + 1)) AS rank FROM r2, b WHERE pos < stop),
+taken AS (SELECT pc.source_id, start, sum(least(stop, (pc.rank + 1) * block) - greatest(pos, pc.rank * block)) AS taken, min(slot) AS first_slot, count(*) AS n_pieces
+      FROM pc JOIN plan ON plan.source_id = pc.source_id AND plan.rank = pc.rank GROUP BY 1, 2)
+SELECT doc_id, size::BIGINT AS size, source_size, target, coalesce(taken, 0)::BIGINT AS taken, first_slot::BIGINT AS first_slot, coalesce(n_pieces, 0)::BIGINT AS n_pieces
+FROM p LEFT JOIN taken ON size > 0 AND taken.source_id = p.source_id AND taken.start = p.start""".replace("GOLDEN_HIGH", repr((GOLDEN * 1048576) % 1.0)).replace("GOLDEN_LOW", repr(GOLDEN))
 
 OP3_SQL = r"""
 WITH RECURSIVE w AS (

@@ -107,6 +107,31 @@ def test_mix(spark, sf, kind):
     assert abs(per["t"].sum() - 1.5 * out["size"].sum()) < 1e-6 * out["size"].sum()
 
 
+def test_mix_follows_its_schedule(spark, sf):
+    """The slots of the query's own output: other points give other slots, and every stretch of the schedule holds the
+    sources near their shares, as points in random order do not."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    golden, corput = (mixing.mix_sources(docs, kind=k).toPandas().sort_values("doc_id").reset_index(drop=True) for k in ("golden", "corput"))
+    assert (golden["taken"] == corput["taken"]).all() and (golden["first_slot"].fillna(-1) != corput["first_slot"].fillna(-1)).mean() > 0.5
+    assert (golden["first_slot"].isna() == (golden["taken"] == 0)).all() and ((golden["n_pieces"] > 0) == (golden["taken"] > 0)).all()
+    sizes = golden.groupby("source", dropna=False).agg(size=("size", "sum"), target=("target", "first"))
+    block = max(1, min(mixing.MOST_BLOCK, int(sizes["size"].sum()) // (256 * len(sizes))))
+    targets = spark.createDataFrame([(i + 1, float(t)) for i, t in enumerate(sizes["target"])], "source_id long, target double")
+    plan = mixing.schedule(targets, block, Scratch(spark, "t")).toPandas().sort_values("slot")
+    share, n = sizes["target"].to_numpy() / sizes["target"].sum(), len(plan)
+    worst = 0.0
+    for stop in range(20, int(0.95 * n), 17):
+        got = np.bincount(plan["source_id"][:stop], minlength=len(share) + 1)[1:]
+        worst = max(worst, abs(got - stop * share).max())
+    assert worst <= 1.5 * np.log2(n) and worst < 0.5 * np.sqrt(n)
+
+
+def test_mix_breaks_ties_by_size(spark):
+    rows = [(1, "a " * k, "en", "s") for k in (5, 3, 9)] + [(i, "b c", "en", "t") for i in range(2, 30)]
+    one, two = (mixing.mix_sources(docs_of(spark, r).repartition(p)).select("doc_id", "size", "taken", "first_slot").collect() for r, p in ((rows, 3), (rows[::-1], 7)))
+    assert sorted(map(str, one)) == sorted(map(str, two))
+
+
 def test_mix_targets_share_the_excess(spark):
     sizes = spark.createDataFrame([("a", 10), ("b", 100), ("c", 100), (None, 50)], "source string, source_size long")
     got = {r["source"]: r["target"] for r in mixing.source_targets(sizes, [3, 1, 2], 1.5).collect()}
@@ -306,10 +331,13 @@ def test_line_dedup_against_brute_force(spark):
 
 def test_line_dedup_odd(spark, odd, none):
     got = line_dedup.duplicate_lines(odd).toPandas().set_index("doc_id")
-    assert got.loc[1, "n_lines"] == 0 and len(got) == 9
+    assert got.loc[1, "n_lines"] == 0 and len(got) == 10 and sorted(got.loc[8, "n_dropped"]) == [0, 1]
     assert line_dedup.duplicate_lines(none).count() == 0
     docs = docs_of(spark, [(1, "same line here\n\nother", "en", "a"), (2, "x\nsame line here", "en", "a"), (3, None, "en", "a")])
     assert {r["doc_id"]: r["text"] for r in line_dedup.drop_duplicate_lines(docs).collect()} == {1: "same line here\n\nother", 2: "x", 3: None}
+    clash = line_dedup.drop_duplicate_lines(odd.withColumn("dropped", F.lit("x")).withColumn("cut", F.lit(1)).withColumn("row_number", F.lit(2)))
+    assert clash.columns == [*odd.columns, "dropped", "cut", "row_number"] and clash.count() == 10
+    assert line_dedup.drop_duplicate_lines(none).count() == 0
 
 
 # --- 5 ------------------------------------------------------------------------------------------------------------
@@ -502,7 +530,7 @@ def test_factorisation_identity():
 
 
 def text_of(html):
-    return "\n\n".join(html_extract.text_blocks(html_extract.parse(html)))
+    return "\n\n".join(html_extract.text_blocks(html_extract.parse(html), {}))
 
 
 @pytest.mark.parametrize(
@@ -526,12 +554,30 @@ def test_site_style_tree_removes_what_all_pages_repeat(spark):
     lone = [(99, "https://other.example/", "<body><p>Follow our news</p></body>"), (100, None, None)]
     df = spark.createDataFrame(pages + lone, "page_id long, url string, html string")
     for limit in (10**6, -1):
-        html_extract.MOST_BRANCHES, kept = limit, html_extract.MOST_BRANCHES
+        html_extract.MOST_SCORES, kept = limit, html_extract.MOST_SCORES
         got = {r["page_id"]: r["text"] for r in html_extract.extract_main_text(df).collect()}
-        html_extract.MOST_BRANCHES = kept
+        html_extract.MOST_SCORES = kept
         assert got[3] == "Story 3 about 21" and got[99] == "Follow our news" and got[100] == ""
 
 
+def test_style_tree_judges_inside_articles_and_priors_yield_to_them(spark):
+    story = "<p>Story {0} about {1}</p><p>More of {0}, and {1} again</p>"
+    site = "<body class='nav-open'><main class='share'><article>" + story + "<div class=x>Read also our terms</div></article></main></body>"
+    cards = "<body><div class=text>" + story * 4 + "</div><article><h3>Card {0}</h3></article></body>"
+    rows = [(i, "https://a.example/" + str(i), site.format(i, i * 7)) for i in range(20)] + [(100 + i, "HTTPS://u@B.example:80/" + str(i), cards.format(i, i * 3)) for i in range(20)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r["page_id"]: r["text"] for r in html_extract.extract_main_text(df).collect()}
+    assert got[3] == "Story 3 about 21\n\nMore of 3, and 21 again"
+    assert got[104].startswith("Story 4 about 12") and got[104].endswith("Card 4")
+
+
+def test_html_odd(spark):
+    rows = [(1, None, "<p>a</p>"), (1, None, "<p>a</p>"), (None, "x", None), (3, "http://[bad", "<p>" + "long " * 300_000), (4, "", "<div>" * 3000 + "deep")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("host", F.lit("clash")).withColumn("scores", F.lit(1)).withColumn("text", F.lit("x"))
+    got = html_extract.extract_main_text(df).toPandas()
+    assert len(got) == 5 and sorted(got["n_chars"]) == [0, 1, 1, 4, 5 * 300_000 - 1]
+
+
 def test_pages_of_the_table(spark, sf):
     import html as h
 
@@ -543,6 +589,14 @@ def test_pages_of_the_table(spark, sf):
     assert html_extract.extract_main_text(df.limit(0)).count() == 0
 
 
+def test_pages_need_their_style_tree(spark, sf):
+    """Without the tree nothing is judged: menus, adverts and footers stay in the text of every page."""
+    df = spark.read.parquet(f"{sf}/pages.parquet")
+    with_tree, without = (html_extract.extract_main_text(df, tree=t).select("page_id", F.col("text").alias(f"t{t}")) for t in (True, False))
+    both = with_tree.join(without, "page_id")
+    assert both.where("tTrue <> tFalse").count() == df.count() and both.where("length(tTrue) < length(tFalse)").count() == df.count()
+
+
 # --- all ----------------------------------------------------------------------------------------------------------
 
 
