@@ -34,7 +34,7 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """How many words a mix of the sources takes from each document."""
-    return mix_sources(docs, (3, 1, 2), 1.5).select("doc_id", "source", "size", "source_size", "target", "taken")
+    return mix_sources(docs, (3, 1, 2), 1.5).select("doc_id", "source", "size", "source_size", "target", "taken", "first_slot", "n_pieces")
 
 
 STAGES = [("language", language), ("exact", exact), ("near", near), ("decontaminate", decontaminate), ("mix", mix)]
