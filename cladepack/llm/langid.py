@@ -2,12 +2,14 @@
 
 Counts of the n-grams of orders 1 to 3 in 2**BITS hashed cells are learned per language; the matrix of log probabilities
 (languages x cells, float32) is broadcast, its size being fixed by the parameters and a checked number of languages.
-Texts are scored in batches in numpy: the n-gram cells of a batch are a sparse matrix of counts, whose product with the
-log-probability matrix is taken row by row of its entries.
+Texts are scored in batches in numpy: the n-gram counts of a batch are a sparse matrix of (text, cell, count), whose product
+with the log-probability matrix gathers the rows of its entries and sums them by text.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -22,27 +24,44 @@ TRAIN_ROWS = 4_000
 #: Languages a model may have; more raise an error, since the matrix is broadcast.
 MOST_LANGS = 512
 _PIECE = 1 << 17
-
-
-def _cells(text: str) -> np.ndarray:
-    """Cells of all character n-grams of a piece of text, lower-cased."""
-    code = np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
-    out, key = [], np.zeros(len(code) + 1, np.uint64)
-    for n in range(1, max(ORDERS) + 1):
-        if len(code) < n:
-            break
-        key = key[: len(code) - n + 1] * np.uint64(0x9E3779B97F4A7C15) + code[n - 1 :]
-        if n in ORDERS:
-            out.append(((key + np.uint64(n)) * np.uint64(0xD6E8FEB86659FD93)) >> np.uint64(64 - BITS))
-    return np.concatenate(out).astype(np.int64) if out else np.zeros(0, np.int64)
-
-
-def _counts(text: str) -> np.ndarray:
-    """Counts of the cells of a whole text, piece after piece; n-grams across the ends of pieces are left out."""
-    total = np.zeros(1 << BITS, np.int64)
-    for at in range(0, len(text), _PIECE):
-        total += np.bincount(_cells(text[at : at + _PIECE]), minlength=1 << BITS)
-    return total
+#: Texts whose counts are taken together.
+_ROWS = 32
+
+
+def _cells(text: str) -> Iterator[np.ndarray]:
+    """Cells of all character n-grams of a text, lower-cased; a piece at a time, each with the characters before it that its
+    first n-grams begin with, so that none is lost between pieces."""
+    code = np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), np.uint32)
+    lead = max(ORDERS) - 1
+    for at in range(0, len(code), _PIECE):
+        back = min(at, lead)
+        part = code[at - back : at + _PIECE].astype(np.uint64)
+        out, key = [], np.zeros(len(part) + 1, np.uint64)
+        for n in range(1, lead + 2):
+            if len(part) < n:
+                break
+            key = key[: len(part) - n + 1] * np.uint64(0x9E3779B97F4A7C15) + part[n - 1 :]
+            if n in ORDERS:
+                # n-grams that end before the piece were the last piece's
+                out.append(((key[max(0, back - n + 1) :] + np.uint64(n)) * np.uint64(0xD6E8FEB86659FD93)) >> np.uint64(64 - BITS))
+        yield np.concatenate(out).astype(np.int64)
+
+
+def batch_counts(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The sparse matrix of a batch: (row, cell, count) of its entries, by row and cell."""
+    total = np.zeros(len(texts) << BITS, np.int64)
+    held, size = [], 0
+    for i, text in enumerate(texts):
+        for cells in _cells(text):
+            held.append(cells + (i << BITS))
+            size += len(cells)
+            if size > 1 << 20:
+                total += np.bincount(np.concatenate(held), minlength=len(total))
+                held, size = [], 0
+    if held:
+        total += np.bincount(np.concatenate(held), minlength=len(total))
+    hit = np.flatnonzero(total)
+    return hit >> BITS, hit & ((1 << BITS) - 1), total[hit]
 
 
 class NaiveBayes:
@@ -50,13 +69,13 @@ class NaiveBayes:
         self.langs, self.log_p, self.prior = langs, log_p, prior
 
     def scores(self, texts: list[str]) -> np.ndarray:
-        """Log joint probability of each text and language."""
+        """Log joint probability of each text and language: the product of the sparse counts with the matrix."""
         out = np.tile(self.prior, (len(texts), 1))
-        for i, text in enumerate(texts):
-            for at in range(0, len(text), _PIECE):
-                cells = np.bincount(_cells(text[at : at + _PIECE]), minlength=1 << BITS)
-                hit = np.flatnonzero(cells)
-                out[i] += cells[hit] @ self.log_p[hit]
+        for at in range(0, len(texts), _ROWS):
+            row, cell, n = batch_counts(texts[at : at + _ROWS])
+            if len(row):
+                first = np.flatnonzero(np.concatenate(([True], row[1:] != row[:-1])))
+                out[at + row[first]] += np.add.reduceat(n[:, None] * self.log_p[cell].astype(np.float64), first)
         return out
 
 
@@ -70,10 +89,14 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
 
     def fn(batch: pa.RecordBatch):
         totals: dict[str, list] = {}
-        for lang, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-            got = totals.setdefault(lang, [0, np.zeros(1 << BITS, np.int64)])
-            got[0] += 1
-            got[1] += _counts(text.as_py())
+        langs = batch.column(0).to_pylist()
+        for at in range(0, len(langs), _ROWS):
+            row, cell, n = batch_counts(batch.column(1).slice(at, _ROWS).to_pylist())
+            edges = np.searchsorted(row, np.arange(_ROWS + 1))
+            for i, lang in enumerate(langs[at : at + _ROWS]):
+                got = totals.setdefault(lang, [0, np.zeros(1 << BITS, np.int64)])
+                got[0] += 1
+                got[1][cell[edges[i] : edges[i + 1]]] += n[edges[i] : edges[i + 1]]
         for lang, (n, cells) in totals.items():
             hit = np.flatnonzero(cells)
             at = np.concatenate(([-1], hit))

@@ -54,7 +54,9 @@ def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     of = lambda kind: F.size(F.filter("spans", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
     text = lambda spans: F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"])), ",")
     base = F.filter("spans", lambda s: s["kind"] != "guess")
-    return found.select("doc_id", of("assign"), of("access"), of("hex"), F.sha2(text(base), 256).alias("base_sha256"), text("spans").alias("spans"))
+    costs = F.filter(F.transform("spans", lambda s: s["log10_guesses"]), lambda x: x.isNotNull())
+    weakest, strongest = F.round(F.array_min(costs), 6), F.round(F.array_max(costs), 6)
+    return found.select("doc_id", of("assign"), of("access"), of("hex"), F.sha2(text(base), 256).alias("base_sha256"), text("spans").alias("spans"), weakest.alias("least_log10_guesses"), strongest.alias("most_log10_guesses"))
 
 
 def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

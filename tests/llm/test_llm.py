@@ -474,6 +474,46 @@ def test_guess_cost_alone_decides():
     assert spans("the token is bearer") == [] and spans("passphrase: monkey") == []
 
 
+def test_guess_cost_against_all_segmentations():
+    """The dynamic programming against every way to cut short values."""
+    rng = random.Random(9)
+    bits = ["cat", "password", "dragon", "1999", "qwe", "aaa", "abab", "x", "Z", "7", "#", "2001-02-03", "p@ss", "blue", "12"]
+
+    def brute(value):
+        per_char = np.log10(max(10, secrets._class_size(value)))
+        best = {}
+
+        def cut(at, last):
+            if at == len(value):
+                return 0.0
+            if (at, last) not in best:
+                ways = [per_char + (secrets._PART_COST if last not in ("", "brute") else 0) + cut(at + 1, "brute")]
+                for end in range(at + 1, len(value) + 1):
+                    part = value[at:end]
+                    costs = [c for c in (secrets._word_cost(part), secrets._date_cost(part), secrets._repeat_cost(part), secrets._walk_cost(part)) if c is not None]
+                    ways += [min(costs) + secrets._PART_COST * (at > 0) + cut(end, "known")] if costs else []
+                best[at, last] = min(ways)
+            return best[at, last]
+
+        return cut(0, "")
+
+    for _ in range(300):
+        value = "".join(rng.choice(bits) for _ in range(rng.randrange(1, 4)))[:12]
+        got, want = secrets.guess_cost(value)[0], brute(value)
+        assert want - 1e-9 <= got <= want + 2 * secrets._PART_COST, value
+        assert got == pytest.approx(want) or got > want
+
+
+def test_guess_spans_in_wider_contexts(spark, sf):
+    spans = lambda t: [(k, t[a:b]) for k, a, b in secrets.find_secrets(t)]
+    assert spans("postgres://app:Xk9#mQ2$vL7!pR@db.example/x") == [("guess", "Xk9#mQ2$vL7!pR")]
+    assert spans("export DB_PASS=Xk9#mQ2$vL7!pR") == [("guess", "Xk9#mQ2$vL7!pR")]
+    assert spans('{"aws_secret_access_key" => "wJalrXUtnFEMI/K7MDENG"}') == [("guess", "wJalrXUtnFEMI/K7MDENG")]
+    assert spans("http://host:8080/path") == [] and spans("compass: north") == []
+    found = queries.op7_secret_scan(spark, sf.replace("sf0.001", "sf0.01")).where("n_assign > 0").toPandas()
+    assert len(found) and (found["least_log10_guesses"] <= found["most_log10_guesses"]).all() and found["least_log10_guesses"].notna().all()
+
+
 def test_long_values_are_costed_whole(spark):
     value = "xK9vQ2mZ" * 100
     row = secrets.scan_secrets(docs_of(spark, [(1, f"token={value}", None, None)])).collect()[0]
@@ -484,6 +524,15 @@ def test_secrets_odd(spark, odd, none):
     assert secrets.scan_secrets(odd).count() == 10 and secrets.scan_secrets(none).count() == 0
 
 
+def test_ngrams_at_the_ends_of_pieces_count(monkeypatch):
+    text = "".join(random.Random(2).choices("abc déÉИ", k=4000))
+    whole = langid.batch_counts([text, "", "ab"])
+    monkeypatch.setattr(langid, "_PIECE", 7)
+    assert all(np.array_equal(a, b) for a, b in zip(whole, langid.batch_counts([text, "", "ab"])))
+    low = text.lower()
+    assert whole[2][whole[0] == 0].sum() == sum(len(low) - n + 1 for n in langid.ORDERS) and (whole[0] != 1).all()
+
+
 # --- 8, 10 --------------------------------------------------------------------------------------------------------
 
 
@@ -502,7 +551,7 @@ def test_naive_bayes_matches_the_formula():
     log_p = rng.normal(size=(1 << langid.BITS, 3)).astype(np.float32)
     model = langid.NaiveBayes(["a", "b", "c"], log_p, np.zeros(3))
     text = "Some text, ÉÉ 12"
-    want = sum(log_p[c] for c in langid._cells(text))
+    want = sum(log_p[c] for piece in langid._cells(text) for c in piece)
     assert np.allclose(model.scores([text])[0], want, atol=1e-3)
 
 
