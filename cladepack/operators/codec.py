@@ -29,6 +29,8 @@ from .clusters import M1, M2, M3, coefficients
 
 #: Trees of a block at most: ids within a block fit into two bytes.
 BLOCK_TREES = 65_536
+#: Lengths of a block at most.
+BLOCK_LENGTHS = 16_000_000
 CONTAINER = "block_id int, first_tree long, n_trees int, span int, n_taxa int, taxa array<string>, codec string, flags int, n_bip int, raw_bytes long, payload binary, trees binary, lengths binary, labels binary, crc long"
 _ENTRY = "block int, bits binary, ids binary, lens array<string>, labels array<string>"
 _ENCODED = "block int, bits binary, entry binary, ids binary, lens array<string>, labels array<string>, bits_size int, ids_size int, n_ids int, sign string"
@@ -262,6 +264,8 @@ def compress(trees: DataFrame, codec: str = "packed", block: int = BLOCK_TREES,
     spark = trees.sparkSession
     taxa = taxa_of(trees, order) if taxa is None else taxa
     n, side = len(taxa), lengths != "none" or labels
+    if lengths != "none":  # a block's lengths are texts in one task
+        block = min(block, max(256, BLOCK_LENGTHS // max(1, 2 * n)))
     spans = {r["b"]: r["s"] + 1 for r in trees.groupBy(F.floor(F.col("tree_id") / block).cast("int").alias("b")).agg(F.max((F.col("tree_id") % block).cast("int")).alias("s")).collect()}
     text = codec == "textrun"
     entries = cluster_entries(trees, taxa, block, side, rooted)

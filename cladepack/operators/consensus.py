@@ -44,7 +44,7 @@ def subset_supports(container: DataFrame, taxa: list[str], subset: list[str]) ->
     """(bits, card, n_support) of clusters cut down to a subset."""
     cut = mask_bits(container_entries(container).select("first_tree", "bits", "support"), taxa, subset)
     per_tree = cut.select("bits", "first_tree", F.explode("support").alias("s")).select("bits", (F.col("first_tree") + F.col("s")).alias("tree_id")).distinct()
-    card = F.length(F.translate(F.conv(F.hex("bits"), 16, 2), "0", "")) if len(subset) <= 60 else F.lit(None).cast("int")
+    card = F.expr("cast(aggregate(sequence(1, length(hex(bits))), 0L, (n, i) -> n + bit_count(cast(conv(substr(hex(bits), i, 1), 16, 10) as long))) as int)")
     return per_tree.groupBy("bits").agg(F.count("*").alias("n_support")).withColumn("card", card)
 
 
@@ -56,7 +56,7 @@ def consensus_clusters(supports: DataFrame, total: int, kind: str = "majority",
     if kind == "majority":
         return supports.where(F.col("n_support") > F.lit(total) * threshold)
     # an ordered scan over the frequent clusters: those in more than half the trees always fit; the others are ranked
-    ranked = supports.orderBy(F.desc("n_support"), F.col("bits"))
+    ranked = supports.repartition(1).sortWithinPartitions(F.desc("n_support"), F.col("bits"))
 
     def run(batches):
         taken: list[np.ndarray] = []
@@ -70,7 +70,7 @@ def consensus_clusters(supports: DataFrame, total: int, kind: str = "majority",
                     taken.append(row)
             yield batch.filter(pa.array(keep, pa.bool_()))
 
-    return ranked.coalesce(1).mapInArrow(run, supports.schema)
+    return ranked.mapInArrow(run, supports.schema)
 
 
 def consensus_tree(found: DataFrame, taxa: list[str]) -> str:
@@ -81,21 +81,44 @@ def consensus_tree(found: DataFrame, taxa: list[str]) -> str:
     return nw.write(len(kids) - 1, kids, [*taxa, *[None] * len(made)], [None] * len(kids))
 
 
-def rf_matrix(entries: DataFrame, total: int) -> DataFrame:
-    """(t1, t2, rf, norm) of all pairs t1 < t2: clusters of either less twice those of both. Clusters of all trees add the
-    same to every pair, so they are counted once and kept out of the join."""
-    sets = entries.select(F.col("bits"), F.transform("support", lambda x: x + F.col("first_tree")).alias("ids"))
-    whole = entries.groupBy("bits").agg(F.sum("n_support").alias("n"))
-    unanimous = whole.where(F.col("n") == total)
-    some = sets.join(unanimous, "bits", "left_anti").select("bits", F.explode("ids").alias("t"))
-    sizes = sets.select(F.explode("ids").alias("t")).groupBy("t").agg(F.count("*").alias("m"))
-    common = some.alias("a").join(some.alias("b"), "bits").where("a.t < b.t").groupBy(F.col("a.t").alias("t1"), F.col("b.t").alias("t2")).agg(F.count("*").alias("c"))
-    extra = unanimous.agg(F.count("*").alias("u"))
-    ids = sizes.agg(F.array_sort(F.collect_list(F.struct("t", "m"))).alias("all"))
-    pairs = sizes.select(F.col("t").alias("t1"), F.col("m").alias("m1")).join(F.broadcast(ids), F.lit(True)).select("t1", "m1", F.explode(F.filter("all", lambda x: x["t"] > F.col("t1"))).alias("o"))
-    out = pairs.select("t1", F.col("o.t").alias("t2"), "m1", F.col("o.m").alias("m2")).join(common, ["t1", "t2"], "left").join(F.broadcast(extra), F.lit(True))
-    rf = F.col("m1") + F.col("m2") - 2 * (F.coalesce("c", F.lit(0)) + F.col("u"))
-    return out.select("t1", "t2", rf.alias("rf"), (rf / (F.col("m1") + F.col("m2"))).alias("norm"))
+#: Clusters whose memberships are multiplied at once.
+_CLUSTERS = 8192
+
+
+def rf_matrix(entries: DataFrame, total: int, block: int = 512) -> DataFrame:
+    """(t1, t2, rf, norm) of all pairs t1 < t2: clusters of either less twice those of both.
+
+    The table of memberships is made once. Trees are dealt into blocks of `block` by their id; a pair of blocks is one group,
+    which gets a row for each cluster of its trees with the ids that have it, and counts common clusters as a matrix product.
+    So a cluster in many trees gives a row for each block, not one for each pair of its trees. The result itself has a row
+    for each pair of trees.
+    """
+    ids = F.explode(F.transform("support", lambda x: x + F.col("first_tree"))).alias("t")
+    rows = entries.select("bits", ids).select("bits", "t", F.floor(F.col("t") / block).alias("b"))
+    lists = rows.groupBy("b", "bits").agg(F.collect_list("t").alias("ids"))
+    blocks = entries.select(F.explode(F.sequence(F.floor(F.col("first_tree") / block), F.floor((F.col("first_tree") + F.array_max("support")) / block))).alias("o")).distinct()
+    dealt = lists.join(F.broadcast(blocks), F.lit(True)).select(F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j"), "b", "bits", "ids")
+
+    def count(key, whole):
+        i, j = key[0].as_py(), key[1].as_py()
+        code = whole.column("bits").combine_chunks().dictionary_encode().indices.to_numpy()
+        side, lists = whole.column("b").to_numpy(), whole.column("ids").to_pylist()
+        trees = {b: np.unique(np.concatenate([lists[k] for k in at])) if len(at := np.flatnonzero(side == b)) else np.zeros(0, np.int64) for b in {i, j}}
+        size = {b: np.zeros(len(t), np.int64) for b, t in trees.items()}
+        common = np.zeros((len(trees[i]), len(trees[j])), np.int64)
+        for first in range(0, int(code.max()) + 1, _CLUSTERS):  # clusters of a product
+            has = {b: np.zeros((len(t), _CLUSTERS), np.float32) for b, t in trees.items()}
+            for k in np.flatnonzero((code >= first) & (code < first + _CLUSTERS)).tolist():
+                has[side[k]][np.searchsorted(trees[side[k]], lists[k]), code[k] - first] = 1
+            common += np.rint(has[i] @ has[j].T).astype(np.int64)
+            for b, m in has.items():
+                size[b] += m.sum(1, dtype=np.int64)
+        t1, t2, both = trees[i], trees[j], size[i][:, None] + size[j][None, :]
+        rf = both - 2 * common
+        at, to = np.nonzero(t1[:, None] < t2[None, :])
+        return pa.Table.from_arrays([pa.array(t1[at]), pa.array(t2[to]), pa.array(rf[at, to]), pa.array(rf[at, to] / both[at, to])], ["t1", "t2", "rf", "norm"])
+
+    return dealt.groupBy("i", "j").applyInArrow(count, "t1 long, t2 long, rf long, norm double")
 
 
 def bits_of(taxa: list[str], members: list[str]) -> bytes:

@@ -87,7 +87,7 @@ def _h(d: Dialect, t: str, k: str) -> str:
     return d.div(f"(7919 * CAST({t} AS BIGINT) + 104729 * ({k}) + 12345) * 2654435761 % 4294967296", "65536")
 
 
-def _prefix_sql(d: Dialect, name: str, source: str, n: int, trees: int, depth: int, noise: int, bits: int, bit: str, width: int) -> str:
+def _prefix_sql(d: Dialect, name: str, source: str, n: int | None, trees: int, depth: int, noise: int, bits: int, bit: str, width: int, rows: str) -> str:
     pair = f"CASE WHEN {_h(d, 't', d.div('k', '2'))} % 100 < 30 THEN (CASE WHEN k % 2 = 0 THEN k + 1 ELSE k - 1 END) ELSE k END"
     dim = f"CASE WHEN {_h(d, 't', '1000 + k')} % 100 < {noise} THEN {depth} + {_h(d, 't', '2000 + k')} % ({bits} - {depth}) ELSE {pair} END"
     start = "(SELECT 1 AS one)"
@@ -96,20 +96,21 @@ def _prefix_sql(d: Dialect, name: str, source: str, n: int, trees: int, depth: i
 {name}_d AS (SELECT t, CAST(k AS BIGINT) AS k, CAST({dim} AS INT) AS dim FROM {name}_t {d.series("0", str(depth - 1), "k")}),
 {name}_b AS (SELECT t, k, taxon, {bit} AS b FROM {name}_d JOIN {source} ON true),
 {name}_p AS (SELECT t, k, taxon, sum(b * CAST(pow(2, k) AS BIGINT)) OVER (PARTITION BY t, taxon ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS p FROM {name}_b),
-{name} AS (SELECT DISTINCT t AS tree_id, {d.members("taxon", width)} AS members, CAST(count(*) AS INT) AS card FROM {name}_p GROUP BY t, k, p HAVING count(*) >= 2 AND count(*) < {n})"""
+{name} AS (SELECT DISTINCT t AS tree_id, {d.members("taxon", width)} AS members, CAST(count(*) AS INT) AS card FROM {name}_p GROUP BY t, k, p HAVING count(*) >= 2 AND count(*) < {f'(SELECT count(*) FROM {rows})' if n is None else n})"""
 
 
-def emb_sql(d: Dialect, n: int, trees: int, depth: int, noise: int) -> str:
-    source = f"(SELECT CAST(vec_id AS INT) AS taxon, embedding FROM embeddings WHERE vec_id < {n}) e"
-    return _prefix_sql(d, "emb", source, n, trees, depth, noise, 64, d.bit_of_embedding("dim"), 4)
+def emb_sql(d: Dialect, n: int | None, trees: int, depth: int, noise: int) -> str:
+    """Prefix trees over the first n vectors, or over all of them without n."""
+    source = f"(SELECT CAST(vec_id AS INT) AS taxon, embedding FROM embeddings {'' if n is None else f'WHERE vec_id < {n}'}) e"
+    return _prefix_sql(d, "emb", source, n, trees, depth, noise, 64, d.bit_of_embedding("dim"), 4, "embeddings")
 
 
-def md5_sql(d: Dialect, n: int, trees: int, depth: int, noise: int) -> str:
+def md5_sql(d: Dialect, n: int | None, trees: int, depth: int, noise: int) -> str:
     text = "VARCHAR" if d.duck else "STRING"
-    source = f"(SELECT CAST(c_custkey AS INT) AS taxon, md5(CAST(c_custkey AS {text})) AS digest FROM customer WHERE c_custkey < {n}) e"
+    source = f"(SELECT CAST(c_custkey AS INT) AS taxon, md5(CAST(c_custkey AS {text})) AS digest FROM customer {'' if n is None else f'WHERE c_custkey < {n}'}) e"
     digit = f"(instr('0123456789abcdef', substr(digest, CAST({d.div('dim', '4')} AS INT) + 1, 1)) - 1)"
     bit = f"CAST({d.div(digit, 'CAST(pow(2, 3 - dim % 4) AS INT)')} % 2 AS INT)"
-    return _prefix_sql(d, "md5f", source, n, trees, depth, noise, 128, bit, 5)
+    return _prefix_sql(d, "md5f", source, n, trees, depth, noise, 128, bit, 5, "customer")
 
 
 def brand_sql(d: Dialect) -> str:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -23,12 +24,31 @@ from .plans import forests as fo
 from .plans.forests import DUCK, SPARK, run_sql, table
 from .streaming import ingest
 
-EMB = (125, 100, 20, 2)
-MD5F = (150, 20, 20, 2)
+#: Taxa (None: every row of the table), trees, depth and noise of the forests over vectors and customers.
+EMB = (None, 100, 24, 2)
+MD5F = (None, 20, 20, 2)
+_ROWS = {"nat": "25", "emb": "(SELECT count(*) FROM embeddings)"}
 _TEXT = {"nat": fo.nat_sql, "sup": fo.sup_sql, "brand": fo.brand_sql, "evt": fo.evt_sql, "emb": lambda d: fo.emb_sql(d, *EMB), "md5f": lambda d: fo.md5_sql(d, *MD5F)}
 _WIDTH = {"nat": 2, "sup": 4, "brand": 2, "evt": 2, "emb": 4, "md5f": 5}
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share. A temporary one only where none is set and one machine runs all."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if found:
+        return found.rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir is not set")
+    return "file://" + tempfile.mkdtemp(prefix="cladepack-")
+
+
+def stored(made: DataFrame) -> DataFrame:
+    """A table written to the shared folder and read back, for those that a query needs more than once."""
+    path = f"{shared_dir(made.sparkSession)}/cladepack-tables/{uuid.uuid4().hex}"
+    made.write.parquet(path)
+    return made.sparkSession.read.schema(made.schema).parquet(path)
+
+
 def _sql(name: str, tail: str):
     """A query and its oracle from one text over a forest."""
     return lambda spark, d: run_sql(spark, d, f"WITH {_TEXT[name](SPARK)} {tail}"), f"WITH {_TEXT[name](DUCK)} {tail}"
@@ -50,7 +70,7 @@ def labels_of(spark: SparkSession, d: str, name: str) -> list[str]:
         return [r[0] for r in table(spark, d, "part").select("p_brand").distinct().orderBy("p_brand").collect()]
     if name == "evt":
         return [f"B{i}" for i in range(16)]
-    n = EMB[0] if name == "emb" else MD5F[0]
+    n = table(spark, d, "embeddings" if name == "emb" else "customer").count()
     return [f"{'V' if name == 'emb' else 'C'}{i}" for i in range(n)]
 
 
@@ -181,25 +201,26 @@ gr AS (SELECT members, count(*) AS n_support, list_sort(list(tree_id)) AS inset
 ch AS (SELECT members, CASE WHEN 2 * n_support > span THEN '-' ELSE '+' END AS sign,
   CASE WHEN 2 * n_support > span THEN list_filter(range(0, span), lambda x: NOT list_contains(inset, x)) ELSE inset END AS ids FROM gr, sp),
 dl AS (SELECT members, sign, list_transform(range(1, len(ids) + 1), lambda i: CASE WHEN i = 1 THEN ids[1] ELSE ids[i] - ids[i - 1] END) AS gaps FROM ch),
-bt AS (SELECT *, array_to_string(list_transform(range(0, {1}), lambda i: CASE WHEN list_contains(string_split(members, ','), lpad(i::VARCHAR, {2}, '0')) THEN '1' ELSE '0' END), '') AS bits FROM dl)"""
+ms AS (SELECT *, list_transform(string_split(members, ','), lambda x: x::INT) AS m FROM dl),
+bt AS (SELECT * EXCLUDE (m), array_to_string(list_transform(range(1, len(m) + 1), lambda i: repeat('0', CASE WHEN i = 1 THEN m[1] ELSE m[i] - m[i - 1] - 1 END) || '1'), '') || repeat('0', ({1} - 1 - m[len(m)])::INT) AS bits FROM ms)"""
 
 
-def _textrun_sql(name: str, n: int) -> str:
-    return f"""WITH {_TEXT[name](DUCK)}{_SIDE.format(name, n, _WIDTH[name])},
+def _textrun_sql(name: str) -> str:
+    return f"""WITH {_TEXT[name](DUCK)}{_SIDE.format(name, _ROWS[name])},
 rn AS (SELECT *, regexp_extract_all(bits, '0+|1+') AS runs FROM bt)
 SELECT members, sign,
   array_to_string(list_transform(runs, lambda r: CASE WHEN len(r) = 1 THEN CASE WHEN r = '1' THEN 'B' ELSE 'A' END ELSE (CASE WHEN r[1] = '1' THEN 'K' ELSE 'L' END) || len(r)::VARCHAR END), '') AS bits_code,
   array_to_string(list_transform(gaps, lambda g: substr('ABCDEFGHIJ', substr(g::VARCHAR, 1, 1)::INT + 1, 1) || substr(g::VARCHAR, 2)), '') AS ids_code FROM rn"""
 
 
-def _packed_ids_sql(name: str, n: int) -> str:
+def _packed_ids_sql(name: str) -> str:
     """Packed list codes; the bits' code is compared in unit tests and round trips."""
-    return f"""WITH {_TEXT[name](DUCK)}{_SIDE.format(name, n, _WIDTH[name])}
+    return f"""WITH {_TEXT[name](DUCK)}{_SIDE.format(name, _ROWS[name])}
 SELECT members, sign, lower(array_to_string(list_transform(range(1, len(gaps) + 1), lambda i: CASE WHEN i = 1 THEN printf('%04x', gaps[i]) WHEN gaps[i] <= 255 THEN printf('%02x', gaps[i]) ELSE '00' || printf('%04x', gaps[i]) END), '')) AS ids_code FROM bt"""
 
 
-def _fixed_ids_sql(name: str, n: int) -> str:
-    return f"""WITH {_TEXT[name](DUCK)}{_SIDE.format(name, n, _WIDTH[name])}
+def _fixed_ids_sql(name: str) -> str:
+    return f"""WITH {_TEXT[name](DUCK)}{_SIDE.format(name, _ROWS[name])}
 SELECT members, sign, array_to_string(list_transform(gaps, lambda g: printf('%04x', g)), '') AS ids_code FROM bt"""
 
 
@@ -211,7 +232,7 @@ def textrun_file_lines(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _textrun_lines_sql() -> str:
-    return f"""SELECT line FROM (WITH x AS ({_textrun_sql("nat", 25).replace("AS ids_code FROM rn", "AS ids_code, len(gaps) AS k FROM rn")})
+    return f"""SELECT line FROM (WITH x AS ({_textrun_sql("nat").replace("AS ids_code FROM rn", "AS ids_code, len(gaps) AS k FROM rn")})
 SELECT bits_code || ' ' || sign || ':' || k || ':' || ids_code AS line FROM x UNION ALL SELECT 'NTREES ' || (SELECT count(DISTINCT tree_id) FROM (WITH {_TEXT["nat"](DUCK)} SELECT * FROM nat)) UNION ALL SELECT 'NBIPARTITIONS ' || count(*) FROM x)"""
 
 
@@ -231,10 +252,68 @@ def textrun_loss(spark: SparkSession, d: str) -> DataFrame:
     return inner.select("tree_id", "card", F.col("label").isNull().alias("label_lost"), F.round(F.col("length") * 100).cast("long").alias("cents"))
 
 
-def six_digit_lengths(spark: SparkSession, d: str) -> DataFrame:
-    """Leaf lengths with a seventh decimal, as the baseline rounds them, in millionths."""
+def _seventh_digit(spark: SparkSession, d: str) -> DataFrame:
+    """Star trees of the nations whose leaf lengths have seven decimals: the month's cents, in ten-millionths and odd."""
     leaves = run_sql(spark, d, f"WITH {fo.nat_sql(SPARK)} SELECT tree_id, taxon, cents FROM nat_leaf")
-    return leaves.select("tree_id", "taxon", F.round(F.col("cents") * 10 + 0.0, 6).cast("long").alias("micro"))
+    lex = F.format_string("N%02d:%d.%07d", "taxon", F.expr("(2 * cents + 1) div 10000000"), (2 * F.col("cents") + 1) % 10000000)
+    return leaves.groupBy("tree_id").agg(F.array_sort(F.collect_list(lex)).alias("x")).select("tree_id", F.concat(F.lit("("), F.array_join("x", ","), F.lit(");")).alias("newick"))
+
+
+def six_digit_lengths(spark: SparkSession, d: str) -> DataFrame:
+    """Leaf lengths of seven decimals after the text baseline, in millionths: its own rounding, to six."""
+    back = cd.decompress(cd.compress(_seventh_digit(spark, d), "textrun", lengths="exact"))
+    leaves = on.parse_newick(back).where("is_leaf")
+    return leaves.select("tree_id", F.substring("label", 2, 2).cast("int").alias("taxon"), F.round(F.col("length") * 1000000).cast("long").alias("micro"))
+
+
+def length_errors_by_codec(spark: SparkSession, d: str) -> DataFrame:
+    """Largest error of leaf lengths of seven decimals, in ten-millionths: none for the packed codec, up to five for the
+    text baseline."""
+    trees = _seventh_digit(spark, d)
+    rows = [measures.length_error(trees, cd.decompress(cd.compress(trees, codec, lengths="exact"))).select(F.lit(codec).alias("codec"), F.round(F.col("max_error") * 1e7).cast("long").alias("error")) for codec in ("packed", "textrun")]
+    return rows[0].unionByName(rows[1])
+
+
+def small_primes(spark: SparkSession, d: str) -> DataFrame:
+    """Collisions of the monthly clusters' hashes under moduli so small that they must meet: 5 and 7."""
+    nodes, taxa = _nodes(spark, d)
+    return cl.collisions(cl.clusters(nodes, taxa), 5, 7)
+
+
+_SMALL_PRIMES_SQL = "WITH x AS ({}), k AS (SELECT h1 % 5 AS h1, h2 % 7 AS h2, h3, card FROM x) SELECT h1, h2 FROM k GROUP BY 1, 2 HAVING min(h3) <> max(h3) OR min(card) <> max(card)"
+
+
+def crossing_clusters(spark: SparkSession, d: str) -> DataFrame:
+    """Trees that are none: the clusters of a month and of the next taken together, where two of them cross."""
+    made = forest(spark, d, "nat").select(F.expr("tree_id div 2").alias("tree_id"), F.col("members").alias("cluster"), "card").distinct()
+    found = co.check_laminar(made.select("tree_id", "cluster", "card", F.explode(F.split("cluster", ",")).alias("taxon")))
+    return found.select("tree_id").distinct()
+
+
+_CROSSING_SQL = f"""WITH {_TEXT["nat"](DUCK)}, c AS (SELECT DISTINCT tree_id // 2 AS tree_id, members, string_split(members, ',') AS m FROM nat)
+SELECT DISTINCT a.tree_id FROM c a JOIN c b ON a.tree_id = b.tree_id AND a.members < b.members AND len(list_intersect(a.m, b.m)) > 0
+AND len(list_intersect(a.m, b.m)) < least(len(a.m), len(b.m))"""
+
+
+def damaged_accuracy(spark: SparkSession, d: str) -> DataFrame:
+    """Share of trees restored exactly when the container is of other trees in every fourth month: those of the month
+    before. A tree is right only where the two months agree."""
+    trees, labels = trees_of(spark, d, "nat")
+    shift = F.when(F.col("tree_id") % 4 == 1, F.col("tree_id") - 1).otherwise(F.col("tree_id"))
+    source = trees.select(F.col("tree_id").alias("from"), "newick")
+    other = trees.select("tree_id", shift.alias("from")).join(source, "from").select("tree_id", "newick")
+    found = cd.verify_roundtrip(trees, cd.compress(other, taxa=labels))
+    return found.agg(F.count("*").alias("n_trees"), F.sum(F.col("ok").cast("long")).alias("n_ok"))
+
+
+_DAMAGED_SQL = f"""WITH {_TEXT["nat"](DUCK)}, s AS (SELECT tree_id, string_agg(members, ';' ORDER BY members) AS shape FROM nat GROUP BY tree_id)
+SELECT count(*) AS n_trees, sum(CASE WHEN a.tree_id % 4 = 1 AND a.shape <> b.shape THEN 0 ELSE 1 END)::BIGINT AS n_ok FROM s a LEFT JOIN s b ON b.tree_id = a.tree_id - 1"""
+
+
+def raw_sizes(spark: SparkSession, d: str) -> DataFrame:
+    """Bytes of the text baseline's lines for the monthly trees, as measured on its container's payload."""
+    trees, labels = trees_of(spark, d, "nat")
+    return cd.compress(trees, "textrun", taxa=labels).agg(F.sum(F.octet_length("payload")).cast("long").alias("payload_bytes"), F.sum("n_bip").cast("long").alias("n_entries"))
 
 
 def canonical_nat(spark: SparkSession, d: str) -> DataFrame:
@@ -297,7 +376,7 @@ SELECT members, n_support FROM g, t WHERE n_support > n * 0.5"""
 
 def rf_matrix_nat(spark: SparkSession, d: str) -> DataFrame:
     trees, labels = trees_of(spark, d, "nat")
-    packed = cd.compress(trees, taxa=labels)
+    packed = stored(cd.compress(trees, taxa=labels))
     return co.rf_matrix(co.container_entries(packed), co.n_trees(packed)).select("t1", "t2", F.col("rf").cast("long").alias("rf"), F.round("norm", 9).alias("norm"))
 
 
@@ -512,23 +591,16 @@ def own_deflate(spark: SparkSession, d: str) -> DataFrame:
 
 
 def lz77_pages(spark: SparkSession, d: str) -> DataFrame:
-    """Bytes of every whole page after matching and expanding, those of its first 3,000 characters, and whether nothing
-    changed."""
+    """Bytes of every whole page after matching and expanding, and whether nothing changed."""
 
     def run(batches):
         for batch in batches:
             for i in range(batch.num_rows):
                 x = batch.column(1)[i].as_py() or b""
                 back = df.lz77_expand(df.lz77_tokens(x))
-                first = back.decode("utf-8", "replace")[:3000].encode()
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, 1), pa.array([len(back)], pa.int64()), pa.array([len(first)], pa.int64()), pa.array([back == x])], ["page_id", "n_bytes", "n_first", "same"])
-
-    return _texts(spark, d, "pages", "page_id", "html").mapInArrow(run, "page_id long, n_bytes long, n_first long, same boolean")
-
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, 1), pa.array([len(back)], pa.int64()), pa.array([back == x])], ["page_id", "n_bytes", "same"])
 
-def lz77_roundtrip(spark: SparkSession, d: str) -> DataFrame:
-    """Whole pages are compared; n_bytes counts what the SQL counts, the first 3,000 characters of what came back."""
-    return lz77_pages(spark, d).select("page_id", F.col("n_first").alias("n_bytes"), "same")
+    return _texts(spark, d, "pages", "page_id", "html").mapInArrow(run, "page_id long, n_bytes long, same boolean")
 
 
 def huffman_kraft(spark: SparkSession, d: str) -> DataFrame:
@@ -571,8 +643,7 @@ def _stream(spark: SparkSession, d: str) -> DataFrame:
 
 def _drained(spark: SparkSession, stream: DataFrame) -> DataFrame:
     name = f"clade_{uuid.uuid4().hex[:12]}"
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or "file://" + tempfile.mkdtemp(prefix="cladepack-")
-    return ingest.drain(stream, name, f"{base}/cladepack-stream/{name}", "complete")
+    return ingest.drain(stream, name, f"{shared_dir(spark)}/cladepack-stream/{name}", "complete")
 
 
 def stream_evt_clusters(spark: SparkSession, d: str) -> DataFrame:
@@ -697,22 +768,26 @@ def _registry() -> dict[str, tuple]:
         "collisions": (collision_count, "SELECT 0::BIGINT AS n_collisions"),
         "bipartition_support": (bipartition_support("nat"), _support_sql("nat")),
         "bipartition_support_emb": (bipartition_support("emb"), _support_sql("emb")),
-        "bipartition_counts_all_unique": (bipartition_counts, f"WITH {_TEXT['emb'](DUCK)} SELECT count(*) + count(DISTINCT tree_id) + {EMB[0]} AS n_all, count(DISTINCT members) AS n_unique FROM emb"),
+        "bipartition_counts_all_unique": (bipartition_counts, f"WITH {_TEXT['emb'](DUCK)} SELECT count(*) + count(DISTINCT tree_id) + (SELECT count(*) FROM embeddings) AS n_all, count(DISTINCT members) AS n_unique FROM emb"),
         "inout_choice": (inout_choice, f"SELECT sign, count(*) AS n, sum(n_listed)::BIGINT AS n_ids FROM ({_support_sql('nat')}) GROUP BY sign"),
-        "textrun_codes": (encoded("nat", "textrun", "textrun"), _textrun_sql("nat", 25)),
-        "textrun_codes_emb": (encoded("emb", "textrun", "textrun"), _textrun_sql("emb", EMB[0])),
+        "textrun_codes": (encoded("nat", "textrun", "textrun"), _textrun_sql("nat")),
+        "textrun_codes_emb": (encoded("emb", "textrun", "textrun"), _textrun_sql("emb")),
         "textrun_file_lines": (textrun_file_lines, _textrun_lines_sql()),
-        "packed_ids_hex": (lambda s, d: encoded("nat")(s, d).drop("bits_code"), _packed_ids_sql("nat", 25)),
-        "packed_ids_hex_emb": (lambda s, d: encoded("emb")(s, d).drop("bits_code"), _packed_ids_sql("emb", EMB[0])),
-        "fixed_ids_hex": (lambda s, d: encoded("nat", "packed", "fixed")(s, d).drop("bits_code"), _fixed_ids_sql("nat", 25)),
+        "packed_ids_hex": (lambda s, d: encoded("nat")(s, d).drop("bits_code"), _packed_ids_sql("nat")),
+        "packed_ids_hex_emb": (lambda s, d: encoded("emb")(s, d).drop("bits_code"), _packed_ids_sql("emb")),
+        "fixed_ids_hex": (lambda s, d: encoded("nat", "packed", "fixed")(s, d).drop("bits_code"), _fixed_ids_sql("nat")),
         "packed_bits_hex": (lambda s, d: encoded("emb")(s, d).select("members", "bits_code"), None),
         "code_gain": (code_gain, None),
-        "six_digit_lengths": (six_digit_lengths, f"WITH {_TEXT['nat'](DUCK)} SELECT tree_id, taxon, cents * 10 AS micro FROM nat_leaf"),
+        "six_digit_lengths": (six_digit_lengths, f"WITH {_TEXT['nat'](DUCK)} SELECT tree_id, taxon, CAST(printf('%.6f', (2 * cents + 1) / 10000000.0::DOUBLE)::DOUBLE * 1000000 AS BIGINT) AS micro FROM nat_leaf"),
+        "length_error_by_codec": (length_errors_by_codec, f"WITH {_TEXT['nat'](DUCK)} SELECT 'packed' AS codec, 0::BIGINT AS error UNION ALL SELECT 'textrun', max(abs(2 * cents + 1 - 10 * CAST(printf('%.6f', (2 * cents + 1) / 10000000.0::DOUBLE)::DOUBLE * 1000000 AS BIGINT)))::BIGINT FROM nat_leaf"),
+        "collisions_small_primes": (small_primes, _SMALL_PRIMES_SQL.format(_HASH_SQL)),
+        "crossing_clusters": (crossing_clusters, _CROSSING_SQL),
+        "accuracy_damaged": (damaged_accuracy, _DAMAGED_SQL),
+        "textrun_payload_bytes": (raw_sizes, f"SELECT (sum(octet_length(encode(line)) + 1) + octet_length(encode('TAXA ' || (SELECT string_agg(n_name, ':' ORDER BY n_nationkey) FROM nation))) + 1)::BIGINT AS payload_bytes, sum(CASE WHEN line LIKE 'N%' THEN 0 ELSE 1 END)::BIGINT AS n_entries FROM ({_textrun_lines_sql()})"),
         "subtree_dict_counts": (lambda s, d: subtree_dict_counts(s, d).select("n_subtrees"), f"WITH {_TEXT['nat'](DUCK)} SELECT count(*) + count(DISTINCT tree_id) AS n_subtrees FROM nat"),
         "deflate_roundtrip_documents": (deflate_roundtrip, "SELECT doc_id, md5(text) AS digest FROM documents"),
         "deflate_own_vs_zlib": (own_deflate, "SELECT item_id, true AS own_then_standard, true AS standard_then_own FROM benchmark"),
-        "lz77_roundtrip_pages": (lz77_roundtrip, "SELECT page_id, octet_length(encode(substr(html, 1, 3000)))::BIGINT AS n_bytes, true AS same FROM pages"),
-        "lz77_whole_pages": (lambda s, d: lz77_pages(s, d).select("page_id", "n_bytes", "same"), "SELECT page_id, coalesce(octet_length(encode(html)), 0)::BIGINT AS n_bytes, true AS same FROM pages"),
+        "lz77_roundtrip_pages": (lz77_pages, "SELECT page_id, coalesce(octet_length(encode(html)), 0)::BIGINT AS n_bytes, true AS same FROM pages"),
         "huffman_kraft": (huffman_kraft, "SELECT 1.0::DOUBLE AS kraft, count(*) AS n FROM conversations"),
         "deflate_block_modes": (block_modes, None),
         "rebuild_leaf_path": (rebuild_parents("leaf_path"), _PARENT_SQL),
@@ -735,7 +810,7 @@ def _registry() -> dict[str, tuple]:
         "ratio_saving": (ratio_saving, None),
         "size_cube": (size_cube, None),
         "ablation_grid": (ablation_grid, None),
-        "dataset_properties": (dataset_properties, f"WITH {_TEXT['emb'](DUCK)} SELECT {EMB[0]}::INT AS n_taxa, count(DISTINCT tree_id) AS n_trees, count(*) + count(DISTINCT tree_id) + {EMB[0]} AS n_all, count(DISTINCT members) AS n_unique FROM emb"),
+        "dataset_properties": (dataset_properties, f"WITH {_TEXT['emb'](DUCK)} SELECT (SELECT count(*) FROM embeddings)::INT AS n_taxa, count(DISTINCT tree_id) AS n_trees, count(*) + count(DISTINCT tree_id) + (SELECT count(*) FROM embeddings) AS n_all, count(DISTINCT members) AS n_unique FROM emb"),
         "accuracy_report": (accuracy, "SELECT 1.0::DOUBLE AS share, unnest(['shape', 'labels', 'lengths']) AS what"),
         "length_error": (length_errors, "SELECT 0.0::DOUBLE AS max_error"),
         "majority_consensus_nat": (consensus("majority"), _consensus_sql("nat", "n_support > n * 0.5")),
