@@ -7,7 +7,7 @@ shingles are then joined with these prefix tokens; a hit at some position fixes
 the document's length bounds, and the words there are compared with the window's, all of them.
 
 The items are the small side. Their prefix tokens are broadcast while their counted number is within a limit; beyond it
-Spark shuffles the shingles to them.
+the positions and keys of the shingles are shuffled to them, and those that meet one go back to the words of their row.
 """
 
 from __future__ import annotations
@@ -15,8 +15,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, ascii_lower, maybe_broadcast, numbered, without
+from .common import BROADCAST_ROWS, Scratch, ascii_lower, maybe_broadcast, numbered, without
 
+#: Prefix tokens that are broadcast at most.
+MOST_TOKENS = BROADCAST_ROWS
 #: What separates words: ASCII other than digits and letters.
 BREAKS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
@@ -87,21 +89,31 @@ def decontaminate(docs: DataFrame, items: DataFrame, window: int = 13, num: int
     tokens = prefix_tokens(windows, text, scratch)
     facts = tokens.agg(F.count("*"), F.coalesce(F.sum(F.col("single").cast("int")), F.lit(0))).first()
 
-    # rows are numbered, so that those with equal or null ids stay apart; one job reads the numbers
-    words = text.select(F.monotonically_increasing_id().alias("row"), "doc_id", split_words(F.col("text")).alias("ws"))
-    at = words.select("row", "doc_id", "ws", F.posexplode_outer("ws").alias("at", "word"))
-    pair = tokens.where("not single").select(F.col("key").alias("key"), F.col("spots"))
-    hits = at.withColumn("key", _pair(F.col("ws"), F.col("at"), F.col("word"))).join(maybe_broadcast(pair, facts[0]), "key", "left")
-    if facts[1]:  # windows of one word: few, and only with such items
-        one = tokens.where("single").select(F.col("key").alias("key1"), F.col("spots").alias("spots1"))
-        hits = hits.withColumn("key1", F.xxhash64(F.lower("word"))).join(maybe_broadcast(one, facts[1]), "key1", "left")
-        hits = hits.withColumn("spots", F.when(F.col("spots").isNull(), F.col("spots1")).when(F.col("spots1").isNull(), F.col("spots")).otherwise(F.concat("spots", "spots1")))
-    # of a document's words only the first and those that meet a token go on
-    kept = hits.where("spots is not null or coalesce(at, 0) = 0")
+    # rows are numbered, so that those with equal or null ids stay apart
+    base = text.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
+    split = split_words(F.col("text")).alias("ws")
+    if facts[0] <= MOST_TOKENS:  # one job reads the numbers
+        words = base.select("row", "doc_id", split)
+        at = words.select("row", "doc_id", "ws", F.posexplode_outer("ws").alias("at", "word"))
+        pair = tokens.where("not single").select(F.col("key").alias("key"), F.col("spots"))
+        hits = at.withColumn("key", _pair(F.col("ws"), F.col("at"), F.col("word"))).join(maybe_broadcast(pair, facts[0], MOST_TOKENS), "key", "left")
+        if facts[1]:  # windows of one word: few, and only with such items
+            one = tokens.where("single").select(F.col("key").alias("key1"), F.col("spots").alias("spots1"))
+            hits = hits.withColumn("key1", F.xxhash64(F.lower("word"))).join(maybe_broadcast(one, facts[1], MOST_TOKENS), "key1", "left")
+            hits = hits.withColumn("spots", F.when(F.col("spots").isNull(), F.col("spots1")).when(F.col("spots1").isNull(), F.col("spots")).otherwise(F.concat("spots", "spots1")))
+        # of a document's words only the first and those that meet a token go on
+        kept = hits.withColumn("head", F.coalesce("at", F.lit(0)) == 0).where("spots is not null or head")
+    else:  # positions and keys are shuffled to the tokens, and only those that meet one go back to their words
+        words = scratch.save(base).select("row", "doc_id", split)
+        at = words.select("row", "ws", F.posexplode("ws").alias("at", "word"))
+        keyed = at.select("row", "at", F.explode(F.array(F.struct(_pair(F.col("ws"), F.col("at"), F.col("word")).alias("key"), F.lit(False).alias("single")), F.struct(F.xxhash64(F.lower("word")).alias("key"), F.lit(True).alias("single")))).alias("k")).select("row", "at", "k.*")
+        met = scratch.save(keyed.where("single = false" if not facts[1] else "true").join(tokens, ["key", "single"]).select("row", "at", "spots"))
+        heads = words.select("row", "doc_id", "ws", F.lit(0).alias("at"), F.lit(None).cast(met.schema["spots"].dataType).alias("spots"), F.lit(True).alias("head"))
+        kept = heads.unionByName(words.join(met, "row").withColumn("head", F.lit(False)))
     place = lambda s: F.array_join(F.slice(F.col("ws"), F.col("at") - s["at"] + 1, s["len"]), " ")
     fits = lambda s: F.when((F.col("at") >= s["at"]) & (F.col("at") - s["at"] + s["len"] <= F.size("ws")), ascii_lower(place(s)) == s["text"]).otherwise(F.lit(False))
     found = F.transform(F.filter("spots", fits), lambda s: F.struct((F.col("at") - s["at"]).alias("start"), (F.col("at") - s["at"] + s["len"]).alias("end"), s["text"].alias("text")))
-    n_words = F.when(F.coalesce("at", F.lit(0)) == 0, count_words(F.col("ws"))).otherwise(F.lit(0).cast("long"))
+    n_words = F.when(F.col("head"), count_words(F.col("ws"))).otherwise(F.lit(0).cast("long"))
     rows = kept.select("row", "doc_id", n_words.alias("n_words"), found.alias("found"))
     per_doc = rows.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.sum("n_words").alias("n_words"), F.flatten(F.collect_list("found")).alias("found"))
     per_doc = per_doc.select("row", "doc_id", "n_words", covered(F.transform("found", lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end")))).alias("n_hit"), F.array_distinct(F.transform("found", lambda x: x["text"])).alias("texts"))

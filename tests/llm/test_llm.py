@@ -357,7 +357,9 @@ def brute_contamination(text, items, window):
     return len(w), len(hit), sorted(found)
 
 
-def test_decontaminate_against_brute_force(spark):
+@pytest.mark.parametrize("most", [500_000, 0])
+def test_decontaminate_against_brute_force(spark, monkeypatch, most):
+    monkeypatch.setattr(decontam, "MOST_TOKENS", most)
     rng = random.Random(2)
     word = lambda: rng.choice(["the", "a", "of", "Éa", "éa", "K9", "x"]) + rng.choice(["", "", "b", "ü"])
     items = [(i, " ".join(word() for _ in range(n))) for i, n in enumerate([1, 2, 5, 13, 14, 30, 0, 13])] + [(10, None), (11, "same words here " * 6), (12, "same words here " * 6)]
@@ -408,11 +410,11 @@ def test_fuse_filter(n):
 
 
 def test_snapshot_screens(spark):
-    keys = spark.range(3000).select((F.col("id") * 7919).alias("key"), F.lit(1).cast("long").alias("n_bytes"), F.sha2(F.col("id").cast("string"), 256).cast("binary").alias("sha"), F.col("id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"))
+    keys = spark.range(3000).select((F.col("id") * 7919).alias("key"), F.lit(1).cast("long").alias("n_bytes"), F.sha2(F.col("id").cast("string"), 256).cast("binary").alias("sha"), F.col("id").alias("keep"), F.lit(1).cast("long").alias("group_size"))
     scratch = Scratch(spark, "t")
-    snapshot = exact_dedup.Snapshot(scratch, scratch.save(keys.where("keep_id < 1500")), 1500)
+    snapshot = exact_dedup.Snapshot(scratch, scratch.save(keys.where("keep < 1500")), 1500)
     hit = snapshot.screen(keys)
-    assert hit.where("keep_id < 1500").count() == 1500 and hit.count() < 1560
+    assert hit.where("keep < 1500").count() == 1500 and hit.count() < 1560
     assert snapshot.matches(keys).count() == 1500
 
 
@@ -424,6 +426,35 @@ def test_exact_dedup_odd(spark, odd, none):
     assert exact_dedup.exact_duplicates(none).count() == 0
 
 
+def test_stages_drop_rows_and_not_ids(spark, none):
+    """Rows that share an id, or have none, are judged one by one."""
+    words = " ".join(f"w{i}" for i in range(60))
+    near = words.replace("w30", "x30")
+    rows = [(5, "unique text a"), (5, "copy b"), (7, "COPY b"), (None, "copy c"), (None, "copy c"), (9, words), (9, near), (None, words + " w60"), (1, "one two three"), (1, "other words here"), (3, None), (3, "")]
+    docs = docs_of(spark, [(i, t, "en", "s") for i, t in rows]).withColumn("Row_Number", F.lit("clash")).withColumn("row", F.lit(1)).withColumn("key", F.lit(2))
+    texts = lambda df: sorted(str(r["text"]) for r in df.collect())
+    exact = exact_dedup.drop_exact_duplicates(docs)
+    assert exact.columns == docs.columns and len(texts(exact)) == 9
+    assert texts(exact) == sorted(["unique text a", "COPY b", "copy c", words, near, words + " w60", "one two three", "other words here", ""]) or texts(exact).count("None") == 1
+    kept = ngram_join.keep_one_of_each(exact)
+    assert kept.columns == docs.columns and [t for t in texts(kept) if t.startswith("w0")] in ([words], [near]) and len(texts(kept)) == 7
+    clean = decontam.drop_contaminated(kept, spark.createDataFrame([(1, "one two three")], "item_id long, text string"))
+    assert clean.columns == docs.columns and "one two three" not in texts(clean) and "other words here" in texts(clean)
+    for stage in (exact_dedup.drop_exact_duplicates, ngram_join.keep_one_of_each, langid.keep_identified):
+        assert stage(none).count() == 0 and stage(none).columns == none.columns
+    assert decontam.drop_contaminated(none, spark.createDataFrame([], "item_id long, text string")).count() == 0
+    assert mixing.mix_sources(none).count() == 0
+
+
+def test_pipeline_on_odd_and_empty_tables(spark, odd, none, tmp_path):
+    for name, docs in (("odd", odd), ("none", none)):
+        folder = f"{tmp_path}/{name}"
+        docs.write.parquet(f"{folder}/documents.parquet")
+        spark.createDataFrame([(1, "one two three"), (None, None)], "item_id long, text string").write.parquet(f"{folder}/benchmark.parquet")
+        got = corpus_pipeline.run(spark, folder)
+        assert got.columns[:6] == ["doc_id", "source", "size", "source_size", "target", "taken"] and got.count() <= docs.count()
+
+
 def test_byte_check_raises(spark):
     docs = docs_of(spark, [(1, "a", None, None), (2, "a", None, None)])
     scratch = Scratch(spark, "t")
