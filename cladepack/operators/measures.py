@@ -86,6 +86,35 @@ def length_error(a: DataFrame, b: DataFrame) -> DataFrame:
     return one.join(two, ["tree_id", "label"]).agg(F.max(F.abs(F.col("x") - F.col("y"))).alias("max_error"))
 
 
+def speed_report(spark: SparkSession, rows: list[dict], base: str = "textrun") -> DataFrame:
+    """(dataset, codec, comp_s, decomp_s, comp_speedup, decomp_speedup, comp_pct, decomp_pct) from results of run_codec with
+    their dataset: times, the baseline's time as a multiple of ours, and ours as a percentage of the baseline's. Null where
+    the baseline has not run."""
+    df = spark.createDataFrame([(r["dataset"], r["codec"], float(r["comp_s"]), float(r["decomp_s"])) for r in rows], "dataset string, codec string, comp_s double, decomp_s double")
+    against = df.where(F.col("codec") == base).select("dataset", F.col("comp_s").alias("b"), F.col("decomp_s").alias("e"))
+    out = df.join(F.broadcast(against), "dataset", "left")
+    ours = {"comp": ("comp_s", "b"), "decomp": ("decomp_s", "e")}
+    return out.select(*df.columns, *[speedup(F.col(y), F.col(x)).alias(f"{k}_speedup") for k, (x, y) in ours.items()], *[relative(F.col(x), F.col(y)).alias(f"{k}_pct") for k, (x, y) in ours.items()])
+
+
+def stage_seconds(spark: SparkSession, trees: DataFrame, folder: str, codec: str = "packed") -> dict[str, float]:
+    """Seconds of the stages of packing and restoring, each as the time that a plan takes beyond the one that ends before
+    it: parse (clusters of the pieces), encode (meeting and coding), finish (blocks and Deflate); decode (inflating and
+    taking the clusters of each tree), rebuild (trees and their texts)."""
+    taxa = cd.taxa_of(trees)
+    spans = {r["b"]: r["s"] + 1 for r in trees.groupBy(F.floor(F.col("tree_id") / cd.BLOCK_TREES).cast("int").alias("b")).agg(F.max((F.col("tree_id") % cd.BLOCK_TREES).cast("int")).alias("s")).collect()}
+    text = ("textrun", "textrun") if codec == "textrun" else ("packed", "packed")
+    run = lambda df: timed(lambda: df.write.format("noop").mode("overwrite").save())[0]
+    entries = cd.cluster_entries(trees, taxa)
+    path = f"{folder}/stages_{codec}"
+    cd.compress(trees, codec, taxa=taxa).write.mode("overwrite").option("compression", "none").parquet(path)
+    container = spark.read.parquet(path)
+    parse, encode, whole = run(entries), run(cd.encode_entries(entries, len(taxa), spans, *text)), run(cd.compress(trees, codec, taxa=taxa))
+    plan = cd.restore_plan(container)
+    decode, restore = run(cd.container_entries(container).select("bits", "n_support")), run(cd.decompress(container, **plan))
+    return {"parse_s": parse, "encode_s": max(0.0, encode - parse), "finish_s": max(0.0, whole - encode), "decode_s": decode, "rebuild_s": max(0.0, restore - decode)}
+
+
 def timed(action) -> tuple[float, object]:
     t = time.perf_counter()
     out = action()

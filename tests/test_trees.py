@@ -90,6 +90,22 @@ def test_restore_shuffles_no_more_than_it_writes(spark):
     assert held < 2 * sum(len(texts[i % 6]) for i in range(4000)) and sum(len(p["bits"]) for p in pieces) < 16 * 6 * 39 * 5 + 1
 
 
+def test_speed_report_and_stages(spark, tmp_path):
+    rows = [{"dataset": "a", "codec": "textrun", "comp_s": 3.0, "decomp_s": 8.0}, {"dataset": "a", "codec": "packed", "comp_s": 2.0, "decomp_s": 2.0}, {"dataset": "b", "codec": "packed", "comp_s": 1.0, "decomp_s": 1.0}]
+    got = {(r["dataset"], r["codec"]): r for r in measures.speed_report(spark, rows).collect()}
+    assert got["a", "packed"]["comp_speedup"] == 1.5 and got["a", "packed"]["decomp_pct"] == 25.0 and got["b", "packed"]["comp_speedup"] is None
+    stages = measures.stage_seconds(spark, six_trees(spark), str(tmp_path))
+    assert set(stages) == {"parse_s", "encode_s", "finish_s", "decode_s", "rebuild_s"} and all(v >= 0 for v in stages.values())
+
+
+def test_cards_of_wide_subsets(spark):
+    taxa = [f"t{i:03d}" for i in range(90)]
+    text = "((" + ",".join(taxa[:70]) + ")," + ",".join(taxa[70:]) + ");"
+    packed = cd.compress(spark.createDataFrame([(0, text), (1, text)], "tree_id long, newick string"))
+    got = co.subset_supports(packed, taxa, taxa[:80]).collect()
+    assert [(r["card"], r["n_support"]) for r in got] == [(70, 2)]
+
+
 def test_empty_collection(spark):
     trees = spark.createDataFrame([], "tree_id long, newick string")
     packed = cd.compress(trees)
