@@ -95,7 +95,7 @@ def mix_sources(docs: DataFrame, weights: list[float] = (3, 1, 2), share: float
 
     size is the number of words (runs other than ASCII white space), 0 for null; taken the words that the mix takes from
     the row, at most twice its size; over a source they add up to its target, rounded down. first_slot is the first slot of
-    the schedule whose block holds words of the row (null if none is taken), which is where training meets it; n_pieces
+    the schedule whose block holds words of the row (-1 if none is taken), which is where training meets it; n_pieces
     the number of blocks' pieces that come from it. Null sources are one source of their own. Rows with equal ids are
     shuffled next to each other, the smaller first; rows alike in id, source and size are interchangeable. Texts of any
     length are counted whole. Documents without words are never taken; an empty table gives an empty result; other columns
@@ -128,4 +128,4 @@ def mix_sources(docs: DataFrame, weights: list[float] = (3, 1, 2), share: float
     out = placed.join(taken, ["source_id", "start"], "left")
     # rows without words share a start with the row after them
     of = lambda c: F.when(F.col("size") > 0, F.col(c))
-    return out.select("doc_id", "source", "size", "source_size", F.col("target").cast("double").alias("target"), F.coalesce(of("taken"), F.lit(0)).cast("long").alias("taken"), of("first_slot").alias("first_slot"), F.coalesce(of("n_pieces"), F.lit(0)).cast("long").alias("n_pieces"))
+    return out.select("doc_id", "source", "size", "source_size", F.col("target").cast("double").alias("target"), F.coalesce(of("taken"), F.lit(0)).cast("long").alias("taken"), F.coalesce(of("first_slot"), F.lit(-1)).cast("long").alias("first_slot"), F.coalesce(of("n_pieces"), F.lit(0)).cast("long").alias("n_pieces"))

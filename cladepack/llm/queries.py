@@ -98,7 +98,7 @@ r2 AS (SELECT source_id, start, pos, least(pos + size, floor(target)::BIGINT) AS
 pc AS (SELECT source_id, start, pos, stop, block, unnest(range(pos // block, (stop - 1) // block + 1)) AS rank FROM r2, b WHERE pos < stop),
 taken AS (SELECT pc.source_id, start, sum(least(stop, (pc.rank + 1) * block) - greatest(pos, pc.rank * block)) AS taken, min(slot) AS first_slot, count(*) AS n_pieces
       FROM pc JOIN plan ON plan.source_id = pc.source_id AND plan.rank = pc.rank GROUP BY 1, 2)
-SELECT doc_id, size::BIGINT AS size, source_size, target, coalesce(taken, 0)::BIGINT AS taken, first_slot::BIGINT AS first_slot, coalesce(n_pieces, 0)::BIGINT AS n_pieces
+SELECT doc_id, size::BIGINT AS size, source_size, target, coalesce(taken, 0)::BIGINT AS taken, coalesce(first_slot, -1)::BIGINT AS first_slot, coalesce(n_pieces, 0)::BIGINT AS n_pieces
 FROM p LEFT JOIN taken ON size > 0 AND taken.source_id = p.source_id AND taken.start = p.start""".replace("GOLDEN_HIGH", repr((GOLDEN * 1048576) % 1.0)).replace("GOLDEN_LOW", repr(GOLDEN))
 
 OP3_SQL = r"""
