@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, lookup, map_arrow
+from .common import Scratch, map_arrow
 
 _SPREAD = np.uint64(0xA0761D6478BD642F)
 
@@ -269,7 +269,7 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, load: Callable[[DataFrame]
     elements is dealt into blocks, and each pair of blocks is a task of its own. No pair of one tile stays unsettled.
 
     What is known of a tile (leader, size, least and largest label) comes from aggregates that are combined before the
-    shuffle, and its rows learn it by a lookup that leaves the rows of a hot tile where they are.
+    shuffle; its rows learn it by a plain join of two written tables, so that Spark can split the partition of a hot tile.
     """
     small = SMALL if small is None else small
     members = distinct_tiles(scratch, tiles).select("tile", "m", F.col("m").alias("l"))
@@ -281,7 +281,7 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, load: Callable[[DataFrame]
     def facts(r: int) -> DataFrame:
         lead = F.min(F.struct(F.xxhash64(F.lit(r), "m").alias("o"), F.col("m").alias("m"), F.col("l").alias("l"))).alias("lead")
         per = scratch.save(members.groupBy("tile").agg(F.count("*").alias("size"), F.min("l").alias("lo"), F.max("l").alias("hi"), lead).where("lo <> hi"))
-        return lookup(members, per, ["tile"], "size", members.count()).where("lead is not null")
+        return members.join(per, "tile")
 
     def settle(near: DataFrame) -> None:
         nonlocal links, parts
@@ -325,7 +325,7 @@ def resolve_tiles(scratch: Scratch, tiles: DataFrame, load: Callable[[DataFrame]
         sketches = scratch.save(sketch(scratch.save(many.select("m").distinct())), codec="none")
     heavy = many.join(sketches.select("m", "n"), "m").groupBy("tile").agg(F.sum("n").alias("weight"), F.count("*").alias("size"))
     heavy = heavy.select("tile", "size", F.ceil(F.greatest(F.col("size") / BLOCK, F.col("weight") / BLOCK_WEIGHT)).cast("int").alias("blocks"))
-    block = lookup(many.select("tile", "m", "l"), scratch.save(heavy), ["tile"], "size", many.count()).withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
+    block = many.select("tile", "m", "l").join(scratch.save(heavy), "tile").withColumn("block", F.pmod(F.xxhash64("m"), F.col("blocks")).cast("int"))
     own = many.groupBy("m").agg(F.collect_list("tile").alias("shared")).join(sketches, "m")
     dealt = block.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("tile", F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "m", "l", "block").join(own, "m")
