@@ -126,7 +126,7 @@ class FactorisationMachine:
 
 def fit(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS) -> FactorisationMachine:
     """Learn from docs joined with labels (doc_id, quality); at most `most` labelled rows, those with the least hash of
-    their id. Without labels the score is 0.5 everywhere."""
+    their id; of rows with one id the text with the least hash. Without labels the score is 0.5 everywhere."""
     mine = labels.where("quality is not null and doc_id is not null").select("doc_id", F.col("quality").cast("int").alias("quality")).groupBy("doc_id").agg(F.max("quality").alias("quality"))
     mine = mine.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)  # bounded, so broadcast is safe
 
@@ -135,8 +135,8 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS) -> Factorisa
         ends = pa.array(off, pa.int32())
         yield batch_of({"y": batch.column(0), "cells": pa.ListArray.from_arrays(ends, pa.array(cells, pa.int32())), "x": pa.ListArray.from_arrays(ends, pa.array(values, pa.float32()))})
 
-    rows = docs.select("doc_id", "text").join(F.broadcast(mine), "doc_id").select("quality", "text")
-    got = map_arrow(rows, fn, "y int, cells array<int>, x array<float>", 128).limit(2 * most).toArrow()
+    rows = docs.select("doc_id", "text").join(F.broadcast(mine), "doc_id").groupBy("doc_id").agg(F.max("quality").alias("quality"), F.min_by("text", F.xxhash64("text")).alias("text"))
+    got = map_arrow(rows.select("quality", "text"), fn, "y int, cells array<int>, x array<float>", 128).toArrow()
     if not got.num_rows:
         return FactorisationMachine(0.0, np.zeros(SIZE), np.zeros((SIZE, FACTORS)))
     cells, x = got.column("cells").combine_chunks(), got.column("x").combine_chunks()

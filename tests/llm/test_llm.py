@@ -586,6 +586,13 @@ def test_naive_bayes_matches_the_formula():
     assert np.allclose(model.scores([text])[0], want, atol=1e-3)
 
 
+def test_quality_learns_the_same_from_rows_that_share_an_id(spark):
+    rows = [(i % 40, f"text {i} " + ("good words here " if i % 40 < 20 else "bad spam spam ") * 5, None, None) for i in range(200)]
+    labels = spark.createDataFrame([(i, int(i < 20), 0) for i in range(40)], "doc_id long, quality int, toxic int")
+    one, two = (quality_fm.fit(docs_of(spark, r).repartition(p), labels, most=30) for r, p in ((rows, 2), (rows[::-1], 5)))
+    assert np.array_equal(one.w, two.w) and np.array_equal(one.v, two.v)
+
+
 def test_quality_accuracy(spark, odd, none):
     sf = "/root/testdata/sf0.01"
     labels = spark.read.parquet(f"{sf}/labels.parquet")
