@@ -52,10 +52,14 @@ def hourly_clusters(counts: DataFrame, buckets: int = 16, levels: int = 3) -> Da
 
 
 class RunningSupport(StatefulProcessor):
-    """Support of each cluster over the trees seen so far: one count in state, with a time to live."""
+    """Support of each cluster over the trees seen so far: one count in state. With ttl_ms the count of a cluster that no
+    tree has had for so long is forgotten."""
+
+    def __init__(self, ttl_ms: int | None = None):
+        self.ttl_ms = ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.count = handle.getValueState("count", "n long", ttlDurationMs=None)
+        self.count = handle.getValueState("count", "n long", ttlDurationMs=self.ttl_ms)
 
     def handleInputRows(self, key, rows, timer_values):
         had = self.count.get()[0] if self.count.exists() else 0
@@ -67,9 +71,9 @@ class RunningSupport(StatefulProcessor):
         pass
 
 
-def running_support(clusters: DataFrame) -> DataFrame:
+def running_support(clusters: DataFrame, ttl_ms: int | None = None) -> DataFrame:
     """Update stream (members, n_support) of a stream of clusters. Needs the RocksDB state store."""
-    return clusters.groupBy("members").transformWithStateInPandas(RunningSupport(), "members string, n_support long", "Update", "None")
+    return clusters.groupBy("members").transformWithStateInPandas(RunningSupport(ttl_ms), "members string, n_support long", "Update", "None" if ttl_ms is None else "ProcessingTime")
 
 
 def write_blocks(path: str, taxa: list[str] | None = None, **options):
