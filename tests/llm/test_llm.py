@@ -535,6 +535,59 @@ def test_guess_cost_against_all_segmentations():
         assert got == pytest.approx(want) or got > want
 
 
+def test_guess_cost_has_no_longest_part():
+    """Repeats and walks of any length against every way to cut."""
+    rng = random.Random(10)
+
+    def brute(value):
+        per_char = np.log10(max(10, secrets._class_size(value)))
+        known, span = [0.0], [np.inf]
+        for end in range(1, len(value) + 1):
+            ways = [np.inf]
+            for at in range(end):
+                part = value[at:end]
+                costs = [c for c in (secrets._word_cost(part), secrets._date_cost(part), secrets._repeat_cost(part), secrets._walk_cost(part)) if c is not None]
+                ways += [min(known[at], span[at]) + secrets._PART_COST * (at > 0) + min(costs)] if costs else []
+            span.append(per_char + min(span[-1], known[-1] + secrets._PART_COST * (end > 1)))
+            known.append(min(ways))
+        return min(known[-1], span[-1])
+
+    def walk(length):
+        keys = ["f"]
+        while len(keys) < length:
+            keys.append(rng.choice(sorted(secrets._NEXT[keys[-1]])))
+        return "".join(keys)
+
+    values = ["z" * 25, "z" * 60, "ab" * 40, "aabab" * 9 + "aabaa", "qwertyuiop" * 5, "qZ#vLp!xWkRtYb8&mN2@cD5^hJ" * 2, "abcdefghijklmnopqrstuvwxyz", "x" * 30 + "İKΣ" * 9, "é" * 31 + "1999"]
+    values += [walk(rng.randrange(25, 60)) for _ in range(20)] + ["".join(rng.choices("ab", k=rng.randrange(25, 60))) for _ in range(20)]
+    # a cut in which a brute-force span is not the cheapest way to where it goes on
+    values += ["".join(rng.choice(["cat", "password", "qwe", "12", "#", "Z"]) for _ in range(rng.randrange(4, 12))) for _ in range(20)]
+    for value in values:
+        total, parts = secrets.guess_cost(value)
+        assert total == pytest.approx(brute(value)), value
+        assert [p[1] for p in parts] == [0] + [p[2] for p in parts[:-1]] and parts[-1][2] == len(value)
+
+
+def test_long_repeats_are_one_part(spark):
+    rng = random.Random(11)
+    unit = "".join(rng.choices("abcXYZ0189-_", k=500))
+    assert secrets.guess_cost(unit * 3)[1] == [("repeat", 0, 1500)]
+    assert secrets.guess_cost("z" * 20_000)[0] == pytest.approx(np.log10(26) + np.log10(20_000))
+    rows = secrets.scan_secrets(docs_of(spark, [(1, f"the secret is {'z' * 200}", None, None), (2, f"token={unit * 3}", None, None)])).orderBy("doc_id").collect()
+    assert rows[0]["spans"] == [] and [s["kind"] for s in rows[1]["spans"]] == ["assign"]
+    assert rows[1]["spans"][0]["log10_guesses"] == pytest.approx(secrets._repeat_cost(unit * 3))
+
+
+def test_runs_of_long_values(monkeypatch):
+    """Both ways to find the stretches of a period."""
+    rng = random.Random(12)
+    monkeypatch.setattr(secrets, "_SHORT", 0)
+    values = ["", "a", "aa", "ab", "z" * 1000, "ab" * 300 + "ba" * 300, "".join(rng.choices("abcdef", k=300)) * 3, "\ud800é" * 5]
+    values += ["".join(rng.choices("ab", k=rng.randrange(2, 600))) for _ in range(50)]
+    for value in values:
+        assert secrets._runs(value) == secrets._runs_of_short(value), value
+
+
 def test_guess_spans_in_wider_contexts(spark, sf):
     spans = lambda t: [(k, t[a:b]) for k, a, b in secrets.find_secrets(t)]
     assert spans("postgres://app:Xk9#mQ2$vL7!pR@db.example/x") == [("guess", "Xk9#mQ2$vL7!pR")]
