@@ -31,6 +31,9 @@ from .common import HOT_GROUPS, Scratch, batch_of, lookup, map_arrow, maybe_broa
 from .components import bitmap, linked, resolve_tiles
 
 _BAND0, _GROWTH = 8, 1.5
+#: Bits of a tile's key: two keys that meet by chance only make a pair to verify. The unused bytes stand last in a row, beside
+#: the next row's head, where the shuffle's codec takes them.
+_TILE = np.uint64((1 << 48) - 1)
 _A, _B, _C = np.uint64(0xD6E8FEB86659FD93), np.uint64(0xA0761D6478BD642F), np.uint64(0xE7037ED1A0B428DB)
 
 
@@ -69,8 +72,9 @@ def tile_keys(s: np.ndarray, num: int, den: int) -> tuple[np.ndarray, list[int]]
         keys = mix64(sums ^ mix64(part[starts] * _B + np.uint64(band + 1)))
         if len(starts) <= apart:
             keys = np.concatenate([keys, mix64(s * _C + np.uint64(band + 1))])
-        need[band % 2] = max(1, len(starts) - apart)
-        out.append(keys & ~np.uint64(1) | np.uint64(band % 2))
+        keys = keys & _TILE & ~np.uint64(1) | np.uint64(band % 2)
+        need[band % 2] = max(1, len(np.unique(keys[: len(starts)])) - apart)
+        out.append(keys)
     return np.concatenate(out), need
 
 
@@ -139,9 +143,9 @@ def ngram_jaccard_components(docs: DataFrame, n: int = 5, num: int = 4, den: int
                 keys.append(t := tile_keys(s, num, den)[0])
                 member.append(np.full(len(t), m, np.uint64))
         if sum(map(len, keys)):
-            yield batch_of({"tile": signed(np.concatenate(keys)), "m": signed(np.concatenate(member))})
+            yield batch_of({"m": signed(np.concatenate(member)), "tile": signed(np.concatenate(keys))})
 
-    tiles = shared_tiles(scratch, map_arrow(text, tiles_of, "tile long, m long"), sets.select(F.col("set_hash").alias("m"), "needs"))
+    tiles = shared_tiles(scratch, map_arrow(text, tiles_of, "m long, tile long"), sets.select(F.col("set_hash").alias("m"), "needs"))
     arrays = None
 
     def load(wanted: DataFrame) -> None:

@@ -293,6 +293,14 @@ def test_tiles_are_shared_by_linked_sets():
                 assert np.intersect1d(ngram_join.tile_keys(a, num, den)[0], ngram_join.tile_keys(b, num, den)[0]).size
 
 
+def test_tile_keys_are_short_and_needs_count_distinct_ones(monkeypatch):
+    s = np.unique(np.random.default_rng(6).integers(0, 2**64, 4000, dtype=np.uint64))
+    keys, _ = ngram_join.tile_keys(s, 4, 5)
+    assert len(keys) > 300 and (keys < 1 << 48).all()
+    monkeypatch.setattr(ngram_join, "_TILE", np.uint64(1))  # all keys of a band meet
+    assert ngram_join.tile_keys(s, 4, 5)[1] in ([1, 0], [0, 1], [1, 1])
+
+
 def test_ngram_join_odd(spark, odd, none):
     got = ngram_join.ngram_jaccard_components(odd, 4, 85, 100).toPandas()
     by = got.set_index("doc_id")["component_id"]
