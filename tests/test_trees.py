@@ -315,3 +315,12 @@ def test_whole_forests_take_all_rows(spark, sf, duck):
     for packed in (False, True):
         assert rows_of(wl.whole_clusters("emb", packed, 3)(spark, sf).toPandas()) == rows_of(want)
     assert {"forest_emb_all_clusters", "forest_md5_all_clusters", "roundtrip_emb_all", "roundtrip_md5_all"} <= set(wl.queries())
+
+
+def test_laminar_sets_as_by_window(spark, sf):
+    made = wl.forest(spark, sf, "nat").select(F.expr("tree_id div 2").alias("tree_id"), "members", "card").distinct()
+    rows = made.select("tree_id", F.col("members").alias("cluster"), "card", F.explode(F.split("members", ",")).alias("taxon"))
+    want = sorted(map(tuple, co.check_laminar(rows).collect()))
+    assert want and sorted(map(tuple, co.check_laminar_sets(made).collect())) == want
+    plan = wl.laminar_violations(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "Window" not in plan
