@@ -317,6 +317,20 @@ def test_whole_forests_take_all_rows(spark, sf, duck):
     assert {"forest_emb_all_clusters", "forest_md5_all_clusters", "roundtrip_emb_all", "roundtrip_md5_all"} <= set(wl.queries())
 
 
+def test_roundtrip_blocks_are_restorable(spark):
+    assert cd.restorable_block(25) == cd.BLOCK_TREES and cd.restorable_block(15000) < 10 and cd.restorable_block(10**6) == 1
+
+
+def test_prefix_forest_is_the_sql_forest(spark, sf):
+    from cladepack.plans import forests as fo
+
+    for name in ("emb", "md5f"):
+        trees, labels = wl.trees_of(spark, sf, name)
+        want = fo.forest_newick(wl.forest(spark, sf, name).select("tree_id", "members"), labels)
+        assert sorted(trees.collect()) == sorted(want.collect())
+        assert "Exchange" not in trees._jdf.queryExecution().executedPlan().toString()
+
+
 def test_laminar_sets_as_by_window(spark, sf):
     made = wl.forest(spark, sf, "nat").select(F.expr("tree_id div 2").alias("tree_id"), "members", "card").distinct()
     rows = made.select("tree_id", F.col("members").alias("cluster"), "card", F.explode(F.split("members", ",")).alias("taxon"))
