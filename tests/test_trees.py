@@ -331,6 +331,19 @@ def test_prefix_forest_is_the_sql_forest(spark, sf):
         assert "Exchange" not in trees._jdf.queryExecution().executedPlan().toString()
 
 
+def test_text_bits_are_decoded_whole():
+    import tracemalloc
+
+    n = 1_000_000
+    bits = codes.pack_bits(np.arange(5, n, 70_001), n)
+    data = f"TAXA\nNTREES 1\nNBIPARTITIONS 1\n{codes.textrun_bits_encode(codes.bit_text(bits, n))} +:1:A\n".encode()
+    tracemalloc.start()
+    got = list(cd.decode_payload(data, n, 1, "textrun"))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert [(b, s, i.tolist()) for b, s, i in got] == [(bits, "+", [0])] and peak < 6e6
+
+
 def test_laminar_sets_as_by_window(spark, sf):
     made = wl.forest(spark, sf, "nat").select(F.expr("tree_id div 2").alias("tree_id"), "members", "card").distinct()
     rows = made.select("tree_id", F.col("members").alias("cluster"), "card", F.explode(F.split("members", ",")).alias("taxon"))
