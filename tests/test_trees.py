@@ -351,3 +351,21 @@ def test_laminar_sets_as_by_window(spark, sf):
     assert want and sorted(map(tuple, co.check_laminar_sets(made).collect())) == want
     plan = wl.laminar_violations(spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "Window" not in plan
+
+
+def test_ablation_streams_are_tasks_of_their_own(spark, sf):
+    import zlib
+
+    got = wl.ablation_grid(spark, sf)
+    assert "Coalesce" not in got._jdf.queryExecution().executedPlan().toString()
+    trees, labels = wl.trees_of(spark, sf, "emb")
+    rows = cd.container_entries(cd.compress(trees, taxa=labels)).select("bits", "support").orderBy("bits").collect()
+    want = set()
+    for k in wl.ABLATION:
+        pack, raw, size = zlib.compressobj(6, zlib.DEFLATED, -15), 0, 0
+        for r in rows:
+            one, two, sign, listed = cd.encode_one(bytes(r["bits"]), len(labels), np.array(r["support"], np.int64), 100, *k)
+            entry = one + codes.varint(2 * len(listed) + (sign == "-")) + two
+            raw, size = raw + len(entry), size + len(pack.compress(entry))
+        want.add((*k, raw, size + len(pack.flush())))
+    assert set(map(tuple, got.collect())) == want
