@@ -369,3 +369,8 @@ def test_ablation_streams_are_tasks_of_their_own(spark, sf):
             raw, size = raw + len(entry), size + len(pack.compress(entry))
         want.add((*k, raw, size + len(pack.flush())))
     assert set(map(tuple, got.collect())) == want
+
+
+def test_subtree_sizes_shuffle_digests_not_texts(spark):
+    plan = cd.subtree_dictionary_size(six_trees(spark))._jdf.queryExecution().executedPlan().toString()
+    assert "subtree#" not in plan
