@@ -317,6 +317,23 @@ def test_whole_forests_take_all_rows(spark, sf, duck):
     assert {"forest_emb_all_clusters", "forest_md5_all_clusters", "roundtrip_emb_all", "roundtrip_md5_all"} <= set(wl.queries())
 
 
+def test_parsing_many_taxa_holds_few_rows_unpacked():
+    import tracemalloc
+
+    from cladepack.plans import forests as fo
+
+    n = 4000
+    bits = np.random.default_rng(1).integers(0, 2, (n, 64)).astype(np.uint8)
+    labels = [f"C{i}" for i in range(n)]
+    texts = [fo.prefix_newick(t, bits, labels, 20, 2) for t in range(12)]
+    take = cd.Extractor(labels, 12, False)
+    tracemalloc.start()
+    n_rows = sum(1 for _ in take(np.arange(12), texts))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert n_rows > 10000 and peak < 60e6
+
+
 def test_roundtrip_blocks_are_restorable(spark):
     assert cd.restorable_block(25) == cd.BLOCK_TREES and cd.restorable_block(15000) < 10 and cd.restorable_block(10**6) == 1
 
