@@ -391,3 +391,42 @@ def test_ablation_streams_are_tasks_of_their_own(spark, sf):
 def test_subtree_sizes_shuffle_digests_not_texts(spark):
     plan = cd.subtree_dictionary_size(six_trees(spark))._jdf.queryExecution().executedPlan().toString()
     assert "subtree#" not in plan
+
+
+def test_clusters_of_many_taxa_take_the_space_of_their_members():
+    from cladepack.plans import forests as fo
+
+    n = 4000
+    bits = np.random.default_rng(2).integers(0, 2, (n, 64)).astype(np.uint8)
+    labels = [f"C{i}" for i in range(n)]
+    rows = list(cd.Extractor(labels, 1, False)(np.arange(2), [fo.prefix_newick(t, bits, labels, 20, 2) for t in range(2)]))
+    assert sum(len(r[1]) for r in rows) < len(rows) * n // 8 // 4
+    row, at = codes.members_of([r[1] for r in rows])
+    assert len(at) and all(1 < c < n for c in np.bincount(row)[[bool(r[1]) for r in rows]])
+
+
+def test_trees_that_are_blocks_are_packed_and_restored_in_place(spark):
+    import tracemalloc
+
+    from cladepack.plans import forests as fo
+
+    n = 8000
+    bits = np.random.default_rng(3).integers(0, 2, (n, 64)).astype(np.uint8)
+    labels = [f"C{i}" for i in range(n)]
+    trees = fo.prefix_trees(spark, bits, labels, 2, 20, 2)
+    packed = cd.compress(trees, block=1, taxa=labels)
+    for plan in (packed, cd.decompress(packed, spread=False)):
+        assert "Exchange" not in plan._jdf.queryExecution().executedPlan().toString()
+    assert cd.verify_roundtrip(trees, packed).where("ok").count() == 2
+    row = packed.first().asDict()
+    tracemalloc.start()
+    block = cd.Block(row)
+    held = tracemalloc.get_traced_memory()[0]
+    tracemalloc.stop()
+    assert held < len(block.keys) * n // 8
+
+
+def test_codes_of_clusters_are_made_in_parallel(spark, sf):
+    """One meeting of the clusters; no task takes all of them."""
+    plan = wl.queries()["packed_bits_hex"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and "hashpartitioning(block" in plan and "key" in plan.split("hashpartitioning(block")[1][:20]
