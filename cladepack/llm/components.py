@@ -105,7 +105,7 @@ SMALL = 32
 def linked(a: np.ndarray, b: np.ndarray, num: int, den: int) -> bool:
     """Exact intersection of two sorted arrays of distinct hashes; empty sets are linked with nothing."""
     small, large = (a, b) if len(a) <= len(b) else (b, a)
-    if not len(small):
+    if not len(small) or den * len(small) < num * len(large):  # no more in common than the smaller has
         return False
     at = np.searchsorted(large, small)
     both = int((large[np.minimum(at, len(large) - 1)] == small).sum())

@@ -29,21 +29,27 @@ _BINS = BANDS * ROWS
 _NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
 _P = np.uint64(0x9E3779B97F4A7C15)
 _PIECE = 1 << 18
+#: Shingles hashed at once: what stays in a core's cache.
+_STRETCH = 1 << 14
 #: For each bin the others in the order in which an empty one tries them; fixed by a rule, not by data.
 _DONORS = np.stack([np.random.default_rng(1000 + b).permutation(_BINS) for b in range(_BINS)])
 
 
 def shingle_hashes(code: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(line, hash) of all shingles of lines given as ranges of code points, in order, a bounded number at a time."""
+    """(line, hash) of all shingles of lines given as ascending ranges of code points, in order, a bounded number at a time.
+    All places of a stretch are hashed, which reads it straight on; the few across two lines are left out."""
     counts = np.maximum(0, ends - starts - SHINGLE + 1)
     line = np.repeat(np.arange(len(starts)), counts)
     at = np.arange(len(line)) + np.repeat(starts - (np.cumsum(counts) - counts), counts)
-    for a in range(0, len(at), _PIECE):
-        i = at[a : a + _PIECE]
-        h = code[i].astype(np.uint64)
+    for a in range(0, len(at), _STRETCH):
+        i = at[a : a + _STRETCH]
+        first, n = int(i[0]), int(i[-1] - i[0]) + 1
+        c = code[first : first + n + SHINGLE - 1].astype(np.uint64)
+        h = c[:n]
         for j in range(1, SHINGLE):
-            h = h * _P + code[i + j]
-        yield line[a : a + _PIECE], mix64(h)
+            h = h * _P
+            h += c[j : j + n]
+        yield line[a : a + _STRETCH], mix64(h if n == len(i) else h[i - first])
 
 
 def code_points(lines: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -64,10 +70,14 @@ def signatures(code: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
     if some.any():
         part, gap = sig[some], empty[some]
         full = part.copy()
+        row, own = np.nonzero(gap)
         for t in range(_BINS):
-            donor = _DONORS[:, t]
-            use = gap & ~gap[:, donor] & (full == _NONE)
-            full = np.where(use, part[:, donor] + np.uint64(t + 1), full)
+            donor = _DONORS[own, t]
+            use = ~gap[row, donor]
+            full[row[use], own[use]] = part[row[use], donor[use]] + np.uint64(t + 1)
+            row, own = row[~use], own[~use]
+            if not len(row):
+                break
         sig[some] = full
     return sig
 
@@ -162,7 +172,7 @@ def line_components(docs: DataFrame, num: int = 4, den: int = 5, row_col: str |
         ends = scratch.save(pairs.select(F.col("a").alias("m")).union(pairs.select(F.col("b").alias("m"))).distinct())
         held = bodies.join(maybe_broadcast(ends), "m", "left_semi")
         one, two = held.select(F.col("m").alias("a"), F.col("line").alias("x")), held.select(F.col("m").alias("b"), F.col("line").alias("y"))
-        return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "x", "y"), lambda b: _line_pairs(b, num, den), "a long, b long")
+        return map_arrow(pairs.join(one, "a").join(two, "b").select("a", "b", "x", "y"), lambda b: _line_pairs(b, num, den), "a long, b long", 4096)
 
     def sketch(wanted: DataFrame) -> DataFrame:
         return bodies.join(maybe_broadcast(wanted), "m", "left_semi").select("m", F.length("line").cast("long").alias("n"), F.encode("line", "utf-8").alias("bits"))

@@ -778,3 +778,20 @@ def test_pipeline_against_brute_force(spark, sf):
 
 def low_words(text):
     return (text or "").lower().split()
+
+
+def test_line_signatures_hash_stretches_and_fill_gaps_alone():
+    lines = ["abcdef", "a" * 40, "the quick brown fox jumps over the lazy dog", "", "xyz", "q" * 5 + "w" * 9] + [f"line {i} of some more text {i * i}" * (1 + i % 40) for i in range(400)]
+    code, starts, ends = line_dedup.code_points(lines)
+    pieces = list(line_dedup.shingle_hashes(code, starts, ends))
+    assert max(len(h) for _, h in pieces) <= 1 << 14 < sum(len(h) for _, h in pieces)
+    line, h = (np.concatenate(x) for x in zip(*pieces, strict=True))
+    want = [(i, line_dedup.SHINGLE) for i, x in enumerate(lines) for _ in range(max(0, len(x) - line_dedup.SHINGLE + 1))]
+    assert line.tolist() == [i for i, _ in want]
+    sig = line_dedup.signatures(code, starts, ends)
+    for i in range(12):
+        bins = [[int(v) for v in h[line == i] if (int(v) >> 32) * line_dedup._BINS >> 32 == b] for b in range(line_dedup._BINS)]
+        least = [min(x) if x else None for x in bins]
+        for b in range(line_dedup._BINS):
+            tried = next(((t, d) for t, d in enumerate(line_dedup._DONORS[b].tolist()) if least[d] is not None), None)
+            assert sig[i, b] == (least[b] if least[b] is not None else int(line_dedup._NONE) if tried is None else least[tried[1]] + tried[0] + 1)
